@@ -7,12 +7,13 @@ weighted probability is half its own estimate of what it saw and half the produc
 so the posterior weight of stopping at a depth is known for every node, and a prediction mixes the
 estimates of all depths along the context.
 
-Scale. One pass counts (context, byte) and words over all texts, pre-aggregated for each batch; the
-counts are sharded by the two latest context bytes, which bounds a shard by 256^(DEPTH-1) rows
-whatever the input, and shards are weighted bottom-up by independent tasks; only the 255 x 257
-nodes of depths 0 and 1 meet in one place. Texts are then scored in chunks: a chunk asks the sharded
-counts for the distinct (context, byte) pairs and words that it has, and the answers come back
-to the chunk. Nothing that grows with the data is broadcast or collected.
+Scale. One pass counts (context, byte) and words over all texts, pre-aggregated for each batch. The
+counts are cut into ranges of contexts, latest byte first, that never part contexts with the same
+three latest bytes; ranges are weighted bottom-up by independent tasks, and depths 2 and 1 are
+raised from the sums of the depth below in the same way. Only the 255 x 256 nodes of depth 1 (a
+fixed bound) meet in one place. Texts are then scored in chunks: a chunk asks the counts for the
+distinct (context, byte) pairs and words that it has, and the answers come back to the chunk.
+Nothing that grows with the data is broadcast or collected.
 """
 
 from __future__ import annotations
@@ -29,7 +30,11 @@ from pyspark.sql import functions as F
 from ..storage import written
 from .common import blank_words, fold_of, map_batches, two_columns, utf8
 
-DEPTH = 4
+DEPTH = 5
+#: Latest bytes that rows of one range share; contexts are at least this long.
+SHARD = 3
+#: Distinct (context, byte) rows of a range, about.
+RANGE_ROWS = 500_000
 #: Stands before a text and ends it; no UTF-8 text has this byte.
 MARK = 0xFF
 #: Text bytes that a scoring chunk holds, about.
@@ -67,18 +72,18 @@ def gram_codes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.ndarray]:
     return (code << 8) | data[at], owner
 
 
-def choices(codes: np.ndarray, depth: int, at_depth: int, bit: int) -> tuple[np.ndarray, np.ndarray]:
-    """(node key, outcome) of the ``bit``-th choice for contexts cut to ``at_depth`` bytes.
+def choices(codes: np.ndarray, depth: int, at_depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """(node keys, outcomes), both with a row for each of the eight choices, for contexts cut to ``at_depth``.
 
-    The key is the context prefix and the byte's bits before the choice behind a leading 1.
+    A key is the context prefix, then a byte with the symbol's bits before the choice behind a leading 1.
     """
-    symbol = codes & 255
-    before = (1 << bit) | (symbol >> (8 - bit))
-    return ((codes >> (8 * (depth + 1 - at_depth))) << 8) | before, (symbol >> (7 - bit)) & 1
+    symbol, context = codes & 255, (codes >> (8 * (depth + 1 - at_depth))) << 8
+    bits = np.arange(8)[:, None]
+    return context | (1 << bits) | (symbol >> (8 - bits)), (symbol >> (7 - bits)) & 1
 
 
 class Level:
-    """Nodes of one depth and one bit: sorted keys, counts and weighted probability."""
+    """Nodes of one depth: sorted keys, counts, own and weighted log-probability, posterior weight of stopping."""
 
     def __init__(self, keys: np.ndarray, zeros: np.ndarray, ones: np.ndarray):
         self.keys, self.zeros, self.ones = keys, zeros, ones
@@ -86,53 +91,54 @@ class Level:
         self.weighted = self.own
         self.stop = np.ones(len(keys))
 
-    def weigh(self, child_keys: np.ndarray, child_weighted: np.ndarray) -> None:
+    def weigh(self, below: np.ndarray) -> None:
         """Mix the own estimate with the children's product, half and half."""
-        parent = ((child_keys >> 16) << 8) | (child_keys & 255)
-        below = np.bincount(np.searchsorted(self.keys, parent), child_weighted, len(self.keys))
         self.weighted = np.logaddexp(self.own, below) - math.log(2)
         self.stop = np.exp(self.own - math.log(2) - self.weighted)
 
+    def frame(self) -> pd.DataFrame:
+        return pd.DataFrame({"node": self.keys, "zeros": self.zeros, "ones": self.ones, "weighted": self.weighted})
 
-def count_level(codes: np.ndarray, counts: np.ndarray, depth: int, at_depth: int, bit: int) -> Level:
-    keys, outcome = choices(codes, depth, at_depth, bit)
-    own, inverse = np.unique(keys, return_inverse=True)
-    return Level(own, np.bincount(inverse, counts * (1 - outcome), len(own)), np.bincount(inverse, counts * outcome, len(own)))
+
+def raised(keys: np.ndarray, zeros: np.ndarray, ones: np.ndarray, weighted: np.ndarray) -> Level:
+    """The parents' level of nodes of one depth, weighted."""
+    up, inverse = np.unique(((keys >> 16) << 8) | (keys & 255), return_inverse=True)
+    level = Level(up, np.bincount(inverse, zeros, len(up)), np.bincount(inverse, ones, len(up)))
+    level.weigh(np.bincount(inverse, weighted, len(up)))
+    return level
 
 
-def build_levels(codes: np.ndarray, counts: np.ndarray, depth: int, top: int) -> list[list[Level]]:
-    """levels[d - top][bit] for d = top..depth, weighted bottom-up. ``counts`` may have zeros."""
+def build_levels(codes: np.ndarray, counts: np.ndarray, depth: int, top: int) -> list[Level]:
+    """Levels ``top`` to ``depth``, weighted bottom-up. Codes without a count leave no node."""
     seen = counts > 0
-    codes, counts = codes[seen], counts[seen].astype(float)
-    levels = [[count_level(codes, counts, depth, d, bit) for bit in range(8)] for d in range(top, depth + 1)]
-    for d in range(len(levels) - 2, -1, -1):
-        for bit in range(8):
-            levels[d][bit].weigh(levels[d + 1][bit].keys, levels[d + 1][bit].weighted)
+    keys, outcome = choices(codes[seen], depth, depth)
+    n = np.broadcast_to(counts[seen].astype(float), keys.shape).ravel()
+    keys, outcome = keys.ravel(), outcome.ravel()
+    own, inverse = np.unique(keys, return_inverse=True)
+    levels = [Level(own, np.bincount(inverse, n * (1 - outcome), len(own)), np.bincount(inverse, n * outcome, len(own)))]
+    for _ in range(depth - top):
+        low = levels[0]
+        levels.insert(0, raised(low.keys, low.zeros, low.ones, low.weighted))
     return levels
 
 
-def predict(levels: list[list[Level]], codes: np.ndarray, depth: int, top: int, tail: np.ndarray | None = None) -> np.ndarray:
-    """Probability of each code's outcome at each bit (rows: bits), mixing depths ``top`` and deeper.
+def predict(levels: list[Level], codes: np.ndarray, depth: int, top: int, tail: np.ndarray | None = None) -> np.ndarray:
+    """Probability of each code's outcomes (rows: the eight choices), mixing depths ``top`` and deeper.
 
     An unseen node predicts one half. ``tail`` are the predictions below the deepest level, if any.
     """
     out = np.full((8, len(codes)), 0.5) if tail is None else tail
     for d in range(len(levels) - 1, -1, -1):
-        for bit in range(8):
-            node = levels[d][bit]
-            keys, outcome = choices(codes, depth, top + d, bit)
-            at = np.searchsorted(node.keys, keys)
-            at = np.minimum(at, max(0, len(node.keys) - 1))
-            known = node.keys[at] == keys if len(node.keys) else np.zeros(len(keys), bool)
-            at = np.where(known, at, 0)
-            if len(node.keys):
-                hit = np.where(outcome == 1, node.ones[at], node.zeros[at])
-                own = (hit + 0.5) / (node.zeros[at] + node.ones[at] + 1.0)
-                stop = node.stop[at]
-                mixed = stop * own + (1 - stop) * out[bit]
-                out[bit] = np.where(known, mixed, 0.5)
-            else:
-                out[bit] = 0.5
+        node = levels[d]
+        if not len(node.keys):
+            out = np.full((8, len(codes)), 0.5)
+            continue
+        keys, outcome = choices(codes, depth, top + d)
+        at = np.minimum(np.searchsorted(node.keys, keys), len(node.keys) - 1)
+        known = node.keys[at] == keys
+        hit = np.where(outcome == 1, node.ones[at], node.zeros[at])
+        own = (hit + 0.5) / (node.zeros[at] + node.ones[at] + 1.0)
+        out = np.where(known, node.stop[at] * own + (1 - node.stop[at]) * out, 0.5)
     return out
 
 
@@ -149,7 +155,7 @@ def _count_batch(depth: int):  # noqa: ANN202
                 words.update(t.split())
         names, total = list(words), len(words)
         return {
-            "gram": pa.array(np.concatenate([grams, np.zeros(total, np.int64)]), pa.int64(), mask=np.arange(len(grams) + total) >= len(grams)),
+            "gram": np.concatenate([grams, np.full(total, -1, np.int64)]),
             "word": pa.array([None] * len(grams) + names, pa.binary()),
             "n": np.concatenate([n, np.array([words[w] for w in names], np.int64)]),
         }
@@ -157,32 +163,27 @@ def _count_batch(depth: int):  # noqa: ANN202
     return make
 
 
-def _shard_down(depth: int):  # noqa: ANN202
-    """A shard's rows (gram, n) to its depth-2 nodes, the sums that the levels above need."""
+_NODES = "node bigint, zeros double, ones double, weighted double"
 
+
+def _range_nodes(depth: int):  # noqa: ANN202
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        levels = build_levels(pdf["gram"].to_numpy(), pdf["n"].to_numpy(), depth, 2)[0]
-        return pd.DataFrame(
-            {"node": np.concatenate([x.keys for x in levels]), "bit": np.repeat(np.arange(8), [len(x.keys) for x in levels]), **{k: np.concatenate([getattr(x, k) for x in levels]) for k in ("zeros", "ones", "weighted")}}
-        )
+        return build_levels(pdf["gram"].to_numpy(), pdf["n"].to_numpy(), depth, SHARD)[0].frame()
 
     return run
 
 
-def _top_levels(nodes: pd.DataFrame, deepest: int) -> list[list[Level]]:
-    """Levels 0..deepest from nodes of depth ``deepest`` + 1 (node, bit, zeros, ones, weighted)."""
-    out: list[list[Level]] = [[] for _ in range(deepest + 1)]
-    for bit in range(8):
-        own = nodes[nodes["bit"] == bit].sort_values("node")
-        keys, zeros, ones, weighted = (own[c].to_numpy() for c in ("node", "zeros", "ones", "weighted"))
-        for d in range(deepest, -1, -1):
-            parent = ((keys >> 16) << 8) | (keys & 255)
-            up, inverse = np.unique(parent, return_inverse=True)
-            level = Level(up, np.bincount(inverse, zeros, len(up)), np.bincount(inverse, ones, len(up)))
-            level.weigh(keys, weighted)
-            out[d].append(level)
-            keys, zeros, ones, weighted = level.keys, level.zeros, level.ones, level.weighted
-    return out
+def _raise(pdf: pd.DataFrame) -> pd.DataFrame:
+    return raised(*(pdf[c].to_numpy() for c in ("node", "zeros", "ones", "weighted"))).frame()
+
+
+def _level(pdf: pd.DataFrame) -> Level:
+    """A weighted level from its rows in any order."""
+    own = pdf.sort_values("node")
+    level = Level(own["node"].to_numpy(np.int64), own["zeros"].to_numpy(float), own["ones"].to_numpy(float))
+    level.weighted = own["weighted"].to_numpy(float)
+    level.stop = np.exp(level.own - math.log(2) - level.weighted)
+    return level
 
 
 def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "text", modulus: int = 7, held_out: int = 2, depth: int = DEPTH, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
@@ -192,31 +193,44 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     probability of the bytes and the end mark. The base scores words between blanks and one end token
     by their smoothed shares. Null and empty texts have the end only. Without training rows every
     choice has probability one half and the base counts are 0. A null key belongs to the fold of the
-    empty text. Repeated rows are learnt and scored each for itself; an empty table gives no rows.
+    empty text. ``depth`` is at least 3. Repeated rows are learnt and scored each for itself; an empty table gives no rows.
     """
     base = two_columns(docs, key, text).withColumn("held_out", fold_of(F.col("doc_id"), modulus) == held_out)
     counts = map_batches(base, "gram bigint, word binary, n bigint", _count_batch(depth))
     counts = written(counts.groupBy("gram", "word").agg(F.sum("n").alias("n")), "lm-counts")
     facts = base.agg(F.sum(F.octet_length("text") + 1).alias("size"), F.sum((~F.col("held_out")).cast("long")).alias("trained")).first()
     trained = facts["trained"] or 0
-    sums = counts.where("word IS NOT NULL").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
+    sums = counts.where("gram < 0").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
     total, distinct = (sums["n"] or 0) + trained, (sums["v"] or 0) + (1 if trained else 0)
 
-    shard = F.shiftright("gram", 8 * (depth - 1))
-    grams = counts.where("gram IS NOT NULL").select("gram", "n")
-    nodes = grams.where("n > 0").groupBy(shard.alias("shard")).applyInPandas(_shard_down(depth), "node bigint, bit int, zeros double, ones double, weighted double")
-    # Depth-2 nodes meet by their depth-1 parent: at most 256 x 255 of them for each, as many parents come out.
-    parents = F.struct(F.shiftright("node", 16).alias("context"), "bit")
-    ones = nodes.groupBy(parents.alias("p")).applyInPandas(_raise_level, "node bigint, bit int, zeros double, ones double, weighted double").toPandas()
-    sent = docs.sparkSession.sparkContext.broadcast(_top_levels(ones, 0) + [_as_levels(ones)])
-
-    def answer(pdf: pd.DataFrame) -> pd.DataFrame:
-        codes = pdf["gram"].to_numpy()
-        p = predict(build_levels(codes, pdf["n"].to_numpy(), depth, 2), codes, depth, 2)
-        p = predict(sent.value, codes, depth, 0, p)
-        return pd.DataFrame({"gram": codes, "value": np.log10(p).sum(axis=0)})
+    grams = counts.where("gram >= 0").select("gram", "n", F.shiftright("gram", 8 * (depth + 1 - SHARD)).alias("shard"))
+    size = grams.count()
+    ranges = max(1, math.ceil(size / RANGE_ROWS))
+    cuts = grams.agg(F.percentile_approx("shard", [k / ranges for k in range(1, ranges)] or [0.5], 100 * ranges)).first()[0] or []
+    place = F.size(F.filter(F.array(*[F.lit(c) for c in sorted(set(cuts))]), lambda c: c <= F.col("shard"))) if ranges > 1 and cuts else F.lit(0)
+    grams = grams.withColumn("range", place)
+    nodes = written(grams.where("n > 0").groupBy("range").applyInPandas(_range_nodes(depth), _NODES), "nodes-3")
+    # A parent's children are together; one group holds the parents of a context without its oldest bytes.
+    nodes = written(nodes.groupBy(F.pmod(F.xxhash64(F.shiftright("node", 16)), F.lit(64)).alias("g")).applyInPandas(_raise, _NODES), "nodes-2")
+    first = nodes.groupBy(F.shiftright("node", 16).alias("g")).applyInPandas(_raise, _NODES).toPandas()
+    first = _level(first)
+    sent = docs.sparkSession.sparkContext.broadcast([raised(first.keys, first.zeros, first.ones, first.weighted), first])
+    wanted = grams.select("range", F.shiftright("shard", 8).alias("context")).distinct()
+    second = nodes.withColumn("context", F.shiftright("node", 8)).join(wanted, "context").select("range", "node", "zeros", "ones", "weighted")
+    second = written(second, "nodes-asked")
+
+    def answer(own: pd.DataFrame, above: pd.DataFrame) -> pd.DataFrame:
+        codes = own["gram"].to_numpy(np.int64)
+        levels = build_levels(codes, own["n"].to_numpy(), depth, SHARD)
+        top, second_ = sent.value, _level(above)
+        out = []
+        for at in range(0, len(codes), 100_000):
+            part = codes[at : at + 100_000]
+            p = predict(top, part, depth, 0, predict([second_], part, depth, 2, predict(levels, part, depth, SHARD)))
+            out.append(np.log10(p).sum(axis=0))
+        return pd.DataFrame({"gram": codes, "value": np.concatenate(out) if out else np.zeros(0)})
 
-    values = written(grams.groupBy(shard.alias("shard")).applyInPandas(answer, "gram bigint, value double"), "lm-values")
+    values = written(grams.groupBy("range").cogroup(second.groupBy("range")).applyInPandas(answer, "gram bigint, value double"), "lm-values")
 
     chunks = max(1, math.ceil((facts["size"] or 0) / chunk_bytes))
     dealt = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks)))
@@ -229,20 +243,19 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
             for t in texts:
                 words_.update(t.split())
         own = pd.unique(np.concatenate(grams_))
-        n, m = len(own), len(words_)
-        return pd.DataFrame({"chunk": int(pdf["chunk"].iloc[0]), "gram": pd.Series(own).astype("Int64").reindex(range(n + m)), "word": [None] * n + list(words_)})
+        return pd.DataFrame({"chunk": int(pdf["chunk"].iloc[0]), "gram": np.concatenate([own, np.full(len(words_), -1, np.int64)]), "word": [None] * len(own) + list(words_)})
 
     asked = dealt.groupBy("chunk").applyInPandas(ask, "chunk bigint, gram bigint, word binary")
-    answers = asked.where("gram IS NOT NULL").select("chunk", "gram").join(values, "gram").select("chunk", "gram", F.lit(None).cast("binary").alias("word"), "value")
-    known = counts.where("word IS NOT NULL").select("word", F.col("n").cast("double").alias("value"))
-    answers = answers.unionByName(asked.where("word IS NOT NULL").select("chunk", "word").join(known, "word").select("chunk", F.lit(None).cast("bigint").alias("gram"), "word", "value"))
+    answers = asked.where("gram >= 0").select("chunk", "gram").join(values, "gram").select("chunk", "gram", F.lit(None).cast("binary").alias("word"), "value")
+    known = counts.where("gram < 0").select("word", F.col("n").cast("double").alias("value"))
+    answers = answers.unionByName(asked.where("gram < 0").select("chunk", "word").join(known, "word").select("chunk", F.lit(-1).cast("bigint").alias("gram"), "word", "value"))
     kind = base.schema["doc_id"].dataType.simpleString()
     # The smoothed share of a token of count c is (c + 1) / (total + 1 * (distinct + 1)).
     log_all = math.log10(total + distinct + 1)
     log_end = math.log10(trained + 1) - log_all
 
     def score(docs_: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
-        is_gram = got["gram"].notna().to_numpy()
+        is_gram = got["gram"].to_numpy(np.int64) >= 0
         own = got["gram"][is_gram].to_numpy(np.int64)
         order = np.argsort(own)
         own, value = own[order], got["value"].to_numpy(float)[is_gram][order]
@@ -267,24 +280,3 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double, bits_per_byte double"
     return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(score, schema)
 
-
-def _raise_level(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Nodes of one depth under one parent context and bit to that parent's nodes, weighted."""
-    own = pdf.sort_values("node")
-    keys = own["node"].to_numpy()
-    up, inverse = np.unique(((keys >> 16) << 8) | (keys & 255), return_inverse=True)
-    level = Level(up, np.bincount(inverse, own["zeros"], len(up)), np.bincount(inverse, own["ones"], len(up)))
-    level.weigh(keys, own["weighted"].to_numpy())
-    return pd.DataFrame({"node": up, "bit": int(own["bit"].iloc[0]), "zeros": level.zeros, "ones": level.ones, "weighted": level.weighted})
-
-
-def _as_levels(nodes: pd.DataFrame) -> list[Level]:
-    """Depth-1 nodes with their stop weights, one level for each bit."""
-    out = []
-    for bit in range(8):
-        own = nodes[nodes["bit"] == bit].sort_values("node")
-        level = Level(own["node"].to_numpy(np.int64), own["zeros"].to_numpy(float), own["ones"].to_numpy(float))
-        level.weighted = own["weighted"].to_numpy(float)
-        level.stop = np.exp(level.own - math.log(2) - level.weighted)
-        out.append(level)
-    return out
