@@ -205,29 +205,48 @@ def block_links(
         F.expr("concat(transform(sequence(0, n_rest - 1), o -> struct(least(o, own) AS x, greatest(o, own) AS y)), transform(sequence(1, n_core), c -> struct(own AS x, -c AS y)))")
     )
     cells = split.join(counts, "bucket").withColumn("own", own).select("bucket", "band", "rep", "comp", "n", "rest", F.explode(cells).alias("cell"))
+    cells = written(cells, "cells")
     data = sets.select(F.col("doc_id").alias("rep"), "items").join(classes.select("rep", "sketch"), "rep")
-    full = written(cells, "cells").join(written(data, "block-data"), "rep")
+    # Most cells are tiny: a task takes a share of them, some thousand rows.
+    deals = max(1, cells.count() // 2000)
+    full = cells.join(written(data, "block-data"), "rep").withColumn("deal", F.pmod(F.xxhash64("bucket", "cell"), F.lit(deals)))
 
-    def links(key, pdf):  # noqa: ANN001, ANN202
+    def links(pdf):  # noqa: ANN001, ANN202
         import pandas as pd
 
-        out_a, out_b = [], []
-        sk = np.stack(pdf["sketch"].to_numpy())
-        n, comp, rest, reps, items = pdf["n"].to_numpy(), pdf["comp"].to_numpy(), pdf["rest"].to_numpy(), pdf["rep"].to_numpy(), pdf["items"].to_numpy()
-        band, joined = int(pdf["band"].iloc[0]), set()
-        for p in np.flatnonzero(rest):
-            q = np.flatnonzero((comp != comp[p]) & (~rest | (np.arange(len(n)) > p)))
-            q = q[100 * np.minimum(n[q], n[p]) >= percent * np.maximum(n[q], n[p])]
-            same = sk[q] == sk[p]
-            first = same.reshape(len(q), sk.shape[1] // rows, rows).all(axis=2).argmax(axis=1)
-            q = q[(same.mean(axis=1) >= percent / 100 - slack) & (first >= band)]
-            for o in q:
-                if (comp[p], comp[o]) in joined:
-                    continue
-                inter = len(np.intersect1d(items[p], items[o], assume_unique=True))
-                if 100 * inter >= percent * (n[p] + n[o] - inter):
-                    joined |= {(comp[p], comp[o]), (comp[o], comp[p])}
-                    out_a.append(reps[p]), out_b.append(reps[o])
-        return pd.DataFrame({"a": out_a, "b": out_b}).astype({"a": pdf["rep"].dtype, "b": pdf["rep"].dtype})
-
-    return written(full.groupBy("bucket", "cell").applyInPandas(links, f"a {kind}, b {kind}"), "block-links")
+        out: list[tuple] = []
+        place = np.stack([pdf["bucket"].to_numpy(), pdf["cell"].map(lambda c: c["x"]).to_numpy(np.int64), pdf["cell"].map(lambda c: c["y"]).to_numpy(np.int64)])
+        order = np.lexsort(place)
+        place = place[:, order]
+        starts = np.flatnonzero(np.concatenate([[True], (place[:, 1:] != place[:, :-1]).any(axis=0)])).tolist() + [len(order)]
+        columns = {c: pdf[c].to_numpy()[order] for c in ("sketch", "n", "comp", "rest", "rep", "items", "band")}
+        for at, end in zip(starts, starts[1:]):
+            own = {c: v[at:end] for c, v in columns.items()}
+            if own["rest"].any() and end - at > 1:
+                out += _cell_links(**own, rows=rows, percent=percent, slack=slack)
+        return pd.DataFrame({"a": [a for a, _ in out], "b": [b for _, b in out]}).astype({"a": pdf["rep"].dtype, "b": pdf["rep"].dtype})
+
+    return written(full.groupBy("deal").applyInPandas(links, f"a {kind}, b {kind}"), "block-links")
+
+
+def _cell_links(sketch, n, comp, rest, rep, items, band, rows: int, percent: int, slack: float) -> list[tuple]:  # noqa: ANN001
+    """Links between classes of different components in one cell; those that are not core come first in a pair."""
+    out, joined = [], set()
+    sk, numbers = np.stack(sketch), np.arange(len(n))
+    for p in np.flatnonzero(rest):
+        q = np.flatnonzero((comp != comp[p]) & (~rest | (numbers > p)))
+        q = q[100 * np.minimum(n[q], n[p]) >= percent * np.maximum(n[q], n[p])]
+        if not len(q):
+            continue
+        same = sk[q] == sk[p]
+        q, same = q[near := same.mean(axis=1) >= percent / 100 - slack], same[near]
+        # Only in the first band that the two share is the pair looked at.
+        q = q[same.reshape(len(q), sk.shape[1] // rows, rows).all(axis=2).argmax(axis=1) >= band[0]]
+        for o in q:
+            if (comp[p], comp[o]) in joined:
+                continue
+            inter = len(np.intersect1d(items[p], items[o], assume_unique=True))
+            if 100 * inter >= percent * (n[p] + n[o] - inter):
+                joined |= {(comp[p], comp[o]), (comp[o], comp[p])}
+                out.append((rep[p], rep[o]))
+    return out
