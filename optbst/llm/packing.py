@@ -15,6 +15,8 @@ from __future__ import annotations
 
 import bisect
 import os
+import re
+import struct
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -60,26 +62,52 @@ def best_fit(sizes: Iterable[int], capacity: int) -> list[list[int]]:
     return bins
 
 
+#: ASCII letters and then ASCII marks: the tokenizer parts them and looks at each alone.
+_PLAIN = re.compile(r"([A-Za-z]+)([!-/:-@\[-`{-~]*)\Z")
+
+
 class RunTokenizer:
-    """Ids of texts by a tokenizer file's content, with a cache of runs between blanks."""
+    """Ids of texts by a tokenizer file's content, with a cache of runs between blanks.
 
-    def __init__(self, content: str, most_runs: int = 400_000):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
+    Pickles as the content only. A worker process keeps one for all of its tasks, in a broadcast.
+    """
 
-        self.own, self.cache, self.most = Tokenizer.from_str(content), {"": b""}, most_runs
+    def __init__(self, content: str, most_runs: int = 800_000):
+        self.content, self.most, self.own = content, most_runs, None
+
+    def __getstate__(self) -> dict:
+        return {"content": self.content, "most": self.most, "own": None}
+
+    def _learn(self, runs: list[str]) -> None:
+        cache, parted, alone = self.cache, [], set()
+        for w in runs:
+            m = _PLAIN.match(w)
+            if m is None:
+                alone.add(w)
+                continue
+            stem, marks = m[1].lower(), m[2]
+            parted.append((w, stem, marks))
+            alone.update(x for x in (stem, marks) if x not in cache)
+        names = list(alone)
+        for w, e in zip(names, self.own.encode_batch(names, add_special_tokens=False)):
+            ids = e.ids
+            cache[w] = struct.pack(f"<{len(ids)}I", *ids)
+        for w, stem, marks in parted:
+            cache[w] = cache[stem] + cache[marks]
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        runs = [t.replace("\n", " ").split(" ") for t in texts]
+        if self.own is None:
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"
+            from tokenizers import Tokenizer
+
+            self.own, self.cache = Tokenizer.from_str(self.content), {"": b""}
         if len(self.cache) > self.most:
             self.cache = {"": b""}
-        for words in runs:
-            # A set first: most runs are known, and a long text costs one look at each.
-            new = [w for w in set(words) if w not in self.cache]
-            if new:
-                for w, e in zip(new, self.own.encode_batch(new, add_special_tokens=False)):
-                    self.cache[w] = np.array(e.ids, "<u4").tobytes()
+        runs = [t.replace("\n", " ").split(" ") for t in texts]
+        new = set().union(*runs).difference(self.cache)
+        if new:
+            self._learn(list(new))
         return [b"".join(map(self.cache.__getitem__, words)) for words in runs]
 
 
@@ -98,16 +126,16 @@ def best_fit_packing(docs: DataFrame, tokenizer: str, key: str = "doc_id", text:
     """
     base = two_columns(docs, key, text)
     kind = base.schema["doc_id"].dataType
-    sent = docs.sparkSession.sparkContext.broadcast(tokenizer_content(tokenizer))
+    sent = docs.sparkSession.sparkContext.broadcast(RunTokenizer(tokenizer_content(tokenizer)))
     member = f"struct<doc_id: {kind.simpleString()}, piece: int, start: bigint, length: bigint, ids_crc32: bigint, `offset`: bigint>"
     schema = f"level int, node bigint, bin bigint, fill bigint, closed boolean, members array<{member}>"
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        node, own, pieces, end = TaskContext.get().partitionId(), RunTokenizer(sent.value), [], np.array([end_id], "<u4").tobytes()
+        node, own, pieces, end = TaskContext.get().partitionId(), sent.value, [], np.array([end_id], "<u4").tobytes()
         id_type = None
         for batch in batches:
             id_type = batch.schema.field("doc_id").type
-            for part in sliced(batch):
+            for part in sliced(batch, 8 << 20):
                 for doc, ids in zip(part.column("doc_id").to_pylist(), own.ids(part.column("text").to_pylist())):
                     ids += end
                     for n, at in enumerate(range(0, len(ids), 4 * capacity)):
