@@ -11,24 +11,27 @@ Scale. One pass counts (context, byte) and words over all texts, pre-aggregated
 counts are cut into ranges of contexts, latest byte first, that never part contexts with the same
 three latest bytes; ranges are weighted bottom-up by independent tasks, and depths 2 and 1 are
 raised from the sums of the depth below in the same way. Only the 255 x 256 nodes of depth 1 (a
-fixed bound) meet in one place. Texts are then scored in chunks: a chunk asks the counts for the
-distinct (context, byte) pairs and words that it has, and the answers come back to the chunk.
-Nothing that grows with the data is broadcast or collected.
+fixed bound) meet in one place. Texts are then scored in chunks: a chunk sends the distinct keys
+that it has, packed, to the shards of the answers, and the packed answers come back in the same
+order. A shard that many chunks ask is copied for every ``ASKERS`` of them, so no task grows with
+the data, and nothing that does is broadcast or collected. A key is a context and byte, or a word's
+63-bit hash (two of a billion words share one with a probability of about one in twenty).
 """
 
 from __future__ import annotations
 
 import math
-from collections import Counter
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import written
-from .common import blank_words, fold_of, map_batches, two_columns, utf8
+from .common import fold_of, two_columns, utf8
 
 DEPTH = 5
 #: Latest bytes that rows of one range share; contexts are at least this long.
@@ -38,7 +41,9 @@ RANGE_ROWS = 500_000
 #: Stands before a text and ends it; no UTF-8 text has this byte.
 MARK = 0xFF
 #: Text bytes that a scoring chunk holds, about.
-CHUNK_BYTES = 24 << 20
+CHUNK_BYTES = 16 << 20
+#: Chunks that ask one copy of a shard, at most; keys of a shard, about.
+ASKERS, SHARD_KEYS = 64, 500_000
 
 
 def log_gamma_half(x: np.ndarray) -> np.ndarray:
@@ -142,25 +147,75 @@ def predict(levels: list[Level], codes: np.ndarray, depth: int, top: int, tail:
     return out
 
 
-def _count_batch(depth: int):  # noqa: ANN202
-    def make(batch: pa.RecordBatch) -> dict[str, object]:
-        texts = [utf8(t).lower() for t in batch.column("text").to_pylist()]
-        held = np.array(batch.column("held_out").to_pylist(), bool)
-        codes, owner = gram_codes(texts, depth)
-        at, grams = pd.factorize(codes)
-        n = np.bincount(at, ~held[owner], len(grams)).astype(np.int64)
-        words: Counter = Counter()
-        for t, h in zip(texts, held):
-            if not h:
-                words.update(t.split())
-        names, total = list(words), len(words)
-        return {
-            "gram": np.concatenate([grams, np.full(total, -1, np.int64)]),
-            "word": pa.array([None] * len(grams) + names, pa.binary()),
-            "n": np.concatenate([n, np.array([words[w] for w in names], np.int64)]),
-        }
+def word_key(word: bytes) -> int:
+    """A negative key from a 63-bit hash; contexts have keys of 0 and more."""
+    return -1 - (xxhash.xxh3_64_intdigest(word) >> 1)
+
+
+class Keys:
+    """Keys of contexts and words of some texts: their places, owners and the distinct ones."""
+
+    def __init__(self, texts: list[bytes], depth: int, cache: dict[bytes, int]):
+        self.grams, self.gram_owner = gram_codes(texts, depth)
+        words = [t.split() for t in texts]
+        for w in set().union(*words).difference(cache):
+            cache[w] = word_key(w)
+        self.lengths = np.array([len(w) for w in words], np.int64)
+        self.words = np.fromiter((cache[w] for own in words for w in own), np.int64, int(self.lengths.sum()))
+        self.word_owner = np.repeat(np.arange(len(texts)), self.lengths)
+
+
+def text_slices(texts: Iterable[str], most: int = 2 << 20) -> Iterator[list[bytes]]:
+    """Lower-cased texts as bytes, in lists of about ``most`` bytes; a longer text is a list of its own."""
+    own, size = [], 0
+    for t in texts:
+        raw = utf8(t).lower()
+        if own and size + len(raw) > most:
+            yield own
+            own, size = [], 0
+        own.append(raw)
+        size += len(raw)
+    if own:
+        yield own
+
+
+def _merged(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    own, inverse = np.unique(np.concatenate(keys), return_inverse=True)
+    return own, np.bincount(inverse, np.concatenate(counts), len(own)).astype(np.int64)
+
+
+def _counter(depth: int, most: int = 1_500_000):  # noqa: ANN202
+    """(key, n) over a partition: training counts of all keys, merged before they leave in parts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys: list[np.ndarray] = []
+        counts: list[np.ndarray] = []
+
+        def leave() -> pa.RecordBatch:
+            own, n = _merged(keys, counts)
+            keys.clear(), counts.clear()
+            return pa.RecordBatch.from_arrays([pa.array(own), pa.array(n)], names=["key", "n"])
+
+        for batch in batches:
+            held, at, cache = np.array(batch.column("held_out").to_pylist(), bool), 0, {}
+            for texts in text_slices(batch.column("text").to_pylist()):
+                own, train = Keys(texts, depth, cache), ~held[at : at + len(texts)]
+                at += len(texts)
+                if len(cache) > 300_000:
+                    cache = {}
+                for k, owner in ((own.grams, own.gram_owner), (own.words, own.word_owner)):
+                    which, distinct = pd.factorize(k)
+                    keys.append(distinct)
+                    counts.append(np.bincount(which, train[owner], len(distinct)).astype(np.int64))
+                if sum(map(len, keys)) > 2 * most:
+                    merged = _merged(keys, counts)
+                    keys[:], counts[:] = [merged[0]], [merged[1]]
+                    if len(merged[0]) > most:
+                        yield leave()
+        if keys:
+            yield leave()
 
-    return make
+    return run
 
 
 _NODES = "node bigint, zeros double, ones double, weighted double"
@@ -196,14 +251,14 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     empty text. ``depth`` is at least 3. Repeated rows are learnt and scored each for itself; an empty table gives no rows.
     """
     base = two_columns(docs, key, text).withColumn("held_out", fold_of(F.col("doc_id"), modulus) == held_out)
-    counts = map_batches(base, "gram bigint, word binary, n bigint", _count_batch(depth))
-    counts = written(counts.groupBy("gram", "word").agg(F.sum("n").alias("n")), "lm-counts")
+    counts = base.mapInArrow(_counter(depth), "key bigint, n bigint").groupBy("key").agg(F.sum("n").alias("n"))
+    counts = written(counts, "lm-counts")
     facts = base.agg(F.sum(F.octet_length("text") + 1).alias("size"), F.sum((~F.col("held_out")).cast("long")).alias("trained")).first()
     trained = facts["trained"] or 0
-    sums = counts.where("gram < 0").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
+    sums = counts.where("key < 0 AND n > 0").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
     total, distinct = (sums["n"] or 0) + trained, (sums["v"] or 0) + (1 if trained else 0)
 
-    grams = counts.where("gram >= 0").select("gram", "n", F.shiftright("gram", 8 * (depth + 1 - SHARD)).alias("shard"))
+    grams = counts.where("key >= 0").select(F.col("key").alias("gram"), "n", F.shiftright("key", 8 * (depth + 1 - SHARD)).alias("shard"))
     size = grams.count()
     ranges = max(1, math.ceil(size / RANGE_ROWS))
     cuts = grams.agg(F.percentile_approx("shard", [k / ranges for k in range(1, ranges)] or [0.5], 100 * ranges)).first()[0] or []
@@ -228,55 +283,66 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
             part = codes[at : at + 100_000]
             p = predict(top, part, depth, 0, predict([second_], part, depth, 2, predict(levels, part, depth, SHARD)))
             out.append(np.log10(p).sum(axis=0))
-        return pd.DataFrame({"gram": codes, "value": np.concatenate(out) if out else np.zeros(0)})
+        return pd.DataFrame({"key": codes, "value": np.concatenate(out) if out else np.zeros(0)})
 
-    values = written(grams.groupBy("range").cogroup(second.groupBy("range")).applyInPandas(answer, "gram bigint, value double"), "lm-values")
+    values = grams.groupBy("range").cogroup(second.groupBy("range")).applyInPandas(answer, "key bigint, value double")
+    words = counts.where("key < 0 AND n > 0").select("key", F.col("n").cast("double").alias("value"))
+    values = written(values.unionByName(words), "lm-values")
 
     chunks = max(1, math.ceil((facts["size"] or 0) / chunk_bytes))
+    copies = math.ceil(chunks / ASKERS)
+    shards = math.ceil(values.count() / SHARD_KEYS) * 2 + 1  # odd, as the last byte of a context's key is a text's
     dealt = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks)))
 
+    def distinct_keys(texts: Iterable[str]) -> np.ndarray:
+        own, cache = [np.zeros(0, np.int64)], {}
+        for part in text_slices(texts):
+            k = Keys(part, depth, cache)
+            own += [pd.unique(k.grams), pd.unique(k.words)]
+        return np.unique(np.concatenate(own))
+
     def ask(pdf: pd.DataFrame) -> pd.DataFrame:
-        grams_, words_ = [], set()
-        for at in range(0, len(pdf), 2000):
-            texts = [utf8(t).lower() for t in pdf["text"].iloc[at : at + 2000]]
-            grams_.append(pd.unique(gram_codes(texts, depth)[0]))
-            for t in texts:
-                words_.update(t.split())
-        own = pd.unique(np.concatenate(grams_))
-        return pd.DataFrame({"chunk": int(pdf["chunk"].iloc[0]), "gram": np.concatenate([own, np.full(len(words_), -1, np.int64)]), "word": [None] * len(own) + list(words_)})
-
-    asked = dealt.groupBy("chunk").applyInPandas(ask, "chunk bigint, gram bigint, word binary")
-    answers = asked.where("gram >= 0").select("chunk", "gram").join(values, "gram").select("chunk", "gram", F.lit(None).cast("binary").alias("word"), "value")
-    known = counts.where("gram < 0").select("word", F.col("n").cast("double").alias("value"))
-    answers = answers.unionByName(asked.where("gram < 0").select("chunk", "word").join(known, "word").select("chunk", F.lit(-1).cast("bigint").alias("gram"), "word", "value"))
+        keys, chunk = distinct_keys(pdf["text"]), int(pdf["chunk"].iloc[0])
+        shard = keys % shards
+        return pd.DataFrame({"chunk": chunk, "shard": range(shards), "copy": chunk % copies, "packed": [keys[shard == k].tobytes() for k in range(shards)]})
+
+    def reply(asked: pd.DataFrame, model: pd.DataFrame) -> pd.DataFrame:
+        order = np.argsort(model["key"].to_numpy())
+        own, value = model["key"].to_numpy()[order], model["value"].to_numpy(float)[order]
+        out = []
+        for packed in asked["packed"]:
+            keys = np.frombuffer(packed, np.int64)
+            at = np.minimum(np.searchsorted(own, keys), max(0, len(own) - 1))
+            out.append((np.where(own[at] == keys, value[at], 0.0) if len(own) else np.zeros(len(keys))).tobytes())
+        return pd.DataFrame({"chunk": asked["chunk"], "shard": asked["shard"], "packed": out})
+
+    model = values.withColumn("shard", F.pmod("key", F.lit(shards))).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
+    asked = dealt.groupBy("chunk").applyInPandas(ask, "chunk bigint, shard bigint, copy int, packed binary")
+    answers = asked.groupBy("shard", "copy").cogroup(model.groupBy("shard", "copy")).applyInPandas(reply, "chunk bigint, shard bigint, packed binary")
     kind = base.schema["doc_id"].dataType.simpleString()
     # The smoothed share of a token of count c is (c + 1) / (total + 1 * (distinct + 1)).
     log_all = math.log10(total + distinct + 1)
     log_end = math.log10(trained + 1) - log_all
-
-    def score(docs_: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
-        is_gram = got["gram"].to_numpy(np.int64) >= 0
-        own = got["gram"][is_gram].to_numpy(np.int64)
-        order = np.argsort(own)
-        own, value = own[order], got["value"].to_numpy(float)[is_gram][order]
-        words = dict(zip(got["word"][~is_gram], got["value"].to_numpy(float)[~is_gram]))
-        out = []
-        for at in range(0, len(docs_), 2000):
-            part = docs_.iloc[at : at + 2000]
-            texts = [utf8(t).lower() for t in part["text"]]
-            codes, owner = gram_codes(texts, depth)
-            which, distinct_codes = pd.factorize(codes)
-            lp = value[np.searchsorted(own, distinct_codes)]
-            sums_ = np.bincount(owner, lp[which], len(texts))
-            rows = []
-            for t, s, d, h in zip(texts, sums_, part["doc_id"], part["held_out"]):
-                tokens = t.split()
-                c = np.fromiter((words.get(w, 0.0) for w in tokens), float, len(tokens))
-                base_score = float(np.log10(c + 1).sum()) - len(tokens) * log_all + log_end
-                rows.append((d, bool(h), len(tokens) + 1, int((c > 0).sum()) + (trained > 0), total, base_score, float(s), float(-s / math.log10(2) / (len(t) + 1))))
-            out.append(pd.DataFrame(rows, columns=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]))
-        return pd.concat(out) if out else pd.DataFrame(columns=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"])
+    columns = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
+
+    def score(own: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
+        keys = distinct_keys(own["text"])
+        shard, value = keys % shards, np.zeros(len(keys))
+        for k, packed in zip(got["shard"], got["packed"]):
+            value[shard == k] = np.frombuffer(packed, float)
+        out, at, cache = [pd.DataFrame(columns=columns)] if not len(own) else [], 0, {}
+        for texts in text_slices(own["text"]):
+            k, part = Keys(texts, depth, cache), own.iloc[at : at + len(texts)]
+            at += len(texts)
+            which, distinct_grams = pd.factorize(k.grams)
+            total_log = np.bincount(k.gram_owner, value[np.searchsorted(keys, distinct_grams)][which], len(texts))
+            c = value[np.searchsorted(keys, k.words)] if len(k.words) else np.zeros(0)
+            base_log = np.bincount(k.word_owner, np.log10(c + 1), len(texts)) - k.lengths * log_all + log_end
+            n_known = np.bincount(k.word_owner, c > 0, len(texts)).astype(np.int64) + int(trained > 0)
+            size_ = np.array([len(t) + 1 for t in texts])
+            rows = (part["doc_id"].to_numpy(), part["held_out"].to_numpy(), k.lengths + 1, n_known, total, base_log, total_log, -total_log / math.log10(2) / size_)
+            out.append(pd.DataFrame(dict(zip(columns, rows))))
+        return pd.concat(out)
 
     schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double, bits_per_byte double"
     return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(score, schema)
-
