@@ -22,6 +22,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -68,13 +69,14 @@ def gram_codes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.ndarray]:
     pad = bytes([MARK]) * depth
     data = np.frombuffer(b"".join(pad + t + pad[:1] for t in texts), np.uint8).astype(np.int64)
     lengths = np.array([len(t) + 1 for t in texts], np.int64)
-    first = np.concatenate([[0], np.cumsum(lengths + depth)[:-1]]) + depth if len(texts) else np.zeros(0, np.int64)
-    owner = np.repeat(np.arange(len(texts)), lengths)
-    at = np.arange(lengths.sum()) - np.repeat(np.cumsum(lengths) - lengths, lengths) + np.repeat(first, lengths)
-    code = np.zeros(len(at), np.int64)
+    code = data[depth:].copy()
     for k in range(1, depth + 1):
-        code = (code << 8) | data[at - k]
-    return (code << 8) | data[at], owner
+        code |= data[depth - k : len(data) - k] << (8 * (depth + 1 - k))
+    # The marks before a text are no symbols of it.
+    starts = np.cumsum(lengths + depth)[:-1]
+    keep = np.ones(len(code), bool)
+    keep[((starts - depth)[:, None] + np.arange(depth)).ravel()] = False
+    return code[keep], np.repeat(np.arange(len(texts)), lengths)
 
 
 def choices(codes: np.ndarray, depth: int, at_depth: int) -> tuple[np.ndarray, np.ndarray]:
@@ -161,7 +163,7 @@ class Keys:
         for w in set().union(*words).difference(cache):
             cache[w] = word_key(w)
         self.lengths = np.array([len(w) for w in words], np.int64)
-        self.words = np.fromiter((cache[w] for own in words for w in own), np.int64, int(self.lengths.sum()))
+        self.words = np.fromiter(map(cache.__getitem__, chain.from_iterable(words)), np.int64, int(self.lengths.sum()))
         self.word_owner = np.repeat(np.arange(len(texts)), self.lengths)
 
 
@@ -179,6 +181,13 @@ def text_slices(texts: Iterable[str], most: int = 2 << 20) -> Iterator[list[byte
         yield own
 
 
+def sorted_distinct(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values in order, and how often each stands in ``x``."""
+    x = np.sort(x)
+    first = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
+    return x[first], np.diff(np.append(first, len(x)))
+
+
 def _merged(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     own, inverse = np.unique(np.concatenate(keys), return_inverse=True)
     return own, np.bincount(inverse, np.concatenate(counts), len(own)).astype(np.int64)
@@ -204,9 +213,10 @@ def _counter(depth: int, most: int = 1_500_000):  # noqa: ANN202
                 if len(cache) > 300_000:
                     cache = {}
                 for k, owner in ((own.grams, own.gram_owner), (own.words, own.word_owner)):
-                    which, distinct = pd.factorize(k)
-                    keys.append(distinct)
-                    counts.append(np.bincount(which, train[owner], len(distinct)).astype(np.int64))
+                    for part, weight in ((k[train[owner]], 1), (k[~train[owner]], 0)):
+                        distinct, n = sorted_distinct(part)
+                        keys.append(distinct)
+                        counts.append(n * weight)
                 if sum(map(len, keys)) > 2 * most:
                     merged = _merged(keys, counts)
                     keys[:], counts[:] = [merged[0]], [merged[1]]
@@ -298,8 +308,8 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
         own, cache = [np.zeros(0, np.int64)], {}
         for part in text_slices(texts):
             k = Keys(part, depth, cache)
-            own += [pd.unique(k.grams), pd.unique(k.words)]
-        return np.unique(np.concatenate(own))
+            own += [sorted_distinct(k.grams)[0], sorted_distinct(k.words)[0]]
+        return sorted_distinct(np.concatenate(own))[0]
 
     def ask(pdf: pd.DataFrame) -> pd.DataFrame:
         keys, chunk = distinct_keys(pdf["text"]), int(pdf["chunk"].iloc[0])
@@ -326,21 +336,29 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     columns = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
 
     def score(own: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
-        keys = distinct_keys(own["text"])
+        # One look at the texts: each place keeps the number of its key among those of its slice.
+        seen, cache, keys = [], {}, [np.zeros(0, np.int64)]
+        for texts in text_slices(own["text"]):
+            k = Keys(texts, depth, cache)
+            sides = []
+            for places, owner in ((k.grams, k.gram_owner), (k.words, k.word_owner)):
+                which, distinct_ = pd.factorize(places)
+                sides.append((which.astype(np.int32), distinct_, owner.astype(np.int32)))
+                keys.append(distinct_)
+            seen.append((sides, k.lengths, np.array([len(t) + 1 for t in texts])))
+        keys = sorted_distinct(np.concatenate(keys))[0]
         shard, value = keys % shards, np.zeros(len(keys))
         for k, packed in zip(got["shard"], got["packed"]):
             value[shard == k] = np.frombuffer(packed, float)
-        out, at, cache = [pd.DataFrame(columns=columns)] if not len(own) else [], 0, {}
-        for texts in text_slices(own["text"]):
-            k, part = Keys(texts, depth, cache), own.iloc[at : at + len(texts)]
-            at += len(texts)
-            which, distinct_grams = pd.factorize(k.grams)
-            total_log = np.bincount(k.gram_owner, value[np.searchsorted(keys, distinct_grams)][which], len(texts))
-            c = value[np.searchsorted(keys, k.words)] if len(k.words) else np.zeros(0)
-            base_log = np.bincount(k.word_owner, np.log10(c + 1), len(texts)) - k.lengths * log_all + log_end
-            n_known = np.bincount(k.word_owner, c > 0, len(texts)).astype(np.int64) + int(trained > 0)
-            size_ = np.array([len(t) + 1 for t in texts])
-            rows = (part["doc_id"].to_numpy(), part["held_out"].to_numpy(), k.lengths + 1, n_known, total, base_log, total_log, -total_log / math.log10(2) / size_)
+        out, at = [pd.DataFrame(columns=columns)] if not len(own) else [], 0
+        for (grams_, words_), lengths, sizes in seen:
+            part, n = own.iloc[at : at + len(lengths)], len(lengths)
+            at += n
+            total_log = np.bincount(grams_[2], value[np.searchsorted(keys, grams_[1])][grams_[0]], n)
+            c = value[np.searchsorted(keys, words_[1])][words_[0]] if len(words_[1]) else np.zeros(0)
+            base_log = np.bincount(words_[2], np.log10(c + 1), n) - lengths * log_all + log_end
+            n_known = np.bincount(words_[2], c > 0, n).astype(np.int64) + int(trained > 0)
+            rows = (part["doc_id"].to_numpy(), part["held_out"].to_numpy(), lengths + 1, n_known, total, base_log, total_log, -total_log / math.log10(2) / sizes)
             out.append(pd.DataFrame(dict(zip(columns, rows))))
         return pd.concat(out)
 
