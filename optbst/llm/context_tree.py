@@ -22,17 +22,15 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable, Iterator
-from itertools import chain
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import written
-from .common import fold_of, two_columns, utf8
+from .common import fold_of, mix64, two_columns, utf8
 
 DEPTH = 5
 #: Latest bytes that rows of one range share; contexts are at least this long.
@@ -149,21 +147,39 @@ def predict(levels: list[Level], codes: np.ndarray, depth: int, top: int, tail:
     return out
 
 
-def word_key(word: bytes) -> int:
-    """A negative key from a 63-bit hash; contexts have keys of 0 and more."""
-    return -1 - (xxhash.xxh3_64_intdigest(word) >> 1)
+_BYTE_VALUES = mix64(np.arange(1, 257, dtype=np.uint64))
+_IS_SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+
+
+def word_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(keys, words of each text) of the words between ASCII blanks, in order; contexts have keys of 0 and more.
+
+    A word's key is a multilinear hash: random values of its bytes times random odd values of their
+    places, summed, mixed with the length, without the last bit, and negative.
+    """
+    data = np.frombuffer(b" ".join([*texts, b""]), np.uint8)
+    word = ~_IS_SPACE[data]
+    before = np.empty_like(word)
+    before[:1], before[1:] = False, word[:-1]
+    starts = np.flatnonzero(word & ~before)
+    if not len(starts):
+        return np.zeros(0, np.int64), np.zeros(len(texts), np.int64)
+    lengths = np.flatnonzero(before & ~word) - starts
+    first = np.cumsum(lengths) - lengths
+    place = np.arange(int(lengths.sum())) - np.repeat(first, lengths)
+    odd = mix64(np.arange(1, int(lengths.max()) + 1, dtype=np.uint64) << np.uint64(20)) | np.uint64(1)
+    sums = np.add.reduceat(_BYTE_VALUES[data[word]] * odd[place], first)
+    keys = -1 - (mix64(sums + lengths.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(1)).astype(np.int64)
+    ends = np.cumsum([len(t) + 1 for t in texts])
+    return keys, np.diff(np.searchsorted(starts, ends), prepend=0)
 
 
 class Keys:
-    """Keys of contexts and words of some texts: their places, owners and the distinct ones."""
+    """Keys of the contexts and words of some texts, and the texts that they stand in."""
 
-    def __init__(self, texts: list[bytes], depth: int, cache: dict[bytes, int]):
+    def __init__(self, texts: list[bytes], depth: int):
         self.grams, self.gram_owner = gram_codes(texts, depth)
-        words = [t.split() for t in texts]
-        for w in set().union(*words).difference(cache):
-            cache[w] = word_key(w)
-        self.lengths = np.array([len(w) for w in words], np.int64)
-        self.words = np.fromiter(map(cache.__getitem__, chain.from_iterable(words)), np.int64, int(self.lengths.sum()))
+        self.words, self.lengths = word_keys(texts)
         self.word_owner = np.repeat(np.arange(len(texts)), self.lengths)
 
 
@@ -206,12 +222,10 @@ def _counter(depth: int, most: int = 1_500_000):  # noqa: ANN202
             return pa.RecordBatch.from_arrays([pa.array(own), pa.array(n)], names=["key", "n"])
 
         for batch in batches:
-            held, at, cache = np.array(batch.column("held_out").to_pylist(), bool), 0, {}
+            held, at = np.array(batch.column("held_out").to_pylist(), bool), 0
             for texts in text_slices(batch.column("text").to_pylist()):
-                own, train = Keys(texts, depth, cache), ~held[at : at + len(texts)]
+                own, train = Keys(texts, depth), ~held[at : at + len(texts)]
                 at += len(texts)
-                if len(cache) > 300_000:
-                    cache = {}
                 for k, owner in ((own.grams, own.gram_owner), (own.words, own.word_owner)):
                     for part, weight in ((k[train[owner]], 1), (k[~train[owner]], 0)):
                         distinct, n = sorted_distinct(part)
@@ -305,9 +319,9 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     dealt = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks)))
 
     def distinct_keys(texts: Iterable[str]) -> np.ndarray:
-        own, cache = [np.zeros(0, np.int64)], {}
+        own = [np.zeros(0, np.int64)]
         for part in text_slices(texts):
-            k = Keys(part, depth, cache)
+            k = Keys(part, depth)
             own += [sorted_distinct(k.grams)[0], sorted_distinct(k.words)[0]]
         return sorted_distinct(np.concatenate(own))[0]
 
@@ -337,9 +351,9 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
 
     def score(own: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
         # One look at the texts: each place keeps the number of its key among those of its slice.
-        seen, cache, keys = [], {}, [np.zeros(0, np.int64)]
+        seen, keys = [], [np.zeros(0, np.int64)]
         for texts in text_slices(own["text"]):
-            k = Keys(texts, depth, cache)
+            k = Keys(texts, depth)
             sides = []
             for places, owner in ((k.grams, k.gram_owner), (k.words, k.word_owner)):
                 which, distinct_ = pd.factorize(places)
