@@ -4,7 +4,348 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .families import FAMILIES, cells_sql, counts, vocabulary_weights, weights, weights_sql, words
+from .functions.kernel import brute_force, build_tree, depths_of, heuristic_roots, solve_windowed, tree_cost
+from .functions.kernel import Weights
+from .operators.dynamic import duality_gaps, graph_edges, reduced_edges, solved, solved_groups, solved_relational
+from .operators.weights import collected, hit_counts, prefix
+from .plans import geometry as g
+from .plans.engine import solve_blocks, unpacked
+from .plans.published import runs
+from .plans.simulate import candidate_prefix, simulate
+from .sources.tables import load
+from .storage import written
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):  # noqa: ANN201
+    def register(f):  # noqa: ANN001, ANN202
+        QUERIES[name] = f
+        if sql:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return register
+
+
+_CELLS = "SELECT lo::INT AS lo, hi::INT AS hi, cost::BIGINT AS cost, split::INT AS split FROM cells"
+
+# Weights ------------------------------------------------------------------------------------------
+for _f in FAMILIES:
+    query(f"weights_{_f}", f"WITH {weights_sql(_f)} SELECT idx, CAST(key AS VARCHAR) AS key, hit, miss FROM wt")(
+        lambda spark, d, f=_f: weights(spark, d, f).withColumn("key", F.col("key").cast("string"))
+    )
+
+
+@query("weights_prob", f"WITH {weights_sql('parts20')} SELECT idx, round(hit / s, 9) AS p, round(miss / s, 9) AS q FROM wt, (SELECT sum(hit + miss) AS s FROM wt)")
+def weights_prob(spark: SparkSession, d: str) -> DataFrame:
+    w = weights(spark, d, "parts20")
+    total = w.agg(F.sum(F.col("hit") + F.col("miss")).alias("s"))
+    return w.join(F.broadcast(total)).select("idx", F.round(F.col("hit") / F.col("s"), 9).alias("p"), F.round(F.col("miss") / F.col("s"), 9).alias("q"))
+
+
+@query("prefix_parts", f"WITH {weights_sql('parts20')} SELECT idx, sum(hit) OVER (ORDER BY idx)::BIGINT AS ps, sum(miss) OVER (ORDER BY idx)::BIGINT AS qs FROM wt")
+def prefix_parts(spark: SparkSession, d: str) -> DataFrame:
+    return prefix(weights(spark, d, "parts20")).select("idx", "ps", "qs")
+
+
+@query("interval_weight", f"WITH {weights_sql('nation')}, pre AS (SELECT idx, sum(hit) OVER (ORDER BY idx) AS ps, sum(miss) OVER (ORDER BY idx) AS qs, miss FROM wt) SELECT x.idx AS lo, y.idx AS hi, (y.ps - x.ps + y.qs - x.qs + x.miss)::BIGINT AS w FROM pre x JOIN pre y ON x.idx <= y.idx")
+def interval_weight(spark: SparkSession, d: str) -> DataFrame:
+    pre = written(prefix(weights(spark, d, "nation")), "prefix")
+    x, y = pre.alias("x"), pre.alias("y")
+    return x.join(y, F.col("x.idx") <= F.col("y.idx")).select(F.col("x.idx").alias("lo"), F.col("y.idx").alias("hi"), (F.col("y.ps") - F.col("x.ps") + F.col("y.qs") - F.col("x.qs") + F.col("x.miss")).alias("w"))
+
+
+query("hits_quantity", "SELECT l_suppkey AS key, sum(l_quantity)::BIGINT AS n FROM lineitem GROUP BY l_suppkey")(lambda spark, d: hit_counts(load(spark, d, "lineitem"), F.col("l_suppkey"), F.col("l_quantity").cast("bigint")))
+query("json_keys", "SELECT (props->>'$.k')::INT AS key, count(*) AS n FROM events GROUP BY 1")(lambda spark, d: hit_counts(load(spark, d, "events"), F.get_json_object("props", "$.k").cast("int")))
+
+# Sequential solvers -------------------------------------------------------------------------------
+for _f in FAMILIES:
+    query(f"windowed_{_f}", cells_sql(_f, _CELLS))(lambda spark, d, f=_f: solved(weights(spark, d, f)))
+for _f in ("nation", "psize", "hours"):
+    query(f"cubic_{_f}", cells_sql(_f, _CELLS))(lambda spark, d, f=_f: solved(weights(spark, d, f), "cubic"))
+
+
+@query("relational_nation", cells_sql("nation", _CELLS))
+def relational_nation(spark: SparkSession, d: str) -> DataFrame:
+    w = written(weights(spark, d, "nation"), "weights")
+    return solved_relational(w, prefix(w))
+
+
+@query("five_trees", "SELECT * FROM (VALUES (1::BIGINT, 20::BIGINT), (1, 26), (2, 21), (3, 18), (3, 16)) v(root, cost)")
+def five_trees(spark: SparkSession, d: str) -> DataFrame:
+    return spark.createDataFrame(brute_force(Weights(np.array([0, 3, 1, 7]), np.zeros(4, int))), "root bigint, cost bigint")
+
+
+@query("optimal_cost_all", "\nUNION ALL ".join(f"(SELECT * FROM ({cells_sql(f, f"SELECT '{f}' AS family, (SELECT max(idx) FROM wt)::BIGINT AS n, (SELECT sum(hit + miss) FROM wt)::BIGINT AS total_weight, cost::BIGINT AS cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)")}))" for f in FAMILIES))
+def optimal_cost_all(spark: SparkSession, d: str) -> DataFrame:
+    out = []
+    for f in FAMILIES:
+        w = collected(weights(spark, d, f))
+        out.append((f, w.n, int(w.hit.sum() + w.miss.sum()), solve_windowed(w).optimum))
+    return spark.createDataFrame(out, "family string, n bigint, total_weight bigint, cost bigint")
+
+
+@query("grouped_nation_custs")
+def grouped_nation_custs(spark: SparkSession, d: str) -> DataFrame:
+    c = hit_counts(load(spark, d, "customer"), F.col("c_nationkey")).withColumnRenamed("key", "n_nationkey")
+    own = load(spark, d, "nation").join(c, "n_nationkey").select(F.col("n_regionkey").alias("grp"), F.col("n_nationkey").alias("key"), F.col("n").alias("hit"))
+    return solved_groups(own, "grp")
+
+
+@query("grouped_daily_events")
+def grouped_daily_events(spark: SparkSession, d: str) -> DataFrame:
+    own = load(spark, d, "events").groupBy(F.to_date("ts").cast("string").alias("grp"), F.col("event_type").alias("key")).agg(F.count(F.lit(1)).alias("hit"))
+    return solved_groups(own, "grp")
+
+
+@query("monotonicity", cells_sql("parts20", "SELECT count(*) AS checked, coalesce(sum((NOT (a.split <= c.split AND c.split <= b.split))::INT), 0)::BIGINT AS violations FROM cells c JOIN cells a ON a.lo = c.lo AND a.hi = c.hi - 1 JOIN cells b ON b.lo = c.lo + 1 AND b.hi = c.hi WHERE c.hi - c.lo >= 2"))
+def monotonicity(spark: SparkSession, d: str) -> DataFrame:
+    c = written(solved(weights(spark, d, "parts20")), "cells")
+    row, column = Window.partitionBy("lo").orderBy("hi"), Window.partitionBy("hi").orderBy("lo")
+    own = c.select("lo", "hi", "split", F.lag("split").over(row).alias("a"), F.lead("split").over(column).alias("b")).where("hi - lo >= 2")
+    return own.agg(F.count(F.lit(1)).alias("checked"), F.coalesce(F.sum((~((F.col("a") <= F.col("split")) & (F.col("split") <= F.col("b")))).cast("bigint")), F.lit(0)).alias("violations"))
+
+
+@query("candidate_profile", cells_sql("users", "SELECT (c.hi - c.lo)::INT AS width, count(*) AS cells, min(least(b.split, c.hi - 1) - a.split + 1)::BIGINT AS min_c, max(least(b.split, c.hi - 1) - a.split + 1)::BIGINT AS max_c, sum(least(b.split, c.hi - 1) - a.split + 1)::BIGINT AS sum_c FROM cells c JOIN cells a ON a.lo = c.lo AND a.hi = c.hi - 1 JOIN cells b ON b.lo = c.lo + 1 AND b.hi = c.hi GROUP BY 1"))
+def candidate_profile(spark: SparkSession, d: str) -> DataFrame:
+    c = written(solved(weights(spark, d, "users")), "cells")
+    row, column = Window.partitionBy("lo").orderBy("hi"), Window.partitionBy("hi").orderBy("lo")
+    own = c.select("lo", "hi", F.lag("split").over(row).alias("a"), F.lead("split").over(column).alias("b")).where("hi > lo")
+    n = F.least("b", F.col("hi") - 1) - F.col("a") + 1
+    return own.select((F.col("hi") - F.col("lo")).alias("width"), n.cast("bigint").alias("c")).groupBy("width").agg(F.count(F.lit(1)).alias("cells"), F.min("c").alias("min_c"), F.max("c").alias("max_c"), F.sum("c").alias("sum_c"))
+
+
+# Trees --------------------------------------------------------------------------------------------
+_TREE = """, tree AS (SELECT lo, hi, split, 1 AS depth, 0::BIGINT AS parent_rank, 'root' AS side FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt) AND lo < hi
+ UNION ALL SELECT c.lo, c.hi, c.split, tree.depth + 1, tree.split + 1, CASE WHEN c.lo = tree.lo THEN 'left' ELSE 'right' END
+ FROM tree JOIN cells c ON (c.lo = tree.lo AND c.hi = tree.split OR c.lo = tree.split + 1 AND c.hi = tree.hi) AND c.lo < c.hi)
+SELECT split + 1 AS rank, CAST(k.key AS VARCHAR) AS key, depth, parent_rank, side FROM tree JOIN keys k ON k.idx = split + 1"""
+
+
+def tree_of(spark: SparkSession, d: str, family: str) -> DataFrame:
+    """(rank, key, depth, parent_rank, side) of the optimal tree."""
+    table = written(weights(spark, d, family), "weights")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        own = pdf.sort_values("idx").reset_index(drop=True)
+        rows = build_tree(solve_windowed(Weights(own["hit"].to_numpy(), own["miss"].to_numpy())).split)
+        return pd.DataFrame([(r, str(own["key"][r]), depth, parent, side) for r, _, _, depth, side, parent in rows], columns=["rank", "key", "depth", "parent_rank", "side"])
+
+    return table.withColumn("key", F.col("key").cast("string")).groupBy(F.lit(1).alias("one")).applyInPandas(run, "rank bigint, key string, depth int, parent_rank bigint, side string")
+
+
+for _f in ("nation", "users", "parts20", "langwords"):
+    query(f"tree_{_f}", cells_sql(_f, "").rstrip() + _TREE)(lambda spark, d, f=_f: tree_of(spark, d, f))
+
+
+@query("depth_hist", cells_sql("users", "").rstrip() + _TREE.replace("SELECT split + 1 AS rank, CAST(k.key AS VARCHAR) AS key, depth, parent_rank, side FROM tree JOIN keys k ON k.idx = split + 1", "SELECT depth, count(*) AS nodes, sum(k.n)::BIGINT AS weight FROM tree JOIN keys k ON k.idx = split + 1 GROUP BY depth"))
+def depth_hist(spark: SparkSession, d: str) -> DataFrame:
+    hits = counts(spark, d, "users")[1].select(F.col("key").cast("string").alias("key"), "n")
+    return tree_of(spark, d, "users").join(hits, "key").groupBy("depth").agg(F.count(F.lit(1)).alias("nodes"), F.sum("n").alias("weight"))
+
+
+@query("replay_equals_dp")
+def replay_equals_dp(spark: SparkSession, d: str) -> DataFrame:
+    """Real probes against the tree: the summed depths equal the program's optimum and the tree's cost."""
+    out = []
+    for f in FAMILIES:
+        w = collected(weights(spark, d, f))
+        s = solve_windowed(w)
+        keys, gaps = depths_of(lambda a, b, s=s: int(s.split[a, b]), w.n)
+        out.append((f, s.optimum, tree_cost(w, keys, gaps)))
+    return spark.createDataFrame(out, "family string, dp_cost bigint, tree_cost bigint")
+
+
+@query("heuristic_costs")
+def heuristic_costs(spark: SparkSession, d: str) -> DataFrame:
+    """Costs of the baselines and their ratio to the optimum."""
+    out = []
+    for f in FAMILIES:
+        w = collected(weights(spark, d, f))
+        best = solve_windowed(w).optimum
+        for kind in ("balanced", "weight_balanced", "heaviest", "chain_left", "chain_right"):
+            cost = tree_cost(w, *depths_of(heuristic_roots(w, kind), w.n))
+            out.append((f, kind, cost, best, round(cost / max(1, best), 6)))
+    return spark.createDataFrame(out, "family string, technique string, cost bigint, optimum bigint, ratio double")
+
+
+# Graph --------------------------------------------------------------------------------------------
+@query("graph_edges", "SELECT n, kind, CASE kind WHEN 'source' THEN n + 1 WHEN 'right' THEN n * (n + 1) // 2 WHEN 'up' THEN n * (n + 1) // 2 ELSE (n + 1) * n * (n - 1) // 6 END AS arcs FROM (VALUES (3::BIGINT), (5), (25)) s(n), (VALUES ('source'), ('right'), ('up'), ('across'), ('above')) k(kind)")
+def graph_edge_counts(spark: SparkSession, d: str) -> DataFrame:
+    parts = [graph_edges(spark, n).groupBy("kind").agg(F.count(F.lit(1)).alias("arcs")).select(F.lit(n).cast("bigint").alias("n"), "kind", "arcs") for n in (3, 5, 25)]
+    return parts[0].unionAll(parts[1]).unionAll(parts[2])
+
+
+@query("reduced_edges", "SELECT n, n * (n + 1) * (n + 2) // 6 + n + 1 AS arcs FROM (VALUES (3::BIGINT), (5), (25)) s(n)")
+def reduced_edge_counts(spark: SparkSession, d: str) -> DataFrame:
+    parts = [reduced_edges(spark, n).agg(F.count(F.lit(1)).alias("arcs")).select(F.lit(n).cast("bigint").alias("n"), "arcs") for n in (3, 5, 25)]
+    return parts[0].unionAll(parts[1]).unionAll(parts[2])
+
+
+@query("duality", cells_sql("nation", "SELECT count(*) AS checked, 0::BIGINT AS gaps, 0::BIGINT AS below FROM cells a JOIN cells b ON b.lo = a.hi + 1"))
+def duality(spark: SparkSession, d: str) -> DataFrame:
+    w = written(weights(spark, d, "nation"), "weights")
+    return duality_gaps(written(solved(w), "cells"), prefix(w))
+
+
+# Geometry, mapping, schedule ----------------------------------------------------------------------
+_GRID = [(n, p, k) for n in range(4096, 40961, 4096) for p in (32, 64, 96, 128) for k in range(6)]
+_GRID_SQL = "SELECT n, p, k, ceil(sqrt(2 * p))::BIGINT AS f FROM (SELECT unnest(range(4096, 40961, 4096)) AS n), (SELECT unnest([32, 64, 96, 128])::BIGINT AS p), (SELECT unnest(range(0, 6)) AS k)"
+
+
+@query("geometry_params", f"SELECT n, p, k, f, ceil((n + 1) / f)::BIGINT AS theta, ceil(ceil((n + 1) / f) / (1 << k::INT))::BIGINT AS side, f + k * (ceil(f / 2)::BIGINT + 1) AS rounds FROM ({_GRID_SQL})")
+def geometry_params(spark: SparkSession, d: str) -> DataFrame:
+    return spark.createDataFrame([(n, p, k, g.grid_side(p), g.block_side(n, p), g.block_side(n, p, k), g.num_rounds(p, k)) for n, p, k in _GRID], "n bigint, p bigint, k bigint, f bigint, theta bigint, side bigint, rounds bigint")
+
+
+@query("geometry_counts", f"""SELECT n, p, k, b0 + mids * (3 * h * (h + 1) // 2) + last AS blocks,
+ CASE WHEN k = 0 THEN f * (f + 1) // 2 ELSE 3 * f + 4 * (b0 - f) + 4 * mids * (3 * h * (h + 1) // 2) + last END AS subblocks
+ FROM (SELECT *, ceil(f / 2)::BIGINT AS h, CASE WHEN k = 0 THEN f * (f + 1) // 2 ELSE f * (f + 1) // 2 - ceil(f / 2)::BIGINT * (ceil(f / 2)::BIGINT + 1) // 2 END AS b0, greatest(k - 1, 0) AS mids, CASE WHEN k = 0 THEN 0 ELSE 2 * ceil(f / 2)::BIGINT * (ceil(f / 2)::BIGINT + 1) END AS last FROM ({_GRID_SQL}) WHERE n = 40960)""")
+def geometry_counts(spark: SparkSession, d: str) -> DataFrame:
+    """Counts at the largest published size; with fewer keys the closed forms also count blocks that clipping empties."""
+    return spark.createDataFrame([(n, p, k, len(g.blocks(n, p, k)), len(g.parts(n, p, k))) for n, p, k in _GRID if n == 40960], "n bigint, p bigint, k bigint, blocks bigint, subblocks bigint")
+
+
+@query("rounds_table", "SELECT p, k, f, f + k * (h + 1) AS rounds, 3 + 4 * (f // 2 - 1) + 4 * (k - 1) * (h + 1) + f + f % 2 AS comm_bound FROM (SELECT p, k, ceil(sqrt(2 * p))::BIGINT AS f, ceil(ceil(sqrt(2 * p)) / 2)::BIGINT AS h FROM (SELECT unnest([32, 64, 96, 128])::BIGINT AS p), (SELECT unnest(range(1, 6)) AS k))")
+def rounds_table(spark: SparkSession, d: str) -> DataFrame:
+    return spark.createDataFrame([(p, k, g.grid_side(p), g.num_rounds(p, k), g.comm_rounds(p, k)) for p in (32, 64, 96, 128) for k in range(1, 6)], "p bigint, k bigint, f bigint, rounds bigint, comm_bound bigint")
+
+
+_BLOCKS = "block_id int, round int, level int, r0 int, r1 int, c0 int, c1 int"
+for _n, _p, _k in ((31, 4, 1), (31, 4, 2), (31, 8, 1), (31, 8, 2), (150, 8, 0), (150, 8, 2)):
+    query(f"blocks_n{_n}_p{_p}_k{_k}")(lambda spark, d, a=(_n, _p, _k): spark.createDataFrame([tuple(vars(b).values()) for b in g.blocks(*a)], _BLOCKS))
+    query(f"subblocks_n{_n}_p{_p}_k{_k}")(lambda spark, d, a=(_n, _p, _k): spark.createDataFrame([tuple(vars(b).values()) for b in g.parts(*a)], "part_id int, block_id int, round int, part string, r0 int, r1 int, c0 int, c1 int"))
+
+
+@query("block_deps")
+def block_deps(spark: SparkSession, d: str) -> DataFrame:
+    """(block_id, dep_block): all blocks that a block may read, before pruning."""
+    plan = g.blocks(31, 6, 1)
+    return spark.createDataFrame([(x.block_id, y.block_id) for x in plan for y in plan if g.depends(x, y)], "block_id int, dep_block int")
+
+
+@query("block_load", "SELECT * FROM (VALUES (0, 4::BIGINT), (1, 3), (2, 3), (3, 3), (4, 3), (5, 3)) v(owner, blocks)")
+def block_load(spark: SparkSession, d: str) -> DataFrame:
+    own = g.owners(g.blocks(31, 6, 1), 6)
+    return spark.createDataFrame(list(own.items()), "block_id int, owner int").groupBy("owner").agg(F.count(F.lit(1)).alias("blocks"))
+
+
+@query("step_messages")
+def step_messages(spark: SparkSession, d: str) -> DataFrame:
+    return spark.createDataFrame(g.step_messages(31, 6, 1), "block_id int, step int, parts string, dst_owner int")
+
+
+# Parallel solvers ---------------------------------------------------------------------------------
+for _name, _t, _p, _k, _m in (("regular", "regular", 6, 0, "barrier"), ("irregular_k1", "irregular", 6, 1, "barrier"), ("irregular_k2", "irregular", 6, 2, "barrier"), ("four_split_k1", "four_split", 6, 1, "barrier"), ("four_split_k2", "four_split", 4, 2, "dataflow"), ("small_block", "small_block", 4, 1, "dataflow")):
+    query(f"solve_{_name}", cells_sql("psize", _CELLS))(lambda spark, d, a=(_p, _k, _t, _m): unpacked(solve_blocks(spark, collected(weights(spark, d, "psize")), *a)))
+
+
+@query("mpp_chain")
+def mpp_chain(spark: SparkSession, d: str) -> DataFrame:
+    """The related chain-parenthesising program on the part sizes as dimensions."""
+    from .functions.kernel import solve_interval
+
+    dims = [r[0] for r in load(spark, d, "part").select("p_size").distinct().orderBy("p_size").collect()]
+    cost, split = solve_interval(len(dims) - 1, lambda i, k, j: dims[i] * dims[k + 1] * dims[j + 1], lambda i: 0)
+    i, j = np.nonzero(split >= 0)
+    return spark.createDataFrame(pd.DataFrame({"lo": i, "hi": j, "cost": cost[i, j], "split": split[i, j].astype(np.int64)}))
+
+
+# Measures -----------------------------------------------------------------------------------------
+_RUNS_SQL = "(VALUES " + ", ".join(f"('{a}', '{t}', {n}::BIGINT, {p}::BIGINT, {k}::BIGINT, {s}::DOUBLE)" for a, t, n, p, k, s in runs()) + ") r(platform, technique, n, p, k, total_s)"
+
+
+def published(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame(runs(), "platform string, technique string, n bigint, p bigint, k bigint, total_s double")
+
+
+@query("published_speedup", f"WITH r AS (SELECT * FROM {_RUNS_SQL}) SELECT r.platform, r.technique, r.n, r.p, r.k, round(s.total_s / r.total_s, 6) AS speedup, round(100 * s.total_s / r.total_s / r.p, 6) AS efficiency FROM r JOIN r s ON s.technique = 'sequential' AND s.platform = r.platform AND s.n = r.n WHERE r.technique <> 'sequential'")
+def published_speedup(spark: SparkSession, d: str) -> DataFrame:
+    r = published(spark)
+    s = r.where("technique = 'sequential'").select("platform", "n", F.col("total_s").alias("one"))
+    return r.where("technique <> 'sequential'").join(F.broadcast(s), ["platform", "n"]).select("platform", "technique", "n", "p", "k", F.round(F.col("one") / F.col("total_s"), 6).alias("speedup"), F.round(100 * F.col("one") / F.col("total_s") / F.col("p"), 6).alias("efficiency"))
+
+
+@query("published_reduction", f"WITH r AS (SELECT * FROM {_RUNS_SQL}) SELECT r.technique, r.n, r.p, r.k, round(100 * (1 - r.total_s / b.total_s), 6) AS reduction FROM r JOIN r b ON b.technique = 'regular' AND b.platform = r.platform AND b.n = r.n AND b.p = r.p WHERE r.k > 0")
+def published_reduction(spark: SparkSession, d: str) -> DataFrame:
+    r = published(spark)
+    b = r.where("technique = 'regular'").select("platform", "n", "p", F.col("total_s").alias("base"))
+    return r.where("k > 0").join(F.broadcast(b), ["platform", "n", "p"]).select("technique", "n", "p", "k", F.round(100 * (1 - F.col("total_s") / F.col("base")), 6).alias("reduction"))
+
+
+@query("ideal_k", f"SELECT platform, n, p, arg_min(k, total_s) AS k FROM {_RUNS_SQL} WHERE technique = 'four_split' GROUP BY platform, n, p")
+def ideal_k(spark: SparkSession, d: str) -> DataFrame:
+    return published(spark).where("technique = 'four_split'").groupBy("platform", "n", "p").agg(F.min_by("k", "total_s").alias("k"))
+
+
+@query("runs_rollup", f"SELECT platform, technique, k, count(*) AS runs, round(sum(total_s), 6) AS total_s FROM {_RUNS_SQL} GROUP BY ROLLUP (platform, technique, k)")
+def runs_rollup(spark: SparkSession, d: str) -> DataFrame:
+    return published(spark).rollup("platform", "technique", "k").agg(F.count(F.lit(1)).alias("runs"), F.round(F.sum("total_s"), 6).alias("total_s"))
+
+
+@query("runs_pivot", f"SELECT n, max(total_s) FILTER (k = 1) AS k1, max(total_s) FILTER (k = 2) AS k2, max(total_s) FILTER (k = 3) AS k3 FROM {_RUNS_SQL} WHERE platform = 'A' AND p = 32 AND technique = 'four_split' GROUP BY n")
+def runs_pivot(spark: SparkSession, d: str) -> DataFrame:
+    own = published(spark).where("platform = 'A' AND p = 32 AND technique = 'four_split'").groupBy("n").pivot("k", [1, 2, 3]).agg(F.max("total_s"))
+    return own.select("n", F.col("1").alias("k1"), F.col("2").alias("k2"), F.col("3").alias("k3"))
+
+
+#: (name, message cost, cost of a cell sent) beside one unit a candidate
+PROFILES = (("free", 0.0, 0.0), ("fast", 200.0, 0.05), ("slow", 5000.0, 0.2))
+
+
+@query("sim_speedup")
+def sim_speedup(spark: SparkSession, d: str, n: int = 600, workers: tuple[int, ...] = (32, 128)) -> DataFrame:
+    """Simulated time, waiting, transfer and speedup of every technique on the most frequent words."""
+    s = solve_windowed(collected(vocabulary_weights(spark, d, n)))
+    one, pre = float(s.candidates.sum()), candidate_prefix(s)
+    out = []
+    for name, alpha, beta in PROFILES:
+        for p in workers:
+            for t, k in (("regular", 0), ("irregular", 1), ("irregular", 2), *(("four_split", k) for k in range(1, 6))):
+                r = simulate(s, p, k, t, alpha, beta, prefix=pre)
+                out.append((name, t, p, k, r.makespan, r.waiting, r.transfer, r.messages, one / r.makespan))
+    return spark.createDataFrame(out, "profile string, technique string, p int, k int, makespan double, waiting double, transfer double, messages int, speedup double")
+
+
+@query("load_imbalance")
+def load_imbalance(spark: SparkSession, d: str, n: int = 1000, p: int = 32) -> DataFrame:
+    """Candidates of each worker: least, mean, most, and how far the extremes are from the mean."""
+    s = solve_windowed(collected(vocabulary_weights(spark, d, n)))
+    pre, out = candidate_prefix(s), []
+    for t, k in (("regular", 0), ("irregular", 1), ("irregular", 2), ("four_split", 1), ("four_split", 2)):
+        work = simulate(s, p, k, t, 0.0, 0.0, prefix=pre).work
+        out.append((t, k, min(work), sum(work) / p, max(work), int(np.argmin(work)), int(np.argmax(work))))
+    return spark.createDataFrame(out, "technique string, k int, min_load double, avg_load double, max_load double, min_owner int, max_owner int")
+
+
+# Applications and text ----------------------------------------------------------------------------
+@query("top_words", "SELECT key, count(*) AS n FROM (SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM documents) GROUP BY key ORDER BY n DESC, key LIMIT 100")
+def top_words(spark: SparkSession, d: str) -> DataFrame:
+    return hit_counts(words(load(spark, d, "documents")), F.col("key")).orderBy(F.desc("n"), "key").limit(100)
+
+
+@query("vocab_size", "SELECT lang, count(DISTINCT key) AS words FROM (SELECT lang, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM documents) GROUP BY lang")
+def vocab_size(spark: SparkSession, d: str) -> DataFrame:
+    return words(load(spark, d, "documents")).groupBy("lang").agg(F.countDistinct("key").alias("words"))
+
+
+@query("next_word_top", "SELECT prev, key, n FROM (SELECT prev, key, n, row_number() OVER (PARTITION BY prev ORDER BY n DESC, key) AS r FROM (SELECT prev, key, count(*) AS n FROM (SELECT w[i] AS prev, w[i + 1] AS key FROM (SELECT w, unnest(range(1, len(w))) AS i FROM (SELECT regexp_extract_all(lower(text), '[a-z]+') AS w FROM conversations))) GROUP BY prev, key)) WHERE r <= 3")
+def next_word_top(spark: SparkSession, d: str) -> DataFrame:
+    """The three likeliest next words of each word: the candidates that prediction ranks."""
+    w = load(spark, d, "conversations").select(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
+    pairs = w.select(F.explode(F.expr("transform(slice(w, 2, greatest(size(w) - 1, 0)), (x, i) -> struct(w[i] AS prev, x AS key))")).alias("b")).groupBy("b.prev", "b.key").agg(F.count(F.lit(1)).alias("n"))
+    return pairs.withColumn("r", F.row_number().over(Window.partitionBy("prev").orderBy(F.desc("n"), "key"))).where("r <= 3").drop("r")
+
+
+@query("tumbling_weights", "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type AS key, count(*) AS n FROM events GROUP BY 1, 2")
+def tumbling_weights(spark: SparkSession, d: str) -> DataFrame:
+    """Batch twin of the streaming daily weights."""
+    return load(spark, d, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day"), F.col("event_type").alias("key")).agg(F.count(F.lit(1)).alias("n"))
