@@ -36,11 +36,11 @@ DEPTH = 5
 #: Latest bytes that rows of one range share; contexts are at least this long.
 SHARD = 3
 #: Distinct (context, byte) rows of a range, about.
-RANGE_ROWS = 500_000
+RANGE_ROWS = 200_000
 #: Stands before a text and ends it; no UTF-8 text has this byte.
 MARK = 0xFF
 #: Text bytes that a scoring chunk holds, about.
-CHUNK_BYTES = 16 << 20
+CHUNK_BYTES = 12 << 20
 #: Chunks that ask one copy of a shard, at most; keys of a shard, about.
 ASKERS, SHARD_KEYS = 64, 500_000
 
@@ -183,7 +183,7 @@ class Keys:
         self.word_owner = np.repeat(np.arange(len(texts)), self.lengths)
 
 
-def text_slices(texts: Iterable[str], most: int = 2 << 20) -> Iterator[list[bytes]]:
+def text_slices(texts: Iterable[str], most: int = 1 << 20) -> Iterator[list[bytes]]:
     """Lower-cased texts as bytes, in lists of about ``most`` bytes; a longer text is a list of its own."""
     own, size = [], 0
     for t in texts:
@@ -209,7 +209,7 @@ def _merged(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarra
     return own, np.bincount(inverse, np.concatenate(counts), len(own)).astype(np.int64)
 
 
-def _counter(depth: int, most: int = 1_500_000):  # noqa: ANN202
+def _counter(depth: int, most: int = 1_000_000):  # noqa: ANN202
     """(key, n) over a partition: training counts of all keys, merged before they leave in parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
