@@ -72,7 +72,7 @@ class RunTokenizer:
     Pickles as the content only. A worker process keeps one for all of its tasks, in a broadcast.
     """
 
-    def __init__(self, content: str, most_runs: int = 800_000):
+    def __init__(self, content: str, most_runs: int = 1_200_000):
         self.content, self.most, self.own = content, most_runs, None
 
     def __getstate__(self) -> dict:
@@ -89,7 +89,7 @@ class RunTokenizer:
             parted.append((w, stem, marks))
             alone.update(x for x in (stem, marks) if x not in cache)
         names = list(alone)
-        for w, e in zip(names, self.own.encode_batch(names, add_special_tokens=False)):
+        for w, e in zip(names, self.own.encode_batch_fast(names, add_special_tokens=False)):
             ids = e.ids
             cache[w] = struct.pack(f"<{len(ids)}I", *ids)
         for w, stem, marks in parted:
@@ -135,7 +135,7 @@ def best_fit_packing(docs: DataFrame, tokenizer: str, key: str = "doc_id", text:
         id_type = None
         for batch in batches:
             id_type = batch.schema.field("doc_id").type
-            for part in sliced(batch, 8 << 20):
+            for part in sliced(batch):
                 for doc, ids in zip(part.column("doc_id").to_pylist(), own.ids(part.column("text").to_pylist())):
                     ids += end
                     for n, at in enumerate(range(0, len(ids), 4 * capacity)):
