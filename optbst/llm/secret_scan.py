@@ -77,14 +77,18 @@ def train_markov(samples: DataFrame, smoothing: float = 0.5) -> list[float]:
     pairs = chars.select("random", F.explode(F.expr("transform(sequence(1, greatest(size(c) - 1, 1)), i -> struct(get(c, i - 1) AS a, get(c, i) AS b))")).alias("p"))
     place = lambda c: F.instr(F.lit(ALPHABET), c) - 1
     counts = pairs.where("p.a <> '' AND p.b <> ''").groupBy("random", place(F.col("p.a")).alias("a"), place(F.col("p.b")).alias("b")).agg(F.count(F.lit(1)).alias("n")).where("a >= 0 AND b >= 0").collect()
-    table = {True: [[smoothing] * size for _ in range(size)], False: [[smoothing] * size for _ in range(size)]}
+    seen = {label: [[0.0] * size for _ in range(size)] for label in (True, False)}
     for r in counts:
-        table[r["random"]][r["a"]][r["b"]] += r["n"]
-    out = []
-    for a in range(size):
-        rand, plain = sum(table[True][a]), sum(table[False][a])
-        out += [math.log(table[True][a][b] / rand) - math.log(table[False][a][b] / plain) for b in range(size)]
-    return out
+        seen[r["random"]][r["a"]][r["b"]] += r["n"]
+
+    def model(label: bool) -> list[list[float]]:
+        # A character without much history leans on how often the next one stands at all.
+        single = [sum(row[b] for row in seen[label]) + 0.5 for b in range(size)]
+        lean = [smoothing * size * x / sum(single) for x in single]
+        return [[(row[b] + lean[b]) / (sum(row) + smoothing * size) for b in range(size)] for row in seen[label]]
+
+    rand, plain = model(True), model(False)
+    return [math.log(rand[a][b]) - math.log(plain[a][b]) for a in range(size) for b in range(size)]
 
 
 def _spans(text: Column, pattern: str, kind: int, value_group: int, least: int) -> Column:
