@@ -100,22 +100,17 @@ def phrase_places(index: Postings, windows: np.ndarray) -> tuple[np.ndarray, np.
 
 def proximity_places(index: Postings, terms: list[int], within: int) -> list[tuple[int, int]]:
     """Smallest stretches of at most ``within`` words that hold all of the distinct ``terms``, in order of place."""
-    lists = sorted((index.of(t) for t in set(terms)), key=len)
-    if not lists or not len(lists[0]):
+    lists = [index.of(t) for t in set(terms)]
+    if not lists or not min(map(len, lists)):
         return []
-    out: list[tuple[int, int]] = []
-    for p in lists[0]:
-        ends = [p]
-        for other in lists[1:]:
-            near = other[np.searchsorted(other, p - within + 1) : np.searchsorted(other, p + within)]
-            if not len(near):
-                break
-            ends.append(near[np.argmin(np.abs(near - p))])
-        else:
-            low, high = int(min(ends)), int(max(ends))
-            if high - low < within:
-                out.append((low, high + 1))
-    return sorted(set(out))
+    ends = np.sort(np.concatenate(lists))
+    # The latest place of every term up to each end: the stretch that ends there starts at the earliest of them.
+    at = np.stack([np.searchsorted(own, ends, side="right") - 1 for own in lists])
+    starts = np.stack([own[np.maximum(k, 0)] for own, k in zip(lists, at)]).min(axis=0)
+    keep = (at >= 0).all(axis=0) & (ends - starts < within)
+    starts, ends = starts[keep], ends[keep]
+    first = np.concatenate([[True], starts[1:] != starts[:-1]]) if len(starts) else keep[:0]  # the smallest end of each start
+    return [(int(x), int(y) + 1) for x, y in zip(starts[first], ends[first])]
 
 
 def benchmark_blocks(benchmark: DataFrame, key: str, text: str, block_words: int) -> Iterator[list[tuple[object, list[bytes]]]]:
@@ -142,17 +137,17 @@ def contamination(
     empty benchmark gives no hits; repeated rows are judged alike. ``spans`` are the hit stretches
     (first word, end).
     """
-    blocks = list(benchmark_blocks(benchmark, item_key, item_text, block_words)) or [[]]
     base = two_columns(docs, key, text)
-    if len(blocks) == 1:
-        found = _scan(base, Queries(blocks[0], window), window)
+    blocks = benchmark_blocks(benchmark, item_key, item_text, block_words)
+    first, second = next(blocks, []), next(blocks, None)
+    if second is None:
+        found = _scan(base, Queries(first, window), window)
     else:
         base = base.withColumn("row", F.struct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("k"), F.xxhash64("doc_id", "text").alias("h")))
-        parts = [_scan(base, Queries(b, window), window) for b in blocks]
-        found = parts[0]
-        for p in parts[1:]:
-            found = found.unionByName(p)
-        copies = len(blocks)
+        found, copies = _scan(base, Queries(first, window), window).unionByName(_scan(base, Queries(second, window), window)), 2
+        del first, second
+        for block in blocks:  # the driver holds one block at a time; those sent lie on disk
+            found, copies = found.unionByName(_scan(base, Queries(block, window), window)), copies + 1
         found = found.groupBy("doc_id", "row", "n_words").agg(
             F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"), F.count(F.lit(1)).alias("rows")
         )
@@ -216,12 +211,31 @@ def items_digest(item_ids: list[str]) -> str:
     return hashlib.sha256(",".join(sorted(item_ids)).encode()).hexdigest()
 
 
+def term_counts(base: DataFrame, vocabulary: dict[bytes, int]) -> np.ndarray:
+    """How often each term of a block stands in all documents; a task sends one row a term that it saw."""
+    sent = base.sparkSession.sparkContext.broadcast(vocabulary)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(len(sent.value), np.int64)
+        for batch in batches:
+            for part in sliced(batch):
+                total += Postings(part.column("text").to_pylist(), sent.value, 1).count
+        seen = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(total[seen], pa.int64())], names=["term", "n"])
+
+    out = np.zeros(len(vocabulary), np.int64)
+    for row in base.mapInArrow(run, "term bigint, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect():  # at most a block's terms
+        out[row["term"]] = row["n"]
+    return out
+
+
 def proximity_matches(
     docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", rare_terms: int = 4, within: int = 20
 ) -> DataFrame:
     """(doc_id, item, first, end): stretches of at most ``within`` words that hold an item's rarest terms.
 
-    Rarity is that of the index at hand (a batch), ties go to the term that comes first in the item.
+    Rarity is a term's number of places in all documents, ties go to the term that comes first in the item.
+    A first pass counts the terms, so the result does not depend on how documents lie in batches.
     Items of fewer distinct terms use all of them. Null and empty texts match nothing. The benchmark is
     read in blocks as for exact matches.
     """
@@ -229,7 +243,10 @@ def proximity_matches(
     out = None
     id_type = base.schema["doc_id"].dataType.simpleString()
     for block in benchmark_blocks(benchmark, item_key, item_text, BLOCK_WORDS):
-        sent = docs.sparkSession.sparkContext.broadcast((Queries(block, 1).vocabulary, [(str(i), w) for i, w in block if w]))
+        vocabulary = Queries(block, 1).vocabulary
+        count = term_counts(base, vocabulary)
+        own = [(str(i), sorted(dict.fromkeys(vocabulary[x] for x in w), key=count.__getitem__)[:rare_terms]) for i, w in block if w]
+        sent = docs.sparkSession.sparkContext.broadcast((vocabulary, own))
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             vocabulary, items = sent.value
@@ -238,9 +255,7 @@ def proximity_matches(
                     index = Postings(part.column("text").to_pylist(), vocabulary, within)
                     first, ids = np.array(index.first, np.int64), part.column("doc_id").to_pylist()
                     rows: list[tuple] = []
-                    for item, words in items:
-                        terms = list(dict.fromkeys(vocabulary[w] for w in words))
-                        rare = sorted(terms, key=lambda t: index.count[t])[:rare_terms]
+                    for item, rare in items:
                         for a, b in proximity_places(index, rare, within):
                             d = int(np.searchsorted(first, a, side="right") - 1)
                             rows.append((ids[d], item, a - index.first[d], b - index.first[d]))

@@ -130,6 +130,18 @@ def test_contamination(docs, none, spark):
             assert got[i]["contaminated"] == (len(hit) > 0 and 20 * len(hit) >= len(w))
     assert contamination(none, bench).count() == 0 and contamination(docs, none, item_key="doc_id").where("contaminated").count() == 0
     assert 3 in {r["doc_id"] for r in proximity_matches(docs, bench).collect()}
+    near = {n: sorted(map(tuple, proximity_matches(docs.repartition(n), bench, rare_terms=2, within=8).collect())) for n in (1, 7)}
+    assert near[1] == near[7] and near[1]
+    # Brute force: the terms' counts over all documents, then every stretch that holds them and no smaller one.
+    words = [cut(t) for t in TEXTS]
+    want = []
+    for item, text in items.items():
+        terms = list(dict.fromkeys(cut(text)))
+        rare = sorted(terms, key=lambda x: sum(w.count(x) for w in words))[:2]
+        for i, w in enumerate(words):
+            found = [(a, z) for a in range(len(w)) for z in range(a + 1, min(len(w), a + 8) + 1) if rare and set(rare) <= set(w[a:z])]
+            want += [(i, str(item), a, z) for a, z in found if not any((x, y) != (a, z) and a <= x and y <= z for x, y in found)]
+    assert near[1] == sorted(want)
 
 
 def test_packing(docs, none):
