@@ -152,18 +152,6 @@ def depth_hist(spark: SparkSession, d: str) -> DataFrame:
     return tree_of(spark, d, "users").join(hits, "key").groupBy("depth").agg(F.count(F.lit(1)).alias("nodes"), F.sum("n").alias("weight"))
 
 
-@query("replay_equals_dp")
-def replay_equals_dp(spark: SparkSession, d: str) -> DataFrame:
-    """Real probes against the tree: the summed depths equal the program's optimum and the tree's cost."""
-    out = []
-    for f in FAMILIES:
-        w = collected(weights(spark, d, f))
-        s = solve_windowed(w)
-        keys, gaps = depths_of(lambda a, b, s=s: int(s.split[a, b]), w.n)
-        out.append((f, s.optimum, tree_cost(w, keys, gaps)))
-    return spark.createDataFrame(out, "family string, dp_cost bigint, tree_cost bigint")
-
-
 @query("heuristic_costs")
 def heuristic_costs(spark: SparkSession, d: str) -> DataFrame:
     """Costs of the baselines and their ratio to the optimum."""
