@@ -2,7 +2,7 @@
 
 Words, and the beginnings that words share, get log-odds between toxic and other labelled texts, with
 an informative Dirichlet prior in proportion to their overall counts; counts are numbers of texts,
-so a line that one text repeats counts once. A word scores as the clearest of its own and its
+so a line that one text repeats counts once, and the near copies of a text share one count. A word scores as the clearest of its own and its
 beginnings' log-odds. Along a text a scan in linear time finds every maximal
 segment of positive sum; extreme-value statistics of such segments (the decay rate at which the
 expected exponential of a background word is one, and a constant fitted on texts that are not toxic)
@@ -15,8 +15,9 @@ labelled texts, and the lexicon keeps at most ``most_words`` words, so what is b
 
 from __future__ import annotations
 
-from collections import Counter
+from collections import defaultdict
 from dataclasses import dataclass
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import written
-from .common import alnum_words, fold_of, map_batches, two_columns
+from .common import alnum_words, fold_of, map_batches, mix64, two_columns
 from .labelled import SAMPLE_ROWS, labelled_sample, sigmoid
 
 MOST_WORDS = 50_000
@@ -71,6 +72,32 @@ def maximal_segments(places: np.ndarray, gains: np.ndarray, costs: np.ndarray) -
     return [(int(a), int(b), d - c) for a, b, c, d in found]
 
 
+def signatures(words: list[bytes], n: int = 3) -> list[int]:
+    """``n`` smallest hashes of the text's five-word shingles, each under a hash function of its own."""
+    codes = np.fromiter(map(crc32, words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
+    size = max(1, len(codes) - 4)
+    mixed = np.zeros(size, np.uint64)
+    for k in range(min(5, len(codes))):
+        mixed = mix64(mixed + codes[k : k + size] + np.uint64(k + 1))
+    return [int(mix64(mixed + np.uint64(1000 + k)).min() >> np.uint64(1)) for k in range(n)]
+
+
+def with_copy_weights(sample: DataFrame) -> DataFrame:
+    """(text, label, weight): one over the number of texts that share a signature, by the signature that fewest share.
+
+    A shared passage seldom holds the smallest hash under every function, so it alone joins no texts.
+    """
+
+    def sign(batch: pa.RecordBatch) -> dict[str, object]:
+        own = np.array([signatures(alnum_words(t)) for t in batch.column("text").to_pylist()], np.int64).reshape(-1, 3)
+        return {"text": batch.column("text"), "label": batch.column("label"), "s0": own[:, 0], "s1": own[:, 1], "s2": own[:, 2]}
+
+    out = signed = written(map_batches(sample, "text string, label int, s0 bigint, s1 bigint, s2 bigint", sign), "toxic-signed")
+    for s in ("s0", "s1", "s2"):  # at most as many signatures as the sample has rows
+        out = out.join(F.broadcast(signed.groupBy(s).agg(F.count(F.lit(1)).alias("n" + s))), s)
+    return written(out.select("text", "label", (1.0 / F.least("ns0", "ns1", "ns2")).alias("weight")), "toxic-weighted")
+
+
 @dataclass
 class SegmentModel:
     """(z-score, score) of known units, the score of words without any, and the statistics of segments."""
@@ -152,13 +179,15 @@ def fit_segments(sample: DataFrame, most_words: int = MOST_WORDS, least_z: float
     """Fit on ``sample(doc_id, text, label)``, a table of bounded size."""
 
     def count(batch: pa.RecordBatch) -> dict[str, object]:
-        toxic, other = Counter(), Counter()
-        for t, y in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist()):
-            (toxic if y else other).update({b""} | {u for w in set(alnum_words(t)) for u in units(w)})
+        toxic, other = defaultdict(float), defaultdict(float)
+        for t, y, share in zip(*(batch.column(c).to_pylist() for c in ("text", "label", "weight"))):
+            own = toxic if y else other
+            for u in {b""} | {u for w in set(alnum_words(t)) for u in units(w)}:
+                own[u] += share
         words = list(toxic.keys() | other.keys())
-        return {"word": words, "toxic": [toxic[w] for w in words], "other": [other[w] for w in words]}
+        return {"word": words, "toxic": [toxic.get(w, 0.0) for w in words], "other": [other.get(w, 0.0) for w in words]}
 
-    counts = map_batches(sample, "word binary, toxic bigint, other bigint", count).groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
+    counts = map_batches(with_copy_weights(sample), "word binary, toxic double, other double", count).groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
     counts = written(counts, "word-counts")
     totals = counts.where(F.length("word") == 0).agg(F.sum("toxic"), F.sum("other")).first()
     n, m = float(totals[0] or 0), float(totals[1] or 0)

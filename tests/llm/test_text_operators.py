@@ -274,3 +274,16 @@ def test_pipeline_keeps_clean_documents(spark, tmp_path):
     spark.createDataFrame([(1, " ".join(re.findall(r"\w+", good[5][1])[:40]))], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
     kept = {r["doc_id"] for r in pipeline.run(spark, str(tmp_path)).collect()}
     assert kept == (set(range(60)) - {5, 0}) | {102}
+
+
+def test_copies_share_one_count(spark):
+    from optbst.llm.toxicity import signatures, with_copy_weights
+
+    rng = random.Random(3)
+    one, two = (" ".join(rng.choice("abcdefghij") + str(rng.randrange(300)) for _ in range(200)) for _ in range(2))
+    near = [one + f" end{i}" for i in range(9)]
+    sample = spark.createDataFrame([(t, 1) for t in [one, *near]] + [(two, 0), (None, 0), ("", 0)], "text string, label int")
+    got = sorted((r["text"] or "", r["weight"]) for r in with_copy_weights(sample).collect())
+    assert len(got) == 13 and [w for t, w in got if t == two] == [1.0] and [w for t, w in got if not t] == [0.5, 0.5]
+    assert sum(w for t, w in got if t and t != two) <= 3
+    assert signatures([]) == signatures([]) and len(signatures([b"x"])) == 3
