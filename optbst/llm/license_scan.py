@@ -1,9 +1,10 @@
 """Licence scans with a positional index of rare licence words (DataFrame functions only).
 
-Templates are indexed by word position. For each file the words with the highest inverse document
-frequency among those that templates hold are looked up; their postings vote for a template and a
-relative position (place in the file minus place in the template). A placement with enough votes is
-a candidate and counts only if the template's mandatory key phrases stand in the file.
+Templates are indexed by word position. A template counts only if its mandatory key phrases stand in
+the file. For each such template those of its words that have the highest inverse document frequency
+and stand in the file are looked up; their postings vote for a relative position (place in the file
+minus place in the template). Where they give no placement enough votes, all words of the template
+vote, so that neither other notices nor rare words elsewhere in the file hide a notice.
 
 Scale: one pass counts in how many files each template word stands (a map-side aggregation to as
 many rows as templates have words). A second pass works within each row with array functions, so
@@ -59,6 +60,21 @@ def _stands(phrase: list[str], places: str = "places") -> str:
     return f"transform(filter({places}, (p, i) -> {test}), p -> p.at)"
 
 
+_NO_PLACES = "cast(array() AS array<struct<at: bigint, w: string>>)"
+
+
+def _places(have: str) -> str:
+    """SQL: array of struct(at, w) of the words of a row that are in the array ``have``."""
+    return f"filter(transform(words, (w, i) -> IF(array_contains({have}, w), struct(cast(i AS bigint) AS at, w AS w), null)), x -> x IS NOT NULL)"
+
+
+def _best_votes(template: str, own: str) -> str:
+    """SQL: votes of the best placement of ``template`` (a struct with ``at``) by its words ``own``: the longest run of one relative position."""
+    deltas = f"sort_array(flatten(transform(filter(places_own, p -> array_contains({own}, p.w)), p -> transform(element_at({template}.at, p.w), q -> p.at - q))))"
+    run = "IF(a.last <=> d, a.n + 1, 1)"
+    return f"aggregate({deltas}, named_struct('last', cast(null AS bigint), 'n', 0, 'best', 0), (a, d) -> named_struct('last', d, 'n', {run}, 'best', greatest(a.best, {run})), a -> a.best)"
+
+
 def template_document_counts(words: Column, vocabulary: list[str], docs: DataFrame) -> dict[str, int]:
     """In how many rows of ``docs`` each template word stands: at most one row a template word comes back."""
     seen = docs.select(F.explode(F.array_intersect(words, F.expr(_strings(vocabulary)))).alias("w"))
@@ -77,8 +93,9 @@ def license_scan(
 
     n_base counts every place of every base phrase; first_word and last_word are the smallest and the
     largest start. ``labels`` has the base labels and those whose template found a placement with
-    ``votes_needed`` votes (or as many as the template has rare words in this corpus, if fewer) and whose key
-    phrases stand in the file. ``score`` is 1 - 2^-(base places + votes of accepted templates), so 0
+    ``votes_needed`` votes (or as many as the template has words in this corpus, at most ``rare_words``, if
+    fewer) and whose key phrases stand in the file. Votes come from the ``rare_words`` rarest words of the
+    template that the file has, and from all its words if those are too few. ``score`` is 1 - 2^-(base places + votes of accepted templates), so 0
     without any licence. Null and empty texts have no words, empty labels, score 0. Ties between rare
     words go to the alphabetically first. Repeated rows are scanned alike, an empty table gives none.
     """
@@ -96,41 +113,33 @@ def license_scan(
     total = base.count()
     found = template_document_counts(words, vocabulary, base) if total else {}
     idf = {w: math.log((1 + total) / (1 + found.get(w, 0))) for w in index}
-    # Each template keeps the rarest of its words that the corpus has at all; their order is that of falling IDF.
-    ranked = [sorted({w for w in words_of(templates[label][0]) if found.get(w)}, key=lambda w: (-idf[w], w))[:rare_words] for label in labels]
-    by_rarity = sorted({w for ws in ranked for w in ws}, key=lambda w: (-idf[w], w))
-    needed = {w for p in phrases for w in p} | {w for ps in keys.values() for p in ps for w in p}
-    postings = "map(" + ", ".join(f"'{w}', array({', '.join(f'struct({t} AS t, cast({at} AS bigint) AS at)' for t, at in index[w])})" for w in by_rarity) + ")" if by_rarity else None
+    # The words of each template that the corpus has at all, in order of falling IDF.
+    ranked = [sorted({w for w in words_of(templates[label][0]) if found.get(w)}, key=lambda w: (-idf[w], w)) for label in labels]
+    needed = sorted({w for p in phrases for w in p} | {w for ps in keys.values() for p in ps for w in p})
     rows = base.select("doc_id", words.alias("words"))
-    rows = rows.select("doc_id", F.size("words").cast("long").alias("n_words"), F.col("words"), F.array_intersect(F.expr(_strings(by_rarity + sorted(needed - set(by_rarity)))), F.col("words")).alias("have"))
-    places = f"filter(transform(words, (w, i) -> IF(array_contains(have, w), struct(cast(i AS bigint) AS at, w AS w), null)), x -> x IS NOT NULL)"
-    rows = rows.select("doc_id", "n_words", "have", F.when(F.size("have") > 0, F.expr(places)).otherwise(F.expr("cast(array() AS array<struct<at: bigint, w: string>>)")).alias("places"))
+    rows = rows.select("doc_id", F.size("words").cast("long").alias("n_words"), F.col("words"), F.expr(f"array_intersect({_strings(needed)}, words)").alias("have"))
+    rows = rows.withColumn("places", F.expr(f"IF(size(have) > 0, {_places('have')}, {_NO_PLACES})"))
     rows = rows.select("*", *[F.expr(_stands(p)).alias(f"b{k}") for k, p in enumerate(phrases)])
     starts = F.concat(*[f"b{k}" for k in range(len(phrases))])
     rows = rows.select("*", starts.alias("starts"))
-    if postings:
-        look = f"slice(filter(have, w -> array_contains({_strings(by_rarity)}, w)), 1, {rare_words})"
-        rows = rows.withColumn("rare", F.expr(look))
-        rows = rows.withColumn("places_rare", F.expr("filter(places, p -> array_contains(rare, p.w))"))
-        votes = f"flatten(transform(places_rare, p -> transform(element_at({postings}, p.w), q -> struct(q.t AS t, p.at - q.at AS delta))))"
-        # Runs of equal (template, relative position) in sorted votes; the longest run of a template is its best placement.
-        rows = rows.withColumn("votes", F.expr(f"array_sort({votes})"))
-        rows = rows.withColumn(
-            "best",
-            F.expr(
-                f"aggregate(votes, named_struct('t', -1, 'delta', cast(0 AS bigint), 'n', 0, 'best', array_repeat(0, {len(labels)})),"
-                " (a, v) -> named_struct('t', v.t, 'delta', v.delta, 'n', IF(a.t = v.t AND a.delta = v.delta, a.n + 1, 1), 'best',"
-                " IF(get(a.best, v.t) >= IF(a.t = v.t AND a.delta = v.delta, a.n + 1, 1), a.best,"
-                " transform(a.best, (n, i) -> IF(i = v.t, n + 1, n)))),"
-                " a -> a.best)"
-            ),
-        )
-        checks = []
-        for t, label in enumerate(labels):
+    # Templates whose key phrases stand in the file: (label, votes needed, words by rarity, places of each word).
+    keyed = []
+    for t, label in enumerate(labels):
+        if ranked[t]:
             must = " AND ".join(f"size({_stands(p)}) > 0" for p in keys[label]) or "true"
-            need = max(1, min(votes_needed, len(ranked[t])))
-            checks.append(F.expr(f"IF(get(best, {t}) >= {need} AND {must}, struct('{label}' AS label, get(best, {t}) AS votes), null)"))
-        rows = rows.withColumn("placed", F.array_compact(F.array(*checks)))
+            need = max(1, min(votes_needed, rare_words, len(ranked[t])))
+            at = ", ".join(f"'{w}', array({', '.join(f'cast({x} AS bigint)' for u, x in index[w] if u == t)})" for w in ranked[t])
+            keyed.append(F.expr(f"IF({must}, struct('{label}' AS label, {need} AS need, {_strings(ranked[t])} AS own, map({at}) AS at), null)"))
+    if keyed:
+        rows = rows.withColumn("keyed", F.array_compact(F.array(*keyed)))
+        rows = rows.withColumn("have_own", F.expr("array_intersect(array_distinct(flatten(transform(keyed, t -> t.own))), words)"))
+        rows = rows.withColumn("places_own", F.expr(f"IF(size(have_own) > 0, {_places('have_own')}, {_NO_PLACES})"))
+        # First the rarest words that the file has of each template; where they do not place it, all its words.
+        rare = f"slice(filter(t.own, w -> array_contains(have_own, w)), 1, {rare_words})"
+        rows = rows.withColumn("rare", F.expr(f"transform(keyed, t -> struct(t AS t, {_best_votes('t', rare)} AS votes))"))
+        all_words = _best_votes("x.t", "x.t.own")
+        rows = rows.withColumn("tried", F.expr(f"transform(rare, x -> struct(x.t.label AS label, x.t.need AS need, IF(x.votes >= x.t.need, x.votes, {all_words}) AS votes))"))
+        rows = rows.withColumn("placed", F.expr("transform(filter(tried, x -> x.votes >= x.need), x -> struct(x.label AS label, x.votes AS votes))"))
     else:
         rows = rows.withColumn("placed", F.expr("cast(array() AS array<struct<label: string, votes: int>>)"))
     base_labels = F.array_compact(F.array(*[F.when(F.size(f"b{k}") > 0, F.lit(label)) for k, label in enumerate(BASE_PHRASES.values())]))

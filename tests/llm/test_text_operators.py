@@ -287,3 +287,25 @@ def test_copies_share_one_count(spark):
     assert len(got) == 13 and [w for t, w in got if t == two] == [1.0] and [w for t, w in got if not t] == [0.5, 0.5]
     assert sum(w for t, w in got if t and t != two) <= 3
     assert signatures([]) == signatures([]) and len(signatures([b"x"])) == 3
+
+
+def test_license_scan_many_notices(spark):
+    from itertools import combinations
+
+    from optbst.llm.license_scan import license_scan
+
+    notices = {
+        "Released under the MIT License.": {"mit"},
+        "Licensed under the Apache License, Version 2.0.": {"apache-2.0"},
+        "This work is licensed under the GNU General Public License, version 3.": {"gpl"},
+        "All rights reserved.": {"reserved"},
+        "Licensed under CC BY-NC 4.0.": {"cc-by", "cc-by-nc"},
+    }
+    sets = [c for k in range(6) for c in combinations(notices, k)]
+    # The last file has the template's rare words scattered before its notice.
+    texts = ["\n".join(f"alpha beta.\n{x}" for x in c) for c in sets] + ["Obtaining x charge x person x hereby x granted x copy x permission.\nReleased under the MIT License."]
+    want = [",".join(sorted(set().union(*(notices[x] for x in c)))) for c in sets] + ["mit"]
+    got = rows(license_scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")))
+    assert [got[i]["labels"] for i in range(len(texts))] == want
+    text, label = "see the mit page on a license", ""
+    assert license_scan(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()["labels"] == label
