@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold_of, map_batches, two_columns, utf8
+from .common import fold_of, map_batches, utf8
 from .labelled import SAMPLE_ROWS, labelled_sample, sigmoid
 
 FEATURES = (
@@ -145,8 +145,8 @@ def featured(docs: DataFrame, extra: str = "") -> DataFrame:
     return map_batches(docs, f"{kinds}, features array<double>", lambda b: {c: b.column(c) for c in ["doc_id", *extra.split()]} | {"features": [text_features(t) for t in b.column("text").to_pylist()]})
 
 
-def quality_scores(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "quality", modulus: int = 3, held_out: int = 1, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
-    """One row per input row: doc_id, held_out, score (0 to 1), predicted, log_odds.
+def quality_scores(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "quality", modulus: int = 3, held_out: int = 1, sample_rows: int = SAMPLE_ROWS, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row per input row: doc_id, columns ``carry`` of the row, held_out, score (0 to 1), predicted, log_odds.
 
     Learns from the text alone. Null and empty texts are scored with all features 0. Without labels of
     both kinds every score is the (smoothed) share of label 1. Repeated rows are scored alike; an empty
@@ -156,14 +156,15 @@ def quality_scores(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text
     sample = sample.sort_values("doc_id", kind="stable")
     x = np.stack(sample["features"].to_numpy()).astype(float) if len(sample) else np.zeros((0, len(FEATURES)))
     model = docs.sparkSession.sparkContext.broadcast(fit_additive(x, sample["label"].to_numpy(float)))
-    base = two_columns(docs, key, text)
-    kind = base.schema["doc_id"].dataType.simpleString()
+    base = docs.select(F.col(key).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), *carry)
+    own = ["doc_id", *carry]
+    kinds = ", ".join(f"`{c}` {base.schema[c].dataType.simpleString()}" for c in own)
 
     def make(batch: pa.RecordBatch) -> dict[str, object]:
         rows = np.array([text_features(t) for t in batch.column("text").to_pylist()], float).reshape(-1, len(FEATURES))
         z = model.value.log_odds(rows)
         p = sigmoid(z)
-        return {"doc_id": batch.column("doc_id"), "score": p, "predicted": (p >= 0.5).astype(np.int32), "log_odds": z}
+        return {c: batch.column(c) for c in own} | {"score": p, "predicted": (p >= 0.5).astype(np.int32), "log_odds": z}
 
-    scored = map_batches(base, f"doc_id {kind}, score double, predicted int, log_odds double", make)
-    return scored.select("doc_id", (fold_of(F.col("doc_id"), modulus) == held_out).alias("held_out"), "score", "predicted", "log_odds")
+    scored = map_batches(base, f"{kinds}, score double, predicted int, log_odds double", make)
+    return scored.select(*own, (fold_of(F.col("doc_id"), modulus) == held_out).alias("held_out"), "score", "predicted", "log_odds")

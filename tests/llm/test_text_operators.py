@@ -309,3 +309,29 @@ def test_license_scan_many_notices(spark):
     assert [got[i]["labels"] for i in range(len(texts))] == want
     text, label = "see the mit page on a license", ""
     assert license_scan(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()["labels"] == label
+
+
+def test_pipeline_decides_for_rows(spark, tmp_path):
+    import corpus_pipeline as p
+
+    a, b, c, d, e = (prose(80) for _ in range(5))
+    bench = " ".join(re.findall(r"\w+", e)[:40])
+    near = c + " tail"
+    own = [(1, a), (1, a), (1, b), (None, a), (None, c), (None, c), (2, b), (9, near), (3, d), (3, e), (None, e), (4, None), (4, "")]
+    spark.createDataFrame([(1, bench)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    bad = [(i, prose(60).upper() + "!! ##") for i in range(100, 130)]
+    good = [(i, prose(60)) for i in range(200, 230)]
+    spark.createDataFrame([(i, int(i >= 200), 0) for i, _ in bad + good], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    table = lambda rs: spark.createDataFrame(rs, "doc_id long, text string").repartition(3)
+    order = lambda rs: sorted(rs, key=str)
+    run = lambda stage, rs: order(map(tuple, stage(spark, table(rs), str(tmp_path)).collect()))
+    exact = [(1, a), (1, b), (None, c), (9, near), (3, d), (3, e)]
+    got = run(p.without_copies, own)
+    assert [r for r in got if r[0] != 4] == order(exact) and sum(r[0] == 4 for r in got) == 1
+    path = str(tmp_path / "own.parquet")
+    table(own).write.parquet(path)
+    once, twice = (order(map(tuple, p.without_copies(spark, spark.read.parquet(*x), str(tmp_path)).collect())) for x in ([path], [path, path]))
+    assert all([r for r in x if r[0] != 4] == order(exact) and len(x) == len(got) for x in (once, twice))
+    assert run(p.without_near_copies, exact) == order([r for r in exact if r[1] != c])
+    assert run(p.without_benchmark, exact + [(None, e), (None, d)]) == order([r for r in exact if r[1] != e] + [(None, d)])
+    assert run(p.good_quality, bad + good + [(7, bad[0][1]), (7, good[0][1]), (None, bad[1][1]), (None, good[1][1])]) == order(good + [(7, good[0][1]), (None, good[1][1])])
