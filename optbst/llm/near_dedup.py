@@ -156,7 +156,7 @@ def near_duplicates(
     sets = shingle_sets(base.join(members.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi"), shingle)
     sets = written(sets.groupBy("doc_id").agg(F.max("items").alias("items")), "sets")
     edges = leader_links(classes, members, sets, percent, slack)
-    edges = edges.unionAll(block_links(classes, members, sets, edges, percent, slack, rows))
+    edges = edges.unionAll(block_links(classes, members, sets, edges, percent, slack))
     found = components(edges)
     named = classes.select("digest", "rep", "n_class").join(found, F.col("rep") == F.col("node"), "left").select("digest", "n_class", F.coalesce("component", "rep").alias("component_id"))
     named = written(named, "named")
@@ -184,7 +184,7 @@ def leader_links(classes: DataFrame, members: DataFrame, sets: DataFrame, percen
 
 
 def block_links(
-    classes: DataFrame, members: DataFrame, sets: DataFrame, edges: DataFrame, percent: int, slack: float, rows: int, block_classes: int = 256, block_shingles: int = 1_000_000
+    classes: DataFrame, members: DataFrame, sets: DataFrame, edges: DataFrame, percent: int, slack: float, block_classes: int = 256, block_shingles: int = 1_000_000
 ) -> DataFrame:
     """Links (a, b) between classes of one bucket that ``edges`` leave in different components.
 
@@ -206,7 +206,7 @@ def block_links(
     )
     cells = split.join(counts, "bucket").withColumn("own", own).select("bucket", "band", "rep", "comp", "n", "rest", F.explode(cells).alias("cell"))
     cells = written(cells, "cells")
-    data = sets.select(F.col("doc_id").alias("rep"), "items").join(classes.select("rep", "sketch"), "rep")
+    data = sets.select(F.col("doc_id").alias("rep"), "items").join(classes.select("rep", "sketch", "keys"), "rep")
     # Most cells are tiny: a task takes a share of them, some thousand rows.
     deals = max(1, cells.count() // 2000)
     full = cells.join(written(data, "block-data"), "rep").withColumn("deal", F.pmod(F.xxhash64("bucket", "cell"), F.lit(deals)))
@@ -219,29 +219,28 @@ def block_links(
         order = np.lexsort(place)
         place = place[:, order]
         starts = np.flatnonzero(np.concatenate([[True], (place[:, 1:] != place[:, :-1]).any(axis=0)])).tolist() + [len(order)]
-        columns = {c: pdf[c].to_numpy()[order] for c in ("sketch", "n", "comp", "rest", "rep", "items", "band")}
+        columns = {c: pdf[c].to_numpy()[order] for c in ("sketch", "keys", "n", "comp", "rest", "rep", "items", "band")}
         for at, end in zip(starts, starts[1:]):
             own = {c: v[at:end] for c, v in columns.items()}
             if own["rest"].any() and end - at > 1:
-                out += _cell_links(**own, rows=rows, percent=percent, slack=slack)
+                out += _cell_links(**own, percent=percent, slack=slack)
         return pd.DataFrame({"a": [a for a, _ in out], "b": [b for _, b in out]}).astype({"a": pdf["rep"].dtype, "b": pdf["rep"].dtype})
 
     return written(full.groupBy("deal").applyInPandas(links, f"a {kind}, b {kind}"), "block-links")
 
 
-def _cell_links(sketch, n, comp, rest, rep, items, band, rows: int, percent: int, slack: float) -> list[tuple]:  # noqa: ANN001
+def _cell_links(sketch, keys, n, comp, rest, rep, items, band, percent: int, slack: float) -> list[tuple]:  # noqa: ANN001
     """Links between classes of different components in one cell; those that are not core come first in a pair."""
     out, joined = [], set()
-    sk, numbers = np.stack(sketch), np.arange(len(n))
+    sk, bands, numbers = np.stack(sketch), np.stack(keys), np.arange(len(n))
     for p in np.flatnonzero(rest):
         q = np.flatnonzero((comp != comp[p]) & (~rest | (numbers > p)))
         q = q[100 * np.minimum(n[q], n[p]) >= percent * np.maximum(n[q], n[p])]
         if not len(q):
             continue
-        same = sk[q] == sk[p]
-        q, same = q[near := same.mean(axis=1) >= percent / 100 - slack], same[near]
-        # Only in the first band that the two share is the pair looked at.
-        q = q[same.reshape(len(q), sk.shape[1] // rows, rows).all(axis=2).argmax(axis=1) >= band[0]]
+        q = q[(sk[q] == sk[p]).mean(axis=1) >= percent / 100 - slack]
+        # Only in the first band that the two share is the pair looked at. The keys decide, as buckets are made from them.
+        q = q[(bands[q] == bands[p]).argmax(axis=1) >= band[0]]
         for o in q:
             if (comp[p], comp[o]) in joined:
                 continue

@@ -335,3 +335,16 @@ def test_pipeline_decides_for_rows(spark, tmp_path):
     assert run(p.without_near_copies, exact) == order([r for r in exact if r[1] != c])
     assert run(p.without_benchmark, exact + [(None, e), (None, d)]) == order([r for r in exact if r[1] != e] + [(None, d)])
     assert run(p.good_quality, bad + good + [(7, bad[0][1]), (7, good[0][1]), (None, bad[1][1]), (None, good[1][1])]) == order(good + [(7, good[0][1]), (None, good[1][1])])
+
+
+def test_near_dedup_first_shared_band(spark):
+    from optbst.llm.near_dedup import block_links
+
+    # 2 and 3 are near copies; their short coordinates also agree in band 0, where their keys differ, so band 1 is their only bucket.
+    items = {1: list(range(50, 60)), 2: list(range(10)), 3: list(range(10))}
+    keys = {1: [7, 5], 2: [8, 5], 3: [9, 5]}
+    classes = spark.createDataFrame([(i, 10, [0] * 8 if i > 1 else [1] * 4 + [0] * 4, keys[i]) for i in items], "rep long, n long, sketch array<smallint>, `keys` array<long>")
+    members = spark.createDataFrame([(99, 1, 1, i, 10) for i in items], "bucket long, band int, leader long, rep long, n long")
+    sets = spark.createDataFrame(list(items.items()), "doc_id long, items array<long>")
+    links = block_links(classes, members, sets, spark.createDataFrame([], "a long, b long"), percent=85, slack=0.25)
+    assert {frozenset(r) for r in links.collect()} == {frozenset((2, 3))}
