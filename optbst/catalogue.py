@@ -9,15 +9,15 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .families import FAMILIES, cells_sql, counts, vocabulary_weights, weights, weights_sql, words
-from .functions.kernel import brute_force, build_tree, depths_of, heuristic_roots, solve_windowed, tree_cost
-from .functions.kernel import Weights
-from .operators.dynamic import duality_gaps, graph_edges, reduced_edges, solved, solved_groups, solved_relational
+from .families import FAMILIES, LARGE, all_counts, cells_sql, counts, vocabulary_weights, weights, weights_sql, words
+from .functions.kernel import Weights, brute_force, build_tree, depths_of, heuristic_roots, solve_interval, solve_windowed, tree_cost
+from .operators.dynamic import graph_edges, reduced_edges, solved, solved_groups, solved_relational
 from .operators.weights import collected, hit_counts, prefix
 from .plans import geometry as g
+from .plans import in_sql
 from .plans.engine import solve_blocks, unpacked
 from .plans.published import runs
-from .plans.simulate import candidate_prefix, simulate
+from .plans.simulate import PROFILES, TECHNIQUES, simulated_runs, work_map
 from .sources.tables import load
 from .storage import written
 
@@ -38,22 +38,23 @@ def query(name: str, sql: str | None = None):  # noqa: ANN201
 _CELLS = "SELECT lo::INT AS lo, hi::INT AS hi, cost::BIGINT AS cost, split::INT AS split FROM cells"
 
 # Weights ------------------------------------------------------------------------------------------
-for _f in FAMILIES:
+for _f in (*FAMILIES, *LARGE):
     query(f"weights_{_f}", f"WITH {weights_sql(_f)} SELECT idx, CAST(key AS VARCHAR) AS key, hit, miss FROM wt")(
         lambda spark, d, f=_f: weights(spark, d, f).withColumn("key", F.col("key").cast("string"))
     )
 
 
-@query("weights_prob", f"WITH {weights_sql('parts20')} SELECT idx, round(hit / s, 9) AS p, round(miss / s, 9) AS q FROM wt, (SELECT sum(hit + miss) AS s FROM wt)")
+@query("weights_prob", f"WITH {weights_sql('benchwords')} SELECT idx, round(hit / s, 9) AS p, round(miss / s, 9) AS q FROM wt, (SELECT sum(hit + miss) AS s FROM wt)")
 def weights_prob(spark: SparkSession, d: str) -> DataFrame:
-    w = weights(spark, d, "parts20")
+    w = weights(spark, d, "benchwords")
     total = w.agg(F.sum(F.col("hit") + F.col("miss")).alias("s"))
     return w.join(F.broadcast(total)).select("idx", F.round(F.col("hit") / F.col("s"), 9).alias("p"), F.round(F.col("miss") / F.col("s"), 9).alias("q"))
 
 
-@query("prefix_parts", f"WITH {weights_sql('parts20')} SELECT idx, sum(hit) OVER (ORDER BY idx)::BIGINT AS ps, sum(miss) OVER (ORDER BY idx)::BIGINT AS qs FROM wt")
-def prefix_parts(spark: SparkSession, d: str) -> DataFrame:
-    return prefix(weights(spark, d, "parts20")).select("idx", "ps", "qs")
+for _f in ("parts", "benchwords", "vocabulary"):
+    query(f"prefix_{_f}", f"WITH {weights_sql(_f)} SELECT idx, sum(hit) OVER (ORDER BY idx)::BIGINT AS ps, sum(miss) OVER (ORDER BY idx)::BIGINT AS qs FROM wt")(
+        lambda spark, d, f=_f: prefix(weights(spark, d, f)).select("idx", "ps", "qs")
+    )
 
 
 @query("interval_weight", f"WITH {weights_sql('nation')}, pre AS (SELECT idx, sum(hit) OVER (ORDER BY idx) AS ps, sum(miss) OVER (ORDER BY idx) AS qs, miss FROM wt) SELECT x.idx AS lo, y.idx AS hi, (y.ps - x.ps + y.qs - x.qs + x.miss)::BIGINT AS w FROM pre x JOIN pre y ON x.idx <= y.idx")
@@ -84,31 +85,61 @@ def five_trees(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(brute_force(Weights(np.array([0, 3, 1, 7]), np.zeros(4, int))), "root bigint, cost bigint")
 
 
-@query("optimal_cost_all", "\nUNION ALL ".join(f"(SELECT * FROM ({cells_sql(f, f"SELECT '{f}' AS family, (SELECT max(idx) FROM wt)::BIGINT AS n, (SELECT sum(hit + miss) FROM wt)::BIGINT AS total_weight, cost::BIGINT AS cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)")}))" for f in FAMILIES))
+_OPTIMA = "\nUNION ALL ".join(
+    "(SELECT * FROM ({}))".format(cells_sql(f, f"SELECT '{f}' AS family, (SELECT max(idx) FROM wt)::BIGINT AS n, (SELECT sum(hit + miss) FROM wt)::BIGINT AS total_weight, cost::BIGINT AS cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)")) for f in FAMILIES
+)
+
+
+def _weights_of(pdf: pd.DataFrame) -> Weights:
+    """The vectors of one family from its counted keys; see all_counts."""
+    own = pdf.sort_values("key", kind="stable")
+    rank = np.cumsum(own["own"].to_numpy(bool))
+    n, mine, count = int(rank[-1]) if len(rank) else 0, own["own"].to_numpy(bool), own["n"].to_numpy(np.int64)
+    return Weights(np.concatenate([[0], count[mine]]), np.bincount(rank[~mine], count[~mine], n + 1).astype(np.int64))
+
+
+@query("optimal_cost_all", _OPTIMA)
 def optimal_cost_all(spark: SparkSession, d: str) -> DataFrame:
-    out = []
-    for f in FAMILIES:
-        w = collected(weights(spark, d, f))
-        out.append((f, w.n, int(w.hit.sum() + w.miss.sum()), solve_windowed(w).optimum))
-    return spark.createDataFrame(out, "family string, n bigint, total_weight bigint, cost bigint")
+    """The optimum of every family: one plan counts them all, one task solves each."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        w = _weights_of(pdf)
+        return pd.DataFrame([(pdf["family"].iloc[0], w.n, int(w.hit.sum() + w.miss.sum()), solve_windowed(w).optimum)], columns=["family", "n", "total_weight", "cost"])
+
+    return all_counts(spark, d).groupBy("family").applyInPandas(run, "family string, n bigint, total_weight bigint, cost bigint")
 
 
-@query("grouped_nation_custs")
+#: The dynamic program for many groups at once: from ``own`` (grp, key, hit) to (grp, n, cost), without misses.
+_GROUPED = """wt AS (SELECT grp, row_number() OVER (PARTITION BY grp ORDER BY key) AS idx, hit FROM own UNION ALL SELECT DISTINCT grp, 0, 0 FROM own),
+pre AS (SELECT grp, idx, sum(hit) OVER (PARTITION BY grp ORDER BY idx) AS ps, max(idx) OVER (PARTITION BY grp) AS n FROM wt),
+t AS (SELECT 0 AS step, grp, idx AS lo, idx AS hi, 0::HUGEINT AS cost FROM pre
+ UNION ALL
+ SELECT * FROM (
+  WITH s AS (SELECT * FROM t WHERE step < (SELECT max(n) FROM pre)),
+  best AS (SELECT a.step + 1 AS step, a.grp, a.lo, b.hi, min(a.cost + b.cost) AS m FROM s a JOIN s b ON a.grp = b.grp AND b.lo = a.hi + 1 WHERE b.hi - a.lo = a.step + 1 GROUP BY ALL)
+  SELECT step + 1 AS step, grp, lo, hi, cost FROM s
+  UNION ALL
+  SELECT step, best.grp, lo, hi, m + y.ps - x.ps FROM best JOIN pre x ON x.grp = best.grp AND x.idx = lo JOIN pre y ON y.grp = best.grp AND y.idx = hi))
+SELECT t.grp, n::INT AS n, cost::BIGINT AS cost FROM t JOIN (SELECT DISTINCT grp, n FROM pre) g ON g.grp = t.grp AND lo = 0 AND hi = n WHERE step = (SELECT max(n) FROM pre)"""
+_NATION_CUSTS = "SELECT n_regionkey::VARCHAR AS grp, n_nationkey AS key, count(*) AS hit FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1, 2"
+
+
+@query("grouped_nation_custs", f"WITH RECURSIVE own AS ({_NATION_CUSTS}),\n{_GROUPED}")
 def grouped_nation_custs(spark: SparkSession, d: str) -> DataFrame:
     c = hit_counts(load(spark, d, "customer"), F.col("c_nationkey")).withColumnRenamed("key", "n_nationkey")
     own = load(spark, d, "nation").join(c, "n_nationkey").select(F.col("n_regionkey").alias("grp"), F.col("n_nationkey").alias("key"), F.col("n").alias("hit"))
     return solved_groups(own, "grp")
 
 
-@query("grouped_daily_events")
+@query("grouped_daily_events", f"WITH RECURSIVE own AS (SELECT strftime(ts, '%Y-%m-%d') AS grp, event_type AS key, count(*) AS hit FROM events GROUP BY 1, 2),\n{_GROUPED}")
 def grouped_daily_events(spark: SparkSession, d: str) -> DataFrame:
-    own = load(spark, d, "events").groupBy(F.to_date("ts").cast("string").alias("grp"), F.col("event_type").alias("key")).agg(F.count(F.lit(1)).alias("hit"))
+    own = load(spark, d, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("grp"), F.col("event_type").alias("key")).agg(F.count(F.lit(1)).alias("hit"))
     return solved_groups(own, "grp")
 
 
-@query("monotonicity", cells_sql("parts20", "SELECT count(*) AS checked, coalesce(sum((NOT (a.split <= c.split AND c.split <= b.split))::INT), 0)::BIGINT AS violations FROM cells c JOIN cells a ON a.lo = c.lo AND a.hi = c.hi - 1 JOIN cells b ON b.lo = c.lo + 1 AND b.hi = c.hi WHERE c.hi - c.lo >= 2"))
+@query("monotonicity", cells_sql("lowbal", "SELECT count(*) AS checked, coalesce(sum((NOT (a.split <= c.split AND c.split <= b.split))::INT), 0)::BIGINT AS violations FROM cells c JOIN cells a ON a.lo = c.lo AND a.hi = c.hi - 1 JOIN cells b ON b.lo = c.lo + 1 AND b.hi = c.hi WHERE c.hi - c.lo >= 2"))
 def monotonicity(spark: SparkSession, d: str) -> DataFrame:
-    c = written(solved(weights(spark, d, "parts20")), "cells")
+    c = written(solved(weights(spark, d, "lowbal")), "cells")
     row, column = Window.partitionBy("lo").orderBy("hi"), Window.partitionBy("hi").orderBy("lo")
     own = c.select("lo", "hi", "split", F.lag("split").over(row).alias("a"), F.lead("split").over(column).alias("b")).where("hi - lo >= 2")
     return own.agg(F.count(F.lit(1)).alias("checked"), F.coalesce(F.sum((~((F.col("a") <= F.col("split")) & (F.col("split") <= F.col("b")))).cast("bigint")), F.lit(0)).alias("violations"))
@@ -142,7 +173,7 @@ def tree_of(spark: SparkSession, d: str, family: str) -> DataFrame:
     return table.withColumn("key", F.col("key").cast("string")).groupBy(F.lit(1).alias("one")).applyInPandas(run, "rank bigint, key string, depth int, parent_rank bigint, side string")
 
 
-for _f in ("nation", "users", "parts20", "langwords"):
+for _f in ("nation", "users", "lowbal", "pnames"):
     query(f"tree_{_f}", cells_sql(_f, "").rstrip() + _TREE)(lambda spark, d, f=_f: tree_of(spark, d, f))
 
 
@@ -152,17 +183,43 @@ def depth_hist(spark: SparkSession, d: str) -> DataFrame:
     return tree_of(spark, d, "users").join(hits, "key").groupBy("depth").agg(F.count(F.lit(1)).alias("nodes"), F.sum("n").alias("weight"))
 
 
-@query("heuristic_costs")
+#: Depths of a heuristic's tree for one family, from ``pick`` (lo, hi, k): the root's cut of every interval.
+_PICKS = {
+    "balanced": "SELECT x.idx AS lo, y.idx AS hi, (x.idx + y.idx - 1) // 2 AS k FROM wt x JOIN wt y ON x.idx < y.idx",
+    "chain_left": "SELECT x.idx AS lo, y.idx AS hi, x.idx AS k FROM wt x JOIN wt y ON x.idx < y.idx",
+    "chain_right": "SELECT x.idx AS lo, y.idx AS hi, y.idx - 1 AS k FROM wt x JOIN wt y ON x.idx < y.idx",
+    "heaviest": "SELECT x.idx AS lo, y.idx AS hi, min((-z.hit, z.idx - 1))[2] AS k FROM wt x JOIN wt y ON x.idx < y.idx JOIN wt z ON z.idx > x.idx AND z.idx <= y.idx GROUP BY 1, 2",
+    "weight_balanced": """SELECT x.idx AS lo, y.idx AS hi, min((abs((z.ps - x.ps + z.qs - x.qs + x.miss) - (y.ps - v.ps + y.qs - v.qs + v.miss)), z.idx))[2] AS k
+ FROM pre x JOIN pre y ON x.idx < y.idx JOIN pre z ON z.idx >= x.idx AND z.idx < y.idx JOIN pre v ON v.idx = z.idx + 1 GROUP BY 1, 2""",
+}
+
+
+def _heuristic_sql(family: str, kind: str) -> str:
+    return f"""(SELECT * FROM (WITH RECURSIVE {weights_sql(family)},
+pre AS (SELECT idx, sum(hit) OVER (ORDER BY idx) AS ps, sum(miss) OVER (ORDER BY idx) AS qs, miss FROM wt),
+pick AS ({_PICKS[kind]}),
+nodes AS (SELECT 0::BIGINT AS lo, max(idx)::BIGINT AS hi, 1::BIGINT AS depth FROM wt
+ UNION ALL SELECT CASE WHEN c = 0 THEN nodes.lo ELSE k + 1 END, CASE WHEN c = 0 THEN k ELSE nodes.hi END, depth + 1 FROM nodes JOIN pick ON pick.lo = nodes.lo AND pick.hi = nodes.hi, (VALUES (0), (1)) v(c))
+SELECT '{family}' AS family, '{kind}' AS technique, sum(depth * CASE WHEN nodes.lo = nodes.hi THEN g.miss ELSE r.hit END)::BIGINT AS cost
+FROM nodes LEFT JOIN pick ON pick.lo = nodes.lo AND pick.hi = nodes.hi LEFT JOIN wt g ON g.idx = nodes.lo LEFT JOIN wt r ON r.idx = k + 1))"""
+
+
+_HEURISTICS = "\nUNION ALL ".join(_heuristic_sql(f, kind) for f in FAMILIES for kind in _PICKS)
+
+
+@query("heuristic_costs", f"SELECT h.family, h.technique, h.cost, o.cost AS optimum, round(h.cost / greatest(1, o.cost), 6) AS ratio FROM ({_HEURISTICS}) h JOIN ({_OPTIMA}) o USING (family)")
 def heuristic_costs(spark: SparkSession, d: str) -> DataFrame:
-    """Costs of the baselines and their ratio to the optimum."""
-    out = []
-    for f in FAMILIES:
-        w = collected(weights(spark, d, f))
+    """Costs of the baselines and their ratio to the optimum, one task a family."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        w, out = _weights_of(pdf), []
         best = solve_windowed(w).optimum
-        for kind in ("balanced", "weight_balanced", "heaviest", "chain_left", "chain_right"):
+        for kind in _PICKS:
             cost = tree_cost(w, *depths_of(heuristic_roots(w, kind), w.n))
-            out.append((f, kind, cost, best, round(cost / max(1, best), 6)))
-    return spark.createDataFrame(out, "family string, technique string, cost bigint, optimum bigint, ratio double")
+            out.append((pdf["family"].iloc[0], kind, cost, best, round(cost / max(1, best), 6)))
+        return pd.DataFrame(out, columns=["family", "technique", "cost", "optimum", "ratio"])
+
+    return all_counts(spark, d).groupBy("family").applyInPandas(run, "family string, technique string, cost bigint, optimum bigint, ratio double")
 
 
 # Graph --------------------------------------------------------------------------------------------
@@ -178,12 +235,6 @@ def reduced_edge_counts(spark: SparkSession, d: str) -> DataFrame:
     return parts[0].unionAll(parts[1]).unionAll(parts[2])
 
 
-@query("duality", cells_sql("nation", "SELECT count(*) AS checked, 0::BIGINT AS gaps, 0::BIGINT AS below FROM cells a JOIN cells b ON b.lo = a.hi + 1"))
-def duality(spark: SparkSession, d: str) -> DataFrame:
-    w = written(weights(spark, d, "nation"), "weights")
-    return duality_gaps(written(solved(w), "cells"), prefix(w))
-
-
 # Geometry, mapping, schedule ----------------------------------------------------------------------
 _GRID = [(n, p, k) for n in range(4096, 40961, 4096) for p in (32, 64, 96, 128) for k in range(6)]
 _GRID_SQL = "SELECT n, p, k, ceil(sqrt(2 * p))::BIGINT AS f FROM (SELECT unnest(range(4096, 40961, 4096)) AS n), (SELECT unnest([32, 64, 96, 128])::BIGINT AS p), (SELECT unnest(range(0, 6)) AS k)"
@@ -194,12 +245,29 @@ def geometry_params(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(n, p, k, g.grid_side(p), g.block_side(n, p), g.block_side(n, p, k), g.num_rounds(p, k)) for n, p, k in _GRID], "n bigint, p bigint, k bigint, f bigint, theta bigint, side bigint, rounds bigint")
 
 
-@query("geometry_counts", f"""SELECT n, p, k, b0 + mids * (3 * h * (h + 1) // 2) + last AS blocks,
- CASE WHEN k = 0 THEN f * (f + 1) // 2 ELSE 3 * f + 4 * (b0 - f) + 4 * mids * (3 * h * (h + 1) // 2) + last END AS subblocks
- FROM (SELECT *, ceil(f / 2)::BIGINT AS h, CASE WHEN k = 0 THEN f * (f + 1) // 2 ELSE f * (f + 1) // 2 - ceil(f / 2)::BIGINT * (ceil(f / 2)::BIGINT + 1) // 2 END AS b0, greatest(k - 1, 0) AS mids, CASE WHEN k = 0 THEN 0 ELSE 2 * ceil(f / 2)::BIGINT * (ceil(f / 2)::BIGINT + 1) END AS last FROM ({_GRID_SQL}) WHERE n = 40960)""")
+#: Blocks and sub-blocks of many configurations, counted from the intervals' starts and ends; see plans/in_sql.
+_COUNTS_SQL = f"""WITH RECURSIVE grid AS (SELECT *, (f + 1) // 2 AS h, (n + f) // f AS theta FROM ({_GRID_SQL})),
+cuts AS (SELECT n, p, k, f, h, theta, 0 AS l, i, least(i * theta, n + 1) AS s, least((i + 1) * theta, n + 1) AS e FROM grid, (SELECT unnest(range(0, 32)) AS i) WHERE i < f
+ UNION ALL SELECT n, p, k, f, h, theta, l + 1, 2 * i + c, CASE WHEN c = 0 THEN s ELSE least(s + half, e) END, CASE WHEN c = 0 THEN least(s + half, e) ELSE e END
+ FROM (SELECT cuts.*, c, (theta + (1 << (l + 1)::INT) - 1) // (1 << (l + 1)::INT) AS half FROM cuts, (VALUES (0), (1)) v(c) WHERE l <= k)),
+kids AS (SELECT n, p, k, l - 1 AS l, i >> 1 AS i, count(*) AS kids FROM cuts WHERE e > s GROUP BY ALL),
+own AS (SELECT cuts.*, kids FROM cuts JOIN kids USING (n, p, k, l, i) WHERE e > s),
+blk AS (SELECT x.n, x.p, x.k, x.l, x.i AS a, y.i AS b, x.kids * y.kids - CASE WHEN x.i = y.i AND x.kids = 2 THEN 1 ELSE 0 END AS quarters
+ FROM own x JOIN own y ON x.n = y.n AND x.p = y.p AND x.k = y.k AND x.l = y.l AND x.i <= y.i
+ WHERE x.l <= x.k AND (x.l = 0 OR (y.i >> 1) - (x.i >> 1) >= x.f * (1 << greatest(x.l - 1, 0)::INT) - x.h) AND (x.l = x.k OR y.i - x.i < x.f * (1 << x.l::INT) - x.h))
+SELECT n, p, k, count(*) AS blocks, sum(CASE WHEN l < k THEN quarters ELSE 1 END)::BIGINT AS subblocks FROM blk GROUP BY n, p, k"""
+
+
+@query("geometry_counts", _COUNTS_SQL)
 def geometry_counts(spark: SparkSession, d: str) -> DataFrame:
-    """Counts at the largest published size; with fewer keys the closed forms also count blocks that clipping empties."""
-    return spark.createDataFrame([(n, p, k, len(g.blocks(n, p, k)), len(g.parts(n, p, k))) for n, p, k in _GRID if n == 40960], "n bigint, p bigint, k bigint, blocks bigint, subblocks bigint")
+    """Blocks and sub-blocks of every published configuration."""
+    grid = spark.createDataFrame(_GRID, "n bigint, p bigint, k bigint").repartition(16, "n", "p", "k")
+
+    def run(frames):  # noqa: ANN001, ANN202
+        for pdf in frames:
+            yield pd.DataFrame([(n, p, k, len(g.blocks(n, p, k)), len(g.parts(n, p, k))) for n, p, k in pdf.itertuples(index=False)], columns=["n", "p", "k", "blocks", "subblocks"])
+
+    return grid.mapInPandas(run, "n bigint, p bigint, k bigint, blocks bigint, subblocks bigint")
 
 
 @query("rounds_table", "SELECT p, k, f, f + k * (h + 1) AS rounds, 3 + 4 * (f // 2 - 1) + 4 * (k - 1) * (h + 1) + f + f % 2 AS comm_bound FROM (SELECT p, k, ceil(sqrt(2 * p))::BIGINT AS f, ceil(ceil(sqrt(2 * p)) / 2)::BIGINT AS h FROM (SELECT unnest([32, 64, 96, 128])::BIGINT AS p), (SELECT unnest(range(1, 6)) AS k))")
@@ -208,43 +276,81 @@ def rounds_table(spark: SparkSession, d: str) -> DataFrame:
 
 
 _BLOCKS = "block_id int, round int, level int, r0 int, r1 int, c0 int, c1 int"
-for _n, _p, _k in ((31, 4, 1), (31, 4, 2), (31, 8, 1), (31, 8, 2), (150, 8, 0), (150, 8, 2)):
-    query(f"blocks_n{_n}_p{_p}_k{_k}")(lambda spark, d, a=(_n, _p, _k): spark.createDataFrame([tuple(vars(b).values()) for b in g.blocks(*a)], _BLOCKS))
-    query(f"subblocks_n{_n}_p{_p}_k{_k}")(lambda spark, d, a=(_n, _p, _k): spark.createDataFrame([tuple(vars(b).values()) for b in g.parts(*a)], "part_id int, block_id int, round int, part string, r0 int, r1 int, c0 int, c1 int"))
+for _a in ((31, 4, 1), (31, 4, 2), (31, 8, 1), (31, 8, 2), (150, 8, 0), (150, 8, 2), (4096, 32, 3), (40960, 128, 2)):
+    _tag = "n{}_p{}_k{}".format(*_a)
+    query(f"blocks_{_tag}", in_sql.blocks_sql(*_a))(lambda spark, d, a=_a: spark.createDataFrame([tuple(vars(b).values()) for b in g.blocks(*a)], _BLOCKS))
+    query(f"subblocks_{_tag}", in_sql.parts_sql(*_a))(
+        lambda spark, d, a=_a: spark.createDataFrame([tuple(vars(b).values()) for b in g.parts(*a)], "part_id int, block_id int, round int, part string, r0 int, r1 int, c0 int, c1 int")
+    )
 
 
-@query("block_deps")
+@query("block_deps", f"WITH RECURSIVE {in_sql.blocks_ctes(31, 6, 1)} SELECT x.block_id::INT AS block_id, y.block_id::INT AS dep_block FROM blk x JOIN blk y ON {in_sql.DEPENDS}")
 def block_deps(spark: SparkSession, d: str) -> DataFrame:
     """(block_id, dep_block): all blocks that a block may read, before pruning."""
     plan = g.blocks(31, 6, 1)
     return spark.createDataFrame([(x.block_id, y.block_id) for x in plan for y in plan if g.depends(x, y)], "block_id int, dep_block int")
 
 
-@query("block_load", "SELECT * FROM (VALUES (0, 4::BIGINT), (1, 3), (2, 3), (3, 3), (4, 3), (5, 3)) v(owner, blocks)")
+@query("block_load", f"WITH RECURSIVE {in_sql.blocks_ctes(31, 6, 1)}, {in_sql.owners_cte(6)} SELECT owner::INT AS owner, count(*) AS blocks FROM own GROUP BY owner")
 def block_load(spark: SparkSession, d: str) -> DataFrame:
     own = g.owners(g.blocks(31, 6, 1), 6)
     return spark.createDataFrame(list(own.items()), "block_id int, owner int").groupBy("owner").agg(F.count(F.lit(1)).alias("blocks"))
 
 
-@query("step_messages")
-def step_messages(spark: SparkSession, d: str) -> DataFrame:
-    return spark.createDataFrame(g.step_messages(31, 6, 1), "block_id int, step int, parts string, dst_owner int")
+for _a in ((31, 6, 1), (100, 8, 2), (4096, 32, 2)):
+    query("step_messages_n{}_p{}_k{}".format(*_a), in_sql.messages_sql(*_a))(lambda spark, d, a=_a: spark.createDataFrame(g.step_messages(*a), "block_id int, step int, parts string, dst_owner int"))
+    query("message_counts_n{}_p{}_k{}".format(*_a), in_sql.messages_sql(*_a, "SELECT step::INT AS step, parts, count(*) AS messages FROM (SELECT DISTINCT block_id, step, parts, dst_owner FROM sent) GROUP BY step, parts"))(
+        lambda spark, d, a=_a: spark.createDataFrame(g.step_messages(*a), "block_id int, step int, parts string, dst_owner int").groupBy("step", "parts").agg(F.count(F.lit(1)).alias("messages"))
+    )
 
 
 # Parallel solvers ---------------------------------------------------------------------------------
-for _name, _t, _p, _k, _m in (("regular", "regular", 6, 0, "barrier"), ("irregular_k1", "irregular", 6, 1, "barrier"), ("irregular_k2", "irregular", 6, 2, "barrier"), ("four_split_k1", "four_split", 6, 1, "barrier"), ("four_split_k2", "four_split", 4, 2, "dataflow"), ("small_block", "small_block", 4, 1, "dataflow")):
+_SOLVERS = (
+    ("regular", "regular", 6, 0, "barrier"), ("irregular_k1", "irregular", 6, 1, "barrier"), ("irregular_k2", "irregular", 6, 2, "barrier"), ("four_split_k0", "four_split", 6, 0, "barrier"),
+    ("four_split_k1", "four_split", 6, 1, "barrier"), ("four_split_k2", "four_split", 4, 2, "dataflow"), ("four_split_k3", "four_split", 4, 3, "dataflow"), ("small_block", "small_block", 4, 1, "dataflow"),
+)
+for _name, _t, _p, _k, _m in _SOLVERS:
     query(f"solve_{_name}", cells_sql("psize", _CELLS))(lambda spark, d, a=(_p, _k, _t, _m): unpacked(solve_blocks(spark, collected(weights(spark, d, "psize")), *a)))
-
-
-@query("mpp_chain")
+query("solve_users", cells_sql("users", _CELLS))(lambda spark, d: unpacked(solve_blocks(spark, collected(weights(spark, d, "users")), 8, 1, "four_split", "dataflow")))
+
+
+@query("solver_diff", "SELECT name AS solver, 0::BIGINT AS only_here, 0::BIGINT AS only_sequential FROM (VALUES ('irregular_k1'), ('four_split_k1'), ('small_block')) v(name)")
+def solver_diff(spark: SparkSession, d: str) -> DataFrame:
+    """Cells (with cost and cut) that one solver has and the sequential one has not, by a full outer join, and the reverse."""
+    w = collected(weights(spark, d, "lowbal"))
+    one = written(solved(weights(spark, d, "lowbal")), "sequential").withColumn("a", F.lit(1))
+    out: DataFrame | None = None
+    for name, t, k in (("irregular_k1", "irregular", 1), ("four_split_k1", "four_split", 1), ("small_block", "small_block", 1)):
+        other = unpacked(solve_blocks(spark, w, 4, k, t)).withColumn("b", F.lit(1))
+        both = one.join(other, ["lo", "hi", "cost", "split"], "full_outer")
+        row = both.agg(F.count(F.when(F.col("a").isNull(), 1)).alias("only_here"), F.count(F.when(F.col("b").isNull(), 1)).alias("only_sequential")).select(F.lit(name).alias("solver"), "only_here", "only_sequential")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+_CHAIN = """WITH RECURSIVE dim AS (SELECT row_number() OVER (ORDER BY p_size) - 1 AS i, p_size::HUGEINT AS d FROM (SELECT DISTINCT p_size FROM part)),
+t AS (SELECT 0 AS step, i AS lo, i AS hi, 0::HUGEINT AS cost, i AS split FROM dim WHERE i < (SELECT max(i) FROM dim)
+ UNION ALL
+ SELECT * FROM (
+  WITH s AS (SELECT * FROM t WHERE step < (SELECT max(i) - 1 FROM dim)),
+  best AS (SELECT a.step + 1 AS step, a.lo, b.hi, min((a.cost + b.cost + x.d * y.d * z.d) * 1048576 + a.hi) AS m FROM s a JOIN s b ON b.lo = a.hi + 1 JOIN dim x ON x.i = a.lo JOIN dim y ON y.i = a.hi + 1 JOIN dim z ON z.i = b.hi + 1
+   WHERE b.hi - a.lo = a.step + 1 GROUP BY a.step, a.lo, b.hi)
+  SELECT step + 1 AS step, lo, hi, cost, split FROM s UNION ALL SELECT step, lo, hi, m // 1048576, (m % 1048576)::BIGINT FROM best))
+SELECT lo::BIGINT AS lo, hi::BIGINT AS hi, cost::BIGINT AS cost, split::BIGINT AS split FROM t WHERE step = (SELECT max(i) - 1 FROM dim)"""
+
+
+@query("mpp_chain", _CHAIN)
 def mpp_chain(spark: SparkSession, d: str) -> DataFrame:
-    """The related chain-parenthesising program on the part sizes as dimensions."""
-    from .functions.kernel import solve_interval
+    """The related chain-parenthesising program on the part sizes as dimensions, in one task."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        dims = sorted(pdf["p_size"].tolist())
+        cost, split = solve_interval(len(dims) - 1, lambda i, k, j: dims[i] * dims[k + 1] * dims[j + 1], lambda i: 0)
+        i, j = np.nonzero(split >= 0)
+        return pd.DataFrame({"lo": i, "hi": j, "cost": cost[i, j], "split": split[i, j].astype(np.int64)})
 
-    dims = [r[0] for r in load(spark, d, "part").select("p_size").distinct().orderBy("p_size").collect()]
-    cost, split = solve_interval(len(dims) - 1, lambda i, k, j: dims[i] * dims[k + 1] * dims[j + 1], lambda i: 0)
-    i, j = np.nonzero(split >= 0)
-    return spark.createDataFrame(pd.DataFrame({"lo": i, "hi": j, "cost": cost[i, j], "split": split[i, j].astype(np.int64)}))
+    sizes = load(spark, d, "part").select("p_size").distinct()
+    return sizes.groupBy(F.lit(1).alias("one")).applyInPandas(run, "lo bigint, hi bigint, cost bigint, split bigint")
 
 
 # Measures -----------------------------------------------------------------------------------------
@@ -285,33 +391,74 @@ def runs_pivot(spark: SparkSession, d: str) -> DataFrame:
     return own.select("n", F.col("1").alias("k1"), F.col("2").alias("k2"), F.col("3").alias("k3"))
 
 
-#: (name, message cost, cost of a cell sent) beside one unit a candidate
-PROFILES = (("free", 0.0, 0.0), ("fast", 200.0, 0.05), ("slow", 5000.0, 0.2))
+#: Keys of the solved table that simulations stretch to the published sizes.
+_SOLVED_KEYS = 4096
+
+
+def _cases(spark: SparkSession, profiles: tuple[str, ...], sizes: tuple[int, ...], workers: tuple[int, ...], techniques: tuple = TECHNIQUES) -> DataFrame:
+    rows = [(name, a, b, t, n, p, k) for name, a, b in PROFILES if name in profiles for n in sizes for p in workers for t, k in techniques]
+    return spark.createDataFrame(rows, "profile string, alpha double, beta double, technique string, n long, p long, k long")
+
+
+def _words_work(spark: SparkSession, d: str):  # noqa: ANN202
+    """How candidates lie in the table of the most frequent words, solved in one task."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        own = pdf.sort_values("idx")
+        m = work_map(solve_windowed(Weights(own["hit"].to_numpy(), own["miss"].to_numpy())))
+        return pd.DataFrame({"size": [m.size], "places": [m.places.tobytes()], "sums": [m.sums.tobytes()]})
+
+    from .plans.simulate import WorkMap
+
+    r = vocabulary_weights(spark, d, _SOLVED_KEYS).select("idx", "hit", "miss").groupBy(F.lit(1).alias("one")).applyInPandas(run, "size long, places binary, sums binary").first()
+    places = np.frombuffer(r["places"])
+    return WorkMap(r["size"], places, np.frombuffer(r["sums"]).reshape(len(places), len(places)))
 
 
 @query("sim_speedup")
-def sim_speedup(spark: SparkSession, d: str, n: int = 600, workers: tuple[int, ...] = (32, 128)) -> DataFrame:
-    """Simulated time, waiting, transfer and speedup of every technique on the most frequent words."""
-    s = solve_windowed(collected(vocabulary_weights(spark, d, n)))
-    one, pre = float(s.candidates.sum()), candidate_prefix(s)
-    out = []
-    for name, alpha, beta in PROFILES:
-        for p in workers:
-            for t, k in (("regular", 0), ("irregular", 1), ("irregular", 2), *(("four_split", k) for k in range(1, 6))):
-                r = simulate(s, p, k, t, alpha, beta, prefix=pre)
-                out.append((name, t, p, k, r.makespan, r.waiting, r.transfer, r.messages, one / r.makespan))
-    return spark.createDataFrame(out, "profile string, technique string, p int, k int, makespan double, waiting double, transfer double, messages int, speedup double")
+def sim_speedup(spark: SparkSession, d: str) -> DataFrame:
+    """Simulated time, waiting, transfer, speedup and efficiency of every technique at the published sizes and workers."""
+    small = _cases(spark, ("fast",), tuple(range(4096, 40961, 4096)), (32,))
+    return simulated_runs(_words_work(spark, d), small.unionByName(_cases(spark, ("fast",), (36864, 40960), (64, 96, 128))))
+
+
+@query("sim_communication")
+def sim_communication(spark: SparkSession, d: str) -> DataFrame:
+    """Waiting plus transfer against the regular partition, for each size and number of workers, and computation beside it."""
+    runs_ = written(sim_speedup(spark, d), "simulated")
+    total = F.col("waiting") + F.col("transfer")
+    base = runs_.where("technique = 'regular'").select("n", "p", total.alias("base"))
+    return runs_.join(F.broadcast(base), ["n", "p"]).select("technique", "n", "p", "k", "computation", "waiting", "transfer", F.round(100 * (1 - total / F.col("base")), 6).alias("reduction"))
+
+
+@query("sim_ideal_k")
+def sim_ideal_k(spark: SparkSession, d: str) -> DataFrame:
+    """The number of fragmentations of least simulated time on a fast and on a slow network."""
+    cases = _cases(spark, ("fast", "slow"), (4096, 8192, 12288, 16384, 40960), (32,), tuple(("four_split", k) for k in range(1, 6)))
+    return simulated_runs(_words_work(spark, d), cases).groupBy("profile", "n", "p").agg(F.min_by("k", "makespan").alias("k"), F.min("makespan").alias("makespan"))
 
 
 @query("load_imbalance")
-def load_imbalance(spark: SparkSession, d: str, n: int = 1000, p: int = 32) -> DataFrame:
-    """Candidates of each worker: least, mean, most, and how far the extremes are from the mean."""
-    s = solve_windowed(collected(vocabulary_weights(spark, d, n)))
-    pre, out = candidate_prefix(s), []
-    for t, k in (("regular", 0), ("irregular", 1), ("irregular", 2), ("four_split", 1), ("four_split", 2)):
-        work = simulate(s, p, k, t, 0.0, 0.0, prefix=pre).work
-        out.append((t, k, min(work), sum(work) / p, max(work), int(np.argmin(work)), int(np.argmax(work))))
-    return spark.createDataFrame(out, "technique string, k int, min_load double, avg_load double, max_load double, min_owner int, max_owner int")
+def load_imbalance(spark: SparkSession, d: str) -> DataFrame:
+    """Deviation of the least and the most loaded worker from the mean, and how much it narrows against the regular partition."""
+    techniques = (("regular", 0), ("irregular", 1), ("irregular", 2), ("four_split", 1), ("four_split", 2))
+    runs_ = written(simulated_runs(_words_work(spark, d), _cases(spark, ("free",), (24576, 32768, 40960), (32,), techniques)), "simulated")
+    base = runs_.where("technique = 'regular'").select("n", F.col("least_deviation").alias("base_least"), F.col("most_deviation").alias("base_most"))
+    narrowed = lambda c: F.round(100 * (1 - F.col(f"{c}_deviation") / F.col(f"base_{c}")), 6).alias(f"{c}_narrowed")
+    return runs_.join(F.broadcast(base), "n").select("technique", "n", "k", "least_worker", "most_worker", "least_deviation", "most_deviation", narrowed("least"), narrowed("most"))
+
+
+@query("engine_units")
+def engine_units(spark: SparkSession, d: str, n: int = 1000) -> DataFrame:
+    """What each worker of the block engine did: units, candidates, cells, and bytes of needed rows and columns, by technique."""
+    from .plans.engine import solve, unit_measures
+
+    w, out = collected(vocabulary_weights(spark, d, n)), None
+    for t, k in (("regular", 0), ("irregular", 1), ("four_split", 1)):
+        own = unit_measures(spark, solve(spark, w, 32, k, t, "dataflow"), 32)
+        row = own.groupBy("owner").agg(F.count(F.lit(1)).alias("units"), F.sum("candidates").alias("candidates"), F.sum("cells").alias("cells"), F.sum("received").alias("received")).select(F.lit(t).alias("technique"), F.lit(k).alias("k"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 # Applications and text ----------------------------------------------------------------------------
@@ -322,7 +469,7 @@ def top_words(spark: SparkSession, d: str) -> DataFrame:
 
 @query("vocab_size", "SELECT lang, count(DISTINCT key) AS words FROM (SELECT lang, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM documents) GROUP BY lang")
 def vocab_size(spark: SparkSession, d: str) -> DataFrame:
-    return words(load(spark, d, "documents")).groupBy("lang").agg(F.countDistinct("key").alias("words"))
+    return words(load(spark, d, "documents"), "lang").groupBy("lang").agg(F.countDistinct("key").alias("words"))
 
 
 @query("next_word_top", "SELECT prev, key, n FROM (SELECT prev, key, n, row_number() OVER (PARTITION BY prev ORDER BY n DESC, key) AS r FROM (SELECT prev, key, count(*) AS n FROM (SELECT w[i] AS prev, w[i + 1] AS key FROM (SELECT w, unnest(range(1, len(w))) AS i FROM (SELECT regexp_extract_all(lower(text), '[a-z]+') AS w FROM conversations))) GROUP BY prev, key)) WHERE r <= 3")

@@ -5,20 +5,21 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .catalogue import _BLOCKS, _CELLS, _GRID_SQL, _RUNS_SQL, published, query, tree_of
+from .catalogue import _BLOCKS, _CELLS, _GRID_SQL, _GROUPED, _NATION_CUSTS, _RUNS_SQL, published, query, tree_of
 from .families import FAMILIES, cells_sql, counts, counts_sql, weights, weights_sql, words
 from .functions.sql import register
 from .operators.dynamic import solved
 from .operators.trees import as_of, lookup, replay_cost, solved_progressive, tree_depths
-from .operators.weights import hit_counts, most_frequent, prefix, ranked
+from .operators.weights import hit_counts, prefix, ranked
 from .plans import geometry as g
+from .plans import in_sql
 from .sources.tables import load
 from .storage import written
 
 # Using a tree -------------------------------------------------------------------------------------
 _DEPTHS = """, nodes AS (SELECT lo, hi, split, 1 AS depth FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)
  UNION ALL SELECT c.lo, c.hi, c.split, nodes.depth + 1 FROM nodes JOIN cells c ON nodes.lo < nodes.hi AND (c.lo = nodes.lo AND c.hi = nodes.split OR c.lo = nodes.split + 1 AND c.hi = nodes.hi)),
-looked AS (SELECT cnt.key, cnt.n, own AS found, nodes.depth::BIGINT AS depth FROM (SELECT *, coalesce((SELECT max(idx) FROM keys WHERE keys.key <= cnt.key), 0) AS place FROM cnt) cnt
+looked AS (SELECT cnt.key, cnt.n, own AS found, nodes.depth::BIGINT AS depth FROM (SELECT *, coalesce((SELECT max(idx) FROM keys WHERE keys.key <= cnt.key), 0) AS place FROM cnt WHERE n > 0) cnt
  JOIN nodes ON CASE WHEN own THEN nodes.lo < nodes.hi AND nodes.split + 1 = place ELSE nodes.lo = nodes.hi AND nodes.lo = place END)
 """
 _REPLAY = "SELECT sum(n)::BIGINT AS probes, sum(CASE WHEN found THEN n ELSE 0 END)::BIGINT AS hits, sum(n * depth)::BIGINT AS cost FROM looked"
@@ -29,18 +30,18 @@ def looked_up(spark: SparkSession, d: str, family: str, kind: str = "optimal") -
     return lookup(written(counts(spark, d, family)[1], "probe-counts"), table, tree_depths(table, kind))
 
 
-query("lookup_parts", cells_sql("parts20", "").rstrip() + _DEPTHS + "SELECT key, n, found, depth FROM looked")(lambda spark, d: looked_up(spark, d, "parts20"))
+query("lookup_parts", cells_sql("lowbal", "").rstrip() + _DEPTHS + "SELECT key, n, found, depth FROM looked")(lambda spark, d: looked_up(spark, d, "lowbal"))
 for _f in FAMILIES:
     query(f"replay_{_f}", cells_sql(_f, "").rstrip() + _DEPTHS + _REPLAY)(lambda spark, d, f=_f: replay_cost(looked_up(spark, d, f)))
 
 
-@query("replay_equals_dp", cells_sql("parts20", "SELECT cost::BIGINT AS dp_cost, cost::BIGINT AS replay_cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)"))
+@query("replay_equals_dp", cells_sql("lowbal", "SELECT cost::BIGINT AS dp_cost, cost::BIGINT AS replay_cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)"))
 def replay_equals_dp(spark: SparkSession, d: str) -> DataFrame:
     """All probes of the log looked up in the tree against the optimum of the program."""
-    table = written(weights(spark, d, "parts20"), "weights")
+    table = written(weights(spark, d, "lowbal"), "weights")
     n = table.agg(F.max("idx").cast("int").alias("n"))
     best = solved(table).where("lo = 0").join(F.broadcast(n), F.col("hi") == F.col("n")).select(F.col("cost").alias("dp_cost"))
-    return best.join(F.broadcast(replay_cost(looked_up(spark, d, "parts20")).select(F.col("cost").alias("replay_cost"))))
+    return best.join(F.broadcast(replay_cost(looked_up(spark, d, "lowbal")).select(F.col("cost").alias("replay_cost"))))
 
 
 _BALANCED = """, nodes AS (SELECT 0::BIGINT AS lo, max(idx)::BIGINT AS hi, 1::BIGINT AS depth FROM wt
@@ -53,26 +54,33 @@ def _cost_of(spark: SparkSession, d: str, family: str, kind: str) -> DataFrame:
     return table.join(tree_depths(table, kind), "idx").agg(F.sum(F.col("hit") * F.col("key_depth") + F.col("miss") * F.col("gap_depth")).alias("cost"))
 
 
-for _f in ("nation", "parts20", "langwords"):
+for _f in ("nation", "lowbal", "pnames"):
     query(f"balanced_{_f}", f"WITH RECURSIVE {weights_sql(_f)}" + _BALANCED)(lambda spark, d, f=_f: _cost_of(spark, d, f, "balanced"))
     query(f"chain_{_f}", f"WITH {weights_sql(_f)} SELECT sum(hit * idx + miss * least(idx + 2, (SELECT max(idx) FROM wt) + 1))::BIGINT AS cost FROM wt")(lambda spark, d, f=_f: _cost_of(spark, d, f, "chain_left"))
     query(f"tree_cost_{_f}", cells_sql(_f, "SELECT cost::BIGINT AS cost FROM cells WHERE lo = 0 AND hi = (SELECT max(idx) FROM wt)"))(lambda spark, d, f=_f: _cost_of(spark, d, f, "optimal"))
 
-query("word_lookup_cost", cells_sql("langwords", "").rstrip() + _DEPTHS + "SELECT found, count(*) AS words, sum(n)::BIGINT AS tokens, sum(n * depth)::BIGINT AS cost FROM looked GROUP BY found")(
-    lambda spark, d: looked_up(spark, d, "langwords").groupBy("found").agg(F.count(F.lit(1)).alias("words"), F.sum("n").alias("tokens"), F.sum(F.col("n") * F.col("depth")).alias("cost"))
-)
+@query("word_lookup_cost")
+def word_lookup_cost(spark: SparkSession, d: str) -> DataFrame:
+    """All words of the documents looked up in the optimal tree over all words of the benchmark: replayed cost, beside the program's and the balanced tree's."""
+    table = written(weights(spark, d, "benchwords"), "weights")
+    probes = written(counts(spark, d, "benchwords")[1], "probe-counts")
+    out = lookup(probes, table, tree_depths(table)).groupBy("found").agg(F.count(F.lit(1)).alias("words"), F.sum("n").alias("tokens"), F.sum(F.col("n") * F.col("depth")).alias("cost"))
+    kinds = [table.join(tree_depths(table, kind), "idx").agg(F.sum(F.col("hit") * F.col("key_depth") + F.col("miss") * F.col("gap_depth")).alias(f"{kind}_cost")) for kind in ("optimal", "balanced")]
+    return out.join(F.broadcast(kinds[0])).join(F.broadcast(kinds[1]))
+
+
 query("depth_quantiles", cells_sql("users", "").rstrip() + _DEPTHS + "SELECT quantile_cont(depth, 0.5)::DOUBLE AS median, quantile_cont(depth, 0.9)::DOUBLE AS p90, max(depth) AS height, round(avg(depth), 6) AS mean FROM looked")(
     lambda spark, d: looked_up(spark, d, "users").agg(F.percentile("depth", F.lit(0.5)).alias("median"), F.percentile("depth", F.lit(0.9)).alias("p90"), F.max("depth").alias("height"), F.round(F.avg("depth"), 6).alias("mean"))
 )
-query("top_shallow", cells_sql("parts20", "").rstrip() + _DEPTHS + "SELECT key, n, depth FROM looked WHERE found ORDER BY depth, n DESC, key LIMIT 10")(
-    lambda spark, d: looked_up(spark, d, "parts20").where("found").orderBy("depth", F.desc("n"), "key").limit(10).select("key", "n", "depth")
+query("top_shallow", cells_sql("lowbal", "").rstrip() + _DEPTHS + "SELECT key, n, depth FROM looked WHERE found ORDER BY depth, n DESC, key LIMIT 10")(
+    lambda spark, d: looked_up(spark, d, "lowbal").where("found").orderBy("depth", F.desc("n"), "key").limit(10).select("key", "n", "depth")
 )
 
 
-@query("tree_valid", cells_sql("parts20", "SELECT max(idx)::BIGINT AS nodes, 0::BIGINT AS orphans, 0::BIGINT AS out_of_order FROM wt"))
+@query("tree_valid", cells_sql("lowbal", "SELECT max(idx)::BIGINT AS nodes, 0::BIGINT AS orphans, 0::BIGINT AS out_of_order FROM wt"))
 def tree_valid(spark: SparkSession, d: str) -> DataFrame:
     """Nodes, nodes whose parent is none or not one level up, and children on the wrong side of their parent."""
-    t = written(tree_of(spark, d, "parts20"), "tree")
+    t = written(tree_of(spark, d, "lowbal"), "tree")
     up = t.select(F.col("rank").alias("parent_rank"), F.col("depth").alias("above"))
     own = t.join(up, "parent_rank", "left")
     orphan = (F.col("side") != "root") & F.coalesce(F.col("above") + 1 != F.col("depth"), F.lit(True))
@@ -90,9 +98,7 @@ def progressive_nation(spark: SparkSession, d: str) -> DataFrame:
 query("dict_parts", "SELECT l_partkey AS key, row_number() OVER (ORDER BY l_partkey) AS rank FROM (SELECT DISTINCT l_partkey FROM lineitem)")(
     lambda spark, d: ranked(hit_counts(load(spark, d, "lineitem"), F.col("l_partkey")).select("key"))
 )
-query("dict_words", f"SELECT key, row_number() OVER (ORDER BY key) AS rank FROM ({counts_sql('langwords')}) WHERE own")(
-    lambda spark, d: ranked(counts(spark, d, "langwords")[0])
-)
+query("dict_words", f"SELECT key, row_number() OVER (ORDER BY key) AS rank FROM ({counts_sql('vocabulary')})")(lambda spark, d: ranked(counts(spark, d, "vocabulary")[0]))
 query("filter_dictionary", "SELECT p_partkey AS key, p_brand FROM part WHERE p_size BETWEEN 5 AND 9 AND p_brand LIKE 'B%' AND p_name IS NOT NULL")(
     lambda spark, d: load(spark, d, "part").where(F.col("p_size").between(5, 9) & F.col("p_brand").startswith("B") & F.col("p_name").isNotNull()).select(F.col("p_partkey").alias("key"), "p_brand")
 )
@@ -102,31 +108,32 @@ query("scan_pruned", "SELECT l_partkey AS key, count(*) AS n FROM lineitem WHERE
 
 
 def _probe_sides(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    keys, own = counts(spark, d, "parts20")
+    keys, own = counts(spark, d, "benchwords")
     return own, keys
 
 
-_OWN_SQL = f"SELECT key, n FROM ({counts_sql('parts20')}) WHERE own"
+_OWN_SQL = f"SELECT key, n FROM ({counts_sql('benchwords')}) WHERE own AND n > 0"
 query("probe_hits", _OWN_SQL)(lambda spark, d: (lambda c, k: c.join(k, "key", "left_semi"))(*_probe_sides(spark, d)))
-query("probe_misses", _OWN_SQL.replace("WHERE own", "WHERE NOT own"))(lambda spark, d: (lambda c, k: c.join(k, "key", "left_anti"))(*_probe_sides(spark, d)))
+query("probe_misses", _OWN_SQL.replace("WHERE own AND n > 0", "WHERE NOT own"))(lambda spark, d: (lambda c, k: c.join(k, "key", "left_anti"))(*_probe_sides(spark, d)))
 query("join_merge", _OWN_SQL)(lambda spark, d: (lambda c, k: c.join(k.hint("merge"), "key"))(*_probe_sides(spark, d)))
 
 
-@query("miss_parts", f"WITH {weights_sql('parts20')} SELECT cnt.key, cnt.n, coalesce((SELECT max(idx) FROM keys WHERE keys.key < cnt.key), 0) AS gap FROM cnt WHERE NOT own")
-def miss_parts(spark: SparkSession, d: str) -> DataFrame:
-    """The gap of every missing key, by the as-of join."""
+@query("miss_words", f"WITH {weights_sql('benchwords')} SELECT c.key, c.n, coalesce(keys.idx, 0) AS gap FROM (SELECT key, n FROM cnt WHERE NOT own) c ASOF LEFT JOIN keys ON keys.key <= c.key")
+def miss_words(spark: SparkSession, d: str) -> DataFrame:
+    """The gap of every word of the documents that the benchmark lacks, by the as-of join."""
     own, keys = _probe_sides(spark, d)
     return as_of(own.join(keys, "key", "left_anti"), ranked(keys), "key", "rank", 0).select("key", "n", F.col("rank").alias("gap"))
 
 
-query("weights_hits_only", f"WITH {weights_sql('parts20')} SELECT idx, hit, 0::BIGINT AS miss FROM wt")(lambda spark, d: weights(spark, d, "parts20").select("idx", "hit", F.lit(0).cast("bigint").alias("miss")))
+query("weights_hits_only", f"WITH {weights_sql('benchwords')} SELECT idx, hit, 0::BIGINT AS miss FROM wt")(lambda spark, d: weights(spark, d, "benchwords").select("idx", "hit", F.lit(0).cast("bigint").alias("miss")))
+query("weights_misses_only", f"WITH {weights_sql('benchwords')} SELECT idx, 0::BIGINT AS hit, miss FROM wt")(lambda spark, d: weights(spark, d, "benchwords").select("idx", F.lit(0).cast("bigint").alias("hit"), "miss"))
 query("hits_dates", "SELECT strftime(l_shipdate, '%Y-%m-%d') AS key, count(*) AS n FROM lineitem GROUP BY 1")(lambda spark, d: hit_counts(load(spark, d, "lineitem"), F.date_format("l_shipdate", "yyyy-MM-dd")))
-query("rank_words", f"SELECT key, n, rank() OVER (ORDER BY n DESC) AS r, dense_rank() OVER (ORDER BY n DESC) AS dr FROM ({counts_sql('langwords')}) WHERE own")(
-    lambda spark, d: most_frequent(counts(spark, d, "langwords")[1], 60).select("key", "n", F.rank().over(Window.orderBy(F.desc("n"))).alias("r"), F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr"))
+query("rank_words", f"SELECT key, n, rank() OVER (ORDER BY n DESC) AS r, dense_rank() OVER (ORDER BY n DESC) AS dr FROM ({counts_sql('benchwords')}) WHERE own AND n > 0")(
+    lambda spark, d: (lambda c, k: c.join(k, "key", "left_semi"))(*_probe_sides(spark, d)).select("key", "n", F.rank().over(Window.orderBy(F.desc("n"))).alias("r"), F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr"))
 )
 _LANG = "SELECT lang, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM documents"
 query("topk_per_lang", f"SELECT lang, key, n FROM (SELECT lang, key, count(*) AS n, row_number() OVER (PARTITION BY lang ORDER BY count(*) DESC, key) AS r FROM ({_LANG}) GROUP BY lang, key) WHERE r <= 5")(
-    lambda spark, d: words(load(spark, d, "documents")).groupBy("lang", "key").agg(F.count(F.lit(1)).alias("n")).withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "key"))).where("r <= 5").drop("r")
+    lambda spark, d: words(load(spark, d, "documents"), "lang").groupBy("lang", "key").agg(F.count(F.lit(1)).alias("n")).withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "key"))).where("r <= 5").drop("r")
 )
 
 
@@ -141,7 +148,7 @@ for _name, _op, _how in (("vocab_intersect", "INTERSECT", "left_semi"), ("vocab_
 @query("translate_ranked", f"WITH c AS (SELECT lang, key, count(*) AS n FROM ({_LANG}) WHERE lang IN ('en', 'de') GROUP BY lang, key), r AS (SELECT lang, key, row_number() OVER (PARTITION BY lang ORDER BY n DESC, key) AS r FROM c) SELECT a.key AS word, b.key AS translation FROM r a JOIN r b USING (r) WHERE a.lang = 'en' AND b.lang = 'de' AND r <= 200")
 def translate_ranked(spark: SparkSession, d: str) -> DataFrame:
     """Words of equal frequency rank in two languages: the payload that a translation tree holds at its nodes."""
-    c = words(load(spark, d, "documents").where("lang IN ('en', 'de')")).groupBy("lang", "key").agg(F.count(F.lit(1)).alias("n"))
+    c = words(load(spark, d, "documents").where("lang IN ('en', 'de')"), "lang").groupBy("lang", "key").agg(F.count(F.lit(1)).alias("n"))
     r = c.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "key"))).where("r <= 200")
     return r.where("lang = 'en'").select("r", F.col("key").alias("word")).join(r.where("lang = 'de'").select("r", F.col("key").alias("translation")), "r").drop("r")
 
@@ -152,12 +159,12 @@ def _blocks_frame(spark: SparkSession, *plan: int) -> DataFrame:
 
 
 def _blocks_sql(*plan: int) -> str:
-    return "(VALUES " + ", ".join(str(tuple(vars(b).values())) for b in g.blocks(*plan)) + ") b(block_id, round, level, r0, r1, c0, c1)"
+    return f"({in_sql.blocks_sql(*plan)}) b"
 
 
 _PLAN = (40, 5, 2)
 _DEPENDS = "a.block_id <> b.block_id AND (a.r0 <= b.r1 AND b.r0 <= a.r1 AND a.c1 <= b.c1 AND a.c0 <= b.c0 OR a.c0 <= b.c1 AND b.c0 <= a.c1 AND a.r0 >= b.r0 AND a.r1 >= b.r1)"
-query("block_deps_range", f"SELECT b.block_id, a.block_id AS dep_block FROM {_blocks_sql(*_PLAN)} JOIN {_blocks_sql(*_PLAN).replace(' b(', ' a(')} ON {_DEPENDS}")(
+query("block_deps_range", f"SELECT b.block_id, a.block_id AS dep_block FROM {_blocks_sql(*_PLAN)} JOIN ({in_sql.blocks_sql(*_PLAN)}) a ON {_DEPENDS}")(
     lambda spark, d: (lambda b: b.alias("b").join(b.alias("a"), F.expr(_DEPENDS)).select("b.block_id", F.col("a.block_id").alias("dep_block")))(_blocks_frame(spark, *_PLAN))
 )
 query("round_independence", "SELECT 0::BIGINT AS pairs")(
@@ -203,7 +210,7 @@ def udtf_blocks(spark: SparkSession, d: str) -> DataFrame:
     return spark.sql("SELECT * FROM partition_blocks({}, {}, {})".format(*_PLAN))
 
 
-@query("udaf_cost")
+@query("udaf_cost", f"WITH RECURSIVE own AS ({_NATION_CUSTS}),\n{_GROUPED}".replace("SELECT t.grp, n::INT AS n, cost::BIGINT AS cost FROM", "SELECT t.grp::INT AS n_regionkey, cost::BIGINT AS cost FROM"))
 def udaf_cost(spark: SparkSession, d: str) -> DataFrame:
     """The optimal cost as an aggregate function, one small tree a region."""
     register(spark)

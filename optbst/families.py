@@ -1,4 +1,9 @@
-"""Weight families of the given tables, as DataFrames and as DuckDB SQL (idx, hit, miss)."""
+"""Weight families of the given tables, as DataFrames and as DuckDB SQL (idx, hit, miss).
+
+A family is a dictionary and the probes that look its keys up. ``FAMILIES`` are small enough for the dynamic
+program in SQL; ``LARGE`` are dictionaries of thousands of keys, whose weights SQL can state and whose trees
+tests compare with other solvers.
+"""
 
 from __future__ import annotations
 
@@ -16,19 +21,24 @@ _WHOLE: dict[str, tuple[str, Callable[[], Column], str]] = {
     "nation": ("customer", lambda: F.col("c_nationkey"), "c_nationkey"),
     "hours": ("events", lambda: F.hour(F.col("ts")), "hour(ts)"),
     "psize": ("part", lambda: F.col("p_size"), "p_size"),
+    "pnames": ("part", lambda: F.col("p_name"), "p_name"),
     "hosts": ("pages", lambda: F.regexp_extract("url", "^[a-z]+://([^/]+)", 1), "regexp_extract(url, '^[a-z]+://([^/]+)', 1)"),
     "months": ("orders", lambda: F.date_format("o_orderdate", "yyyy-MM"), "strftime(o_orderdate, '%Y-%m')"),
     "supp": ("lineitem", lambda: F.col("l_suppkey"), "l_suppkey"),
     "users": ("events", lambda: F.col("user_id"), "user_id"),
     "labelkeys": ("embeddings", lambda: F.col("label"), "label"),
+    "parts": ("lineitem", lambda: F.col("l_partkey"), "l_partkey"),
 }
-FAMILIES = (*_WHOLE, "parts20", "langwords")
-_TOKENS_SQL = "SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM documents"
+#: Suppliers with a balance below this are the dictionary of ``lowbal``; every line item is a probe.
+LOW_BALANCE = 4500
+FAMILIES = (*(f for f in _WHOLE if f != "parts"), "lowbal")
+LARGE = ("parts", "benchwords", "vocabulary")
+WORDS_SQL = "SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS key FROM {}"
 
 
-def words(docs: DataFrame) -> DataFrame:
-    """(lang, key): the words of texts."""
-    return docs.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("key"))
+def words(docs: DataFrame, *keep: str) -> DataFrame:
+    """(columns ``keep``, key): the words of texts."""
+    return docs.select(*keep, F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("key"))
 
 
 def counts(spark: SparkSession, sf_dir: str, family: str) -> tuple[DataFrame, DataFrame]:
@@ -37,12 +47,11 @@ def counts(spark: SparkSession, sf_dir: str, family: str) -> tuple[DataFrame, Da
         table, key, _ = _WHOLE[family]
         own = hit_counts(load(spark, sf_dir, table), key())
         return own.select("key"), own
-    if family == "parts20":
-        own = hit_counts(load(spark, sf_dir, "lineitem"), F.col("l_partkey"))
-        return own.where("key % 20 = 7").select("key"), own
-    if family == "langwords":
-        own = hit_counts(words(load(spark, sf_dir, "documents").where("lang = 'en'")), F.col("key"))
-        return most_frequent(own, 60).select("key"), own
+    if family == "lowbal":
+        return load(spark, sf_dir, "supplier").where(F.col("s_acctbal") < LOW_BALANCE).select(F.col("s_suppkey").alias("key")), hit_counts(load(spark, sf_dir, "lineitem"), F.col("l_suppkey"))
+    if family in ("benchwords", "vocabulary"):
+        own = hit_counts(words(load(spark, sf_dir, "documents")), F.col("key"))
+        return (own.select("key") if family == "vocabulary" else words(load(spark, sf_dir, "benchmark")).distinct()), own
     raise ValueError(family)
 
 
@@ -56,23 +65,43 @@ def vocabulary_weights(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
     return weight_table(most_frequent(own, n).select("key"), own)
 
 
+def all_counts(spark: SparkSession, sf_dir: str, families: tuple[str, ...] = FAMILIES) -> DataFrame:
+    """(family, key, n, own) of several families in one plan: counted keys as text that sorts like the keys, and whether they are in the dictionary."""
+    out: DataFrame | None = None
+    for f in families:
+        dictionary, own = counts(spark, sf_dir, f)
+        as_text = F.col("key") if dict(own.dtypes)["key"] == "string" else F.lpad(F.col("key").cast("string"), 20, "0")
+        if f in _WHOLE:
+            both = own.select(as_text.alias("key"), "n", F.lit(True).alias("own"))
+        else:
+            marked = own.join(dictionary.distinct().withColumn("own", F.lit(True)), "key", "full_outer")
+            both = marked.select(as_text.alias("key"), F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("own", F.lit(False)).alias("own"))
+        both = both.select(F.lit(f).alias("family"), "key", "n", "own")
+        out = both if out is None else out.unionByName(both)
+    return out
+
+
 def counts_sql(family: str) -> str:
     """CTE body (key, n, own): counts by key and whether the key is in the dictionary."""
     if family in _WHOLE:
         table, _, key = _WHOLE[family]
         return f"SELECT key, count(*) AS n, true AS own FROM (SELECT {key} AS key FROM {table}) WHERE key IS NOT NULL GROUP BY key"
-    if family == "parts20":
-        return "SELECT l_partkey AS key, count(*) AS n, l_partkey % 20 = 7 AS own FROM lineitem GROUP BY l_partkey"
-    return f"SELECT key, n, row_number() OVER (ORDER BY n DESC, key) <= 60 AS own FROM (SELECT key, count(*) AS n FROM ({_TOKENS_SQL} WHERE lang = 'en') GROUP BY key)"
+    if family == "vocabulary":
+        return f"SELECT key, count(*) AS n, true AS own FROM ({WORDS_SQL.format('documents')}) GROUP BY key"
+    probes, dictionary = {
+        "lowbal": ("SELECT l_suppkey AS key FROM lineitem", f"SELECT s_suppkey AS key FROM supplier WHERE s_acctbal < {LOW_BALANCE}"),
+        "benchwords": (WORDS_SQL.format("documents"), WORDS_SQL.format("benchmark")),
+    }[family]
+    return f"SELECT coalesce(p.key, d.key) AS key, coalesce(n, 0) AS n, d.key IS NOT NULL AS own FROM (SELECT key, count(*) AS n FROM ({probes}) WHERE key IS NOT NULL GROUP BY key) p FULL JOIN (SELECT DISTINCT key FROM ({dictionary})) d ON p.key = d.key"
 
 
 def weights_sql(family: str) -> str:
     """CTEs cnt, keys, wt (idx, key, hit, miss) of a family, without WITH."""
     return f"""cnt AS ({counts_sql(family)}),
 keys AS (SELECT key, n, row_number() OVER (ORDER BY key) AS idx FROM cnt WHERE own),
-gaps AS (SELECT coalesce((SELECT max(idx) FROM keys WHERE keys.key < cnt.key), 0) AS idx, n FROM cnt WHERE NOT own),
+gaps AS (SELECT idx, sum(n) AS n FROM (SELECT coalesce(keys.idx, 0) AS idx, c.n FROM (SELECT key, n FROM cnt WHERE NOT own) c ASOF LEFT JOIN keys ON keys.key <= c.key) GROUP BY idx),
 wt AS (SELECT i.idx, k.key, coalesce(k.n, 0)::BIGINT AS hit, coalesce(g.n, 0)::BIGINT AS miss
-       FROM (SELECT 0 AS idx UNION ALL SELECT idx FROM keys) i LEFT JOIN keys k ON k.idx = i.idx LEFT JOIN (SELECT idx, sum(n) AS n FROM gaps GROUP BY idx) g ON g.idx = i.idx)"""
+       FROM (SELECT 0 AS idx UNION ALL SELECT idx FROM keys) i LEFT JOIN keys k ON k.idx = i.idx LEFT JOIN gaps g ON g.idx = i.idx)"""
 
 
 #: CTEs from wt: pre (idx, ps, qs, miss) and cells (lo, hi, cost, split).

@@ -8,7 +8,7 @@ import pytest
 from optbst.functions.kernel import Weights, brute_force, depths_of, heuristic_roots, solve_cubic, solve_windowed, tree_cost
 from optbst.plans import geometry as g
 from optbst.plans.published import runs
-from optbst.plans.simulate import simulate
+from optbst.plans.simulate import simulate, work_map
 
 
 def random_weights(seed, n, high=9):
@@ -92,10 +92,11 @@ def test_published_order_and_simulated_order():
     for (t, n, p, k), s in times.items():
         if t == "irregular":
             assert times["four_split", n, p, k] < s < times["regular", n, p, 0]
-    sol = solve_windowed(random_weights(5, 300, 50))
-    for k in (1, 2):
-        four, irr, reg = (simulate(sol, 32, k, t, 0.0, 0.0).makespan for t in ("four_split", "irregular", "regular"))
-        assert four < irr < reg
+    work = work_map(solve_windowed(random_weights(5, 300, 50)))
+    for n in (300, 3000):
+        for k in (1, 2):
+            four, irr, reg = (simulate(work, n, 32, k, t, 0.0, 0.0).makespan for t in ("four_split", "irregular", "regular"))
+            assert four < irr < reg
 
 
 def test_weights_of_probes(spark):
