@@ -48,9 +48,14 @@ def blank_words(text: str | None) -> list[bytes]:
     return utf8(text).lower().split()
 
 
+def alnum_bytes(text: str | None) -> bytes:
+    """The text lower-cased with blanks for all that is in no word of letters, digits and characters beyond ASCII."""
+    return utf8(text).translate(WORD_BYTES)
+
+
 def alnum_words(text: str | None) -> list[bytes]:
     """Lower-cased words of letters, digits and characters beyond ASCII."""
-    return utf8(text).translate(WORD_BYTES).split()
+    return alnum_bytes(text).split()
 
 
 def map_batches(df: DataFrame, schema: str, make: Callable[[pa.RecordBatch], dict[str, object] | None]) -> DataFrame:
@@ -89,3 +94,30 @@ def mix64(x: np.ndarray) -> np.ndarray:
     x *= np.uint64(0x94D049BB133111EB)
     x ^= x >> np.uint64(31)
     return x
+
+
+_BYTE_VALUES = mix64(np.arange(1, 257, dtype=np.uint64))
+_IS_SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+
+
+def word_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(keys, words of each text) of the words between ASCII blanks, in order; contexts have keys of 0 and more.
+
+    A word's key is a multilinear hash: random values of its bytes times random odd values of their
+    places, summed, mixed with the length, without the last bit, and negative.
+    """
+    data = np.frombuffer(b" ".join([*texts, b""]), np.uint8)
+    word = ~_IS_SPACE[data]
+    before = np.empty_like(word)
+    before[:1], before[1:] = False, word[:-1]
+    starts = np.flatnonzero(word & ~before)
+    if not len(starts):
+        return np.zeros(0, np.int64), np.zeros(len(texts), np.int64)
+    lengths = np.flatnonzero(before & ~word) - starts
+    first = np.cumsum(lengths) - lengths
+    place = np.arange(int(lengths.sum())) - np.repeat(first, lengths)
+    odd = mix64(np.arange(1, int(lengths.max()) + 1, dtype=np.uint64) << np.uint64(20)) | np.uint64(1)
+    sums = np.add.reduceat(_BYTE_VALUES[data[word]] * odd[place], first)
+    keys = -1 - (mix64(sums + lengths.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(1)).astype(np.int64)
+    ends = np.cumsum([len(t) + 1 for t in texts])
+    return keys, np.diff(np.searchsorted(starts, ends), prepend=0)

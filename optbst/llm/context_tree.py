@@ -11,26 +11,32 @@ Scale. One pass counts (context, byte) and words over all texts, pre-aggregated
 counts are cut into ranges of contexts, latest byte first, that never part contexts with the same
 three latest bytes; ranges are weighted bottom-up by independent tasks, and depths 2 and 1 are
 raised from the sums of the depth below in the same way. Only the 255 x 256 nodes of depth 1 (a
-fixed bound) meet in one place. Texts are then scored in chunks: a chunk sends the distinct keys
-that it has, packed, to the shards of the answers, and the packed answers come back in the same
-order. A shard that many chunks ask is copied for every ``ASKERS`` of them, so no task grows with
-the data, and nothing that does is broadcast or collected. A key is a context and byte, or a word's
+fixed bound) meet in one place. Texts are then scored in chunks: a chunk sends its distinct keys,
+packed, to the shards of the answers, and the packed answers come back in the same order. A shard is
+read once, followed by the chunks that ask it as a stream, so its task holds the shard and one packed
+question however many chunks there are; the model is never copied, and nothing that grows with the
+data is broadcast or collected. A chunk's texts are looked at slice by slice, long texts in pieces,
+so a task holds the chunk's distinct keys and one slice. A key is a context and byte, or a word's
 63-bit hash (two of a billion words share one with a probability of about one in twenty).
 """
 
 from __future__ import annotations
 
 import math
+import re
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..broadcasts import opened, sent
 from ..storage import written
-from .common import fold_of, mix64, two_columns, utf8
+from .common import fold_of, sliced, two_columns, utf8, word_keys
 
 DEPTH = 5
 #: Latest bytes that rows of one range share; contexts are at least this long.
@@ -41,8 +47,10 @@ RANGE_ROWS = 200_000
 MARK = 0xFF
 #: Text bytes that a scoring chunk holds, about.
 CHUNK_BYTES = 12 << 20
-#: Chunks that ask one copy of a shard, at most; keys of a shard, about.
-ASKERS, SHARD_KEYS = 64, 500_000
+#: Keys of a shard of the answers, about.
+SHARD_KEYS = 250_000
+#: Text bytes looked at together, and most texts of such a slice.
+SLICE_BYTES, SLICE_TEXTS = 1 << 20, 1 << 16
 
 
 def log_gamma_half(x: np.ndarray) -> np.ndarray:
@@ -59,22 +67,56 @@ def log_kt(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
     return log_gamma_half(zeros + 0.5) + log_gamma_half(ones + 0.5) - 2 * log_gamma_half(np.array(0.5)) - log_gamma_half(zeros + ones + 1.0)
 
 
-def gram_codes(texts: list[bytes], depth: int) -> tuple[np.ndarray, np.ndarray]:
-    """(codes, text number) at every byte and end mark; a code has the context, latest byte first, and then the byte.
+@dataclass
+class Slice:
+    """Some lower-cased texts, or a piece of a long one: bodies, the bytes before each, whether it ends its text, the text's number."""
+
+    bodies: list[bytes] = field(default_factory=list)
+    heads: list[bytes] = field(default_factory=list)
+    ends: list[bool] = field(default_factory=list)
+    numbers: list[int] = field(default_factory=list)
+
+
+_BLANK = re.compile(rb"[\x09-\x0D\x20]")
+
+
+def text_slices(texts: Iterable[str], depth: int, most: int = SLICE_BYTES) -> Iterator[Slice]:
+    """Lower-cased texts in slices of about ``most`` bytes; a longer text is cut behind blanks, so no word is."""
+    own, size, mark = Slice(), 0, bytes([MARK]) * depth
+    for number, t in enumerate(texts):
+        raw, at, head = utf8(t).lower(), 0, mark
+        while True:
+            end = len(raw)
+            if end - at > most and (found := _BLANK.search(raw, at + most)):
+                end = found.end()
+            if own.bodies and (size + end - at > most or len(own.bodies) >= SLICE_TEXTS - 1):
+                yield own
+                own, size = Slice(), 0
+            own.bodies.append(raw[at:end]), own.heads.append(head), own.ends.append(end == len(raw)), own.numbers.append(number)
+            size += end - at
+            if end == len(raw):
+                break
+            head, at = (head + raw[max(at, end - depth) : end])[-depth:], end
+    if own.bodies:
+        yield own
+
+
+def gram_codes(own: Slice, depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """(codes, how many of each body) at every byte and end mark; a code has the context, latest byte first, and then the byte.
 
     The latest context byte is the most significant, so a shorter context is a prefix of the number.
     """
-    pad = bytes([MARK]) * depth
-    data = np.frombuffer(b"".join(pad + t + pad[:1] for t in texts), np.uint8).astype(np.int64)
-    lengths = np.array([len(t) + 1 for t in texts], np.int64)
+    mark = bytes([MARK])
+    data = np.frombuffer(b"".join(x for h, t, e in zip(own.heads, own.bodies, own.ends) for x in (h, t, mark if e else b"")), np.uint8).astype(np.int64)
+    lengths = np.array([len(t) + e for t, e in zip(own.bodies, own.ends)], np.int64)
     code = data[depth:].copy()
     for k in range(1, depth + 1):
         code |= data[depth - k : len(data) - k] << (8 * (depth + 1 - k))
-    # The marks before a text are no symbols of it.
+    # The bytes before a body are no symbols of it.
     starts = np.cumsum(lengths + depth)[:-1]
     keep = np.ones(len(code), bool)
     keep[((starts - depth)[:, None] + np.arange(depth)).ravel()] = False
-    return code[keep], np.repeat(np.arange(len(texts)), lengths)
+    return code[keep], lengths
 
 
 def choices(codes: np.ndarray, depth: int, at_depth: int) -> tuple[np.ndarray, np.ndarray]:
@@ -147,54 +189,26 @@ def predict(levels: list[Level], codes: np.ndarray, depth: int, top: int, tail:
     return out
 
 
-_BYTE_VALUES = mix64(np.arange(1, 257, dtype=np.uint64))
-_IS_SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+def grouped(values: np.ndarray, sizes: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct values in order; then, with equal values together, the place of each value among them and its body.
 
-
-def word_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """(keys, words of each text) of the words between ASCII blanks, in order; contexts have keys of 0 and more.
-
-    A word's key is a multilinear hash: random values of its bytes times random odd values of their
-    places, summed, mixed with the length, without the last bit, and negative.
+    ``sizes`` says how many values in a row belong to each body. Values of few enough ``bits`` are sorted
+    together with their body as one integer.
     """
-    data = np.frombuffer(b" ".join([*texts, b""]), np.uint8)
-    word = ~_IS_SPACE[data]
-    before = np.empty_like(word)
-    before[:1], before[1:] = False, word[:-1]
-    starts = np.flatnonzero(word & ~before)
-    if not len(starts):
-        return np.zeros(0, np.int64), np.zeros(len(texts), np.int64)
-    lengths = np.flatnonzero(before & ~word) - starts
-    first = np.cumsum(lengths) - lengths
-    place = np.arange(int(lengths.sum())) - np.repeat(first, lengths)
-    odd = mix64(np.arange(1, int(lengths.max()) + 1, dtype=np.uint64) << np.uint64(20)) | np.uint64(1)
-    sums = np.add.reduceat(_BYTE_VALUES[data[word]] * odd[place], first)
-    keys = -1 - (mix64(sums + lengths.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(1)).astype(np.int64)
-    ends = np.cumsum([len(t) + 1 for t in texts])
-    return keys, np.diff(np.searchsorted(starts, ends), prepend=0)
-
-
-class Keys:
-    """Keys of the contexts and words of some texts, and the texts that they stand in."""
-
-    def __init__(self, texts: list[bytes], depth: int):
-        self.grams, self.gram_owner = gram_codes(texts, depth)
-        self.words, self.lengths = word_keys(texts)
-        self.word_owner = np.repeat(np.arange(len(texts)), self.lengths)
-
-
-def text_slices(texts: Iterable[str], most: int = 1 << 20) -> Iterator[list[bytes]]:
-    """Lower-cased texts as bytes, in lists of about ``most`` bytes; a longer text is a list of its own."""
-    own, size = [], 0
-    for t in texts:
-        raw = utf8(t).lower()
-        if own and size + len(raw) > most:
-            yield own
-            own, size = [], 0
-        own.append(raw)
-        size += len(raw)
-    if own:
-        yield own
+    owner = np.repeat(np.arange(len(sizes), dtype=np.int64), sizes)
+    if bits <= 47:
+        both = np.sort((values << 16) | owner)
+        values, owner = both >> 16, both & 0xFFFF
+    elif bits == 48:
+        both = np.sort((values.astype(np.uint64) << np.uint64(16)) | owner.astype(np.uint64))
+        values, owner = (both >> np.uint64(16)).astype(np.int64), (both & np.uint64(0xFFFF)).astype(np.int64)
+    else:
+        order = np.argsort(values, kind="stable")
+        values, owner = values[order], owner[order]
+    if not len(values):
+        return values, owner, owner
+    new = np.concatenate([[True], values[1:] != values[:-1]])
+    return values[new], np.cumsum(new) - 1, owner
 
 
 def sorted_distinct(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -221,21 +235,18 @@ def _counter(depth: int, most: int = 1_000_000):  # noqa: ANN202
             keys.clear(), counts.clear()
             return pa.RecordBatch.from_arrays([pa.array(own), pa.array(n)], names=["key", "n"])
 
-        for batch in batches:
-            held, at = np.array(batch.column("held_out").to_pylist(), bool), 0
-            for texts in text_slices(batch.column("text").to_pylist()):
-                own, train = Keys(texts, depth), ~held[at : at + len(texts)]
-                at += len(texts)
-                for k, owner in ((own.grams, own.gram_owner), (own.words, own.word_owner)):
-                    for part, weight in ((k[train[owner]], 1), (k[~train[owner]], 0)):
+        for batch in (part for whole in batches for part in sliced(whole)):
+            for held in (False, True):
+                for own in text_slices(batch.column("text").filter(pc.equal(batch.column("held_out"), held)).to_pylist(), depth):
+                    for part in (gram_codes(own, depth)[0], word_keys(own.bodies)[0]):
                         distinct, n = sorted_distinct(part)
                         keys.append(distinct)
-                        counts.append(n * weight)
-                if sum(map(len, keys)) > 2 * most:
-                    merged = _merged(keys, counts)
-                    keys[:], counts[:] = [merged[0]], [merged[1]]
-                    if len(merged[0]) > most:
-                        yield leave()
+                        counts.append(n * (not held))
+                    if sum(map(len, keys)) > 2 * most:
+                        merged = _merged(keys, counts)
+                        keys[:], counts[:] = [merged[0]], [merged[1]]
+                        if len(merged[0]) > most:
+                            yield leave()
         if keys:
             yield leave()
 
@@ -283,98 +294,121 @@ def language_model_scores(docs: DataFrame, key: str = "doc_id", text: str = "tex
     total, distinct = (sums["n"] or 0) + trained, (sums["v"] or 0) + (1 if trained else 0)
 
     grams = counts.where("key >= 0").select(F.col("key").alias("gram"), "n", F.shiftright("key", 8 * (depth + 1 - SHARD)).alias("shard"))
-    size = grams.count()
-    ranges = max(1, math.ceil(size / RANGE_ROWS))
-    cuts = grams.agg(F.percentile_approx("shard", [k / ranges for k in range(1, ranges)] or [0.5], 100 * ranges)).first()[0] or []
-    place = F.size(F.filter(F.array(*[F.lit(c) for c in sorted(set(cuts))]), lambda c: c <= F.col("shard"))) if ranges > 1 and cuts else F.lit(0)
-    grams = grams.withColumn("range", place)
+    size = counts.agg(F.count(F.lit(1)).alias("all"), F.count(F.when(F.col("key") >= 0, 1)).alias("grams")).first()
+    # Ranges of contexts by sorting: contexts with the same latest bytes are in one partition, which numbers its rows.
+    grams = written(grams.repartitionByRange(max(1, math.ceil(size["grams"] / RANGE_ROWS)), "shard").withColumn("range", F.spark_partition_id()), "lm-ranges")
     nodes = written(grams.where("n > 0").groupBy("range").applyInPandas(_range_nodes(depth), _NODES), "nodes-3")
     # A parent's children are together; one group holds the parents of a context without its oldest bytes.
     nodes = written(nodes.groupBy(F.pmod(F.xxhash64(F.shiftright("node", 16)), F.lit(64)).alias("g")).applyInPandas(_raise, _NODES), "nodes-2")
     first = nodes.groupBy(F.shiftright("node", 16).alias("g")).applyInPandas(_raise, _NODES).toPandas()
     first = _level(first)
-    sent = docs.sparkSession.sparkContext.broadcast([raised(first.keys, first.zeros, first.ones, first.weighted), first])
+    top = sent(docs.sparkSession, [raised(first.keys, first.zeros, first.ones, first.weighted), first])
+    shards = max(1, math.ceil(size["all"] / SHARD_KEYS)) * 2 + 1  # odd, as the last byte of a context's key is a text's
     wanted = grams.select("range", F.shiftright("shard", 8).alias("context")).distinct()
     second = nodes.withColumn("context", F.shiftright("node", 8)).join(wanted, "context").select("range", "node", "zeros", "ones", "weighted")
     second = written(second, "nodes-asked")
 
     def answer(own: pd.DataFrame, above: pd.DataFrame) -> pd.DataFrame:
-        codes = own["gram"].to_numpy(np.int64)
-        levels = build_levels(codes, own["n"].to_numpy(), depth, SHARD)
-        top, second_ = sent.value, _level(above)
-        out = []
+        codes = np.sort(own["gram"].to_numpy(np.int64))
+        levels = build_levels(own["gram"].to_numpy(np.int64), own["n"].to_numpy(), depth, SHARD)
+        second_, out = _level(above), [np.zeros(0)]
         for at in range(0, len(codes), 100_000):
             part = codes[at : at + 100_000]
-            p = predict(top, part, depth, 0, predict([second_], part, depth, 2, predict(levels, part, depth, SHARD)))
+            p = predict(opened(top), part, depth, 0, predict([second_], part, depth, 2, predict(levels, part, depth, SHARD)))
             out.append(np.log10(p).sum(axis=0))
-        return pd.DataFrame({"key": codes, "value": np.concatenate(out) if out else np.zeros(0)})
+        return pd.DataFrame(packed_by_shard(codes, np.concatenate(out), shards))
+
+    def pack_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = batch.column("key").to_numpy()
+            order = np.argsort(keys)
+            made = packed_by_shard(keys[order], batch.column("n").to_numpy()[order].astype(float), shards)
+            yield pa.RecordBatch.from_arrays([pa.array(made["shard"], pa.int64()), pa.array(made["packed"], pa.binary()), pa.array(made["value"], pa.binary())], names=["shard", "packed", "value"])
 
-    values = grams.groupBy("range").cogroup(second.groupBy("range")).applyInPandas(answer, "key bigint, value double")
-    words = counts.where("key < 0 AND n > 0").select("key", F.col("n").cast("double").alias("value"))
-    values = written(values.unionByName(words), "lm-values")
+    kinds = "shard bigint, packed binary, value binary"
+    model = grams.groupBy("range").cogroup(second.groupBy("range")).applyInPandas(answer, kinds)
+    model = written(model.unionByName(counts.where("key < 0 AND n > 0").select("key", "n").mapInArrow(pack_words, kinds)), "lm-model")
 
     chunks = max(1, math.ceil((facts["size"] or 0) / chunk_bytes))
-    copies = math.ceil(chunks / ASKERS)
-    shards = math.ceil(values.count() / SHARD_KEYS) * 2 + 1  # odd, as the last byte of a context's key is a text's
     dealt = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks)))
 
-    def distinct_keys(texts: Iterable[str]) -> np.ndarray:
-        own = [np.zeros(0, np.int64)]
-        for part in text_slices(texts):
-            k = Keys(part, depth)
-            own += [sorted_distinct(k.grams)[0], sorted_distinct(k.words)[0]]
-        return sorted_distinct(np.concatenate(own))[0]
-
-    def ask(pdf: pd.DataFrame) -> pd.DataFrame:
-        keys, chunk = distinct_keys(pdf["text"]), int(pdf["chunk"].iloc[0])
-        shard = keys % shards
-        return pd.DataFrame({"chunk": chunk, "shard": range(shards), "copy": chunk % copies, "packed": [keys[shard == k].tobytes() for k in range(shards)]})
-
-    def reply(asked: pd.DataFrame, model: pd.DataFrame) -> pd.DataFrame:
-        order = np.argsort(model["key"].to_numpy())
-        own, value = model["key"].to_numpy()[order], model["value"].to_numpy(float)[order]
-        out = []
-        for packed in asked["packed"]:
-            keys = np.frombuffer(packed, np.int64)
-            at = np.minimum(np.searchsorted(own, keys), max(0, len(own) - 1))
-            out.append((np.where(own[at] == keys, value[at], 0.0) if len(own) else np.zeros(len(keys))).tobytes())
-        return pd.DataFrame({"chunk": asked["chunk"], "shard": asked["shard"], "packed": out})
-
-    model = values.withColumn("shard", F.pmod("key", F.lit(shards))).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
-    asked = dealt.groupBy("chunk").applyInPandas(ask, "chunk bigint, shard bigint, copy int, packed binary")
-    answers = asked.groupBy("shard", "copy").cogroup(model.groupBy("shard", "copy")).applyInPandas(reply, "chunk bigint, shard bigint, packed binary")
+    def ask(own: pa.Table) -> pa.Table:
+        keys = distinct_keys(own.column("text"), depth)
+        shard, chunk = keys % shards, own.column("chunk")[0].as_py()
+        rows = [(chunk, k, keys[shard == k].tobytes()) for k in range(shards)]
+        return pa.table({"chunk": pa.array([r[0] for r in rows], pa.int64()), "shard": pa.array([r[1] for r in rows], pa.int64()), "packed": pa.array([r[2] for r in rows], pa.binary())})
+
+    def reply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows by shard, those of the model first: the shard is put together once and then asked row by row."""
+        at, parts, own, value = None, [], np.zeros(0, np.int64), np.zeros(0)
+        for batch in batches:
+            for k in range(batch.num_rows):
+                shard, chunk = batch.column("shard")[k].as_py(), batch.column("chunk")[k].as_py()
+                packed = np.frombuffer(batch.column("packed")[k].as_buffer(), np.int64)
+                if shard != at:
+                    at, parts, own, value = shard, [], np.zeros(0, np.int64), np.zeros(0)
+                if chunk < 0:
+                    parts.append((packed.copy(), np.frombuffer(batch.column("value")[k].as_buffer(), float).copy()))
+                    continue
+                if parts:
+                    own, value = (np.concatenate([p[x] for p in parts]) for x in (0, 1))
+                    order = np.argsort(own)
+                    own, value, parts = own[order], value[order], []
+                found = np.minimum(np.searchsorted(own, packed), max(0, len(own) - 1))
+                got = np.where(own[found] == packed, value[found], 0.0) if len(own) else np.zeros(len(packed))
+                yield pa.RecordBatch.from_arrays([pa.array([chunk], pa.int64()), pa.array([shard], pa.int64()), pa.array([got.tobytes()], pa.binary())], names=["chunk", "shard", "packed"])
+
+    asked = dealt.groupBy("chunk").applyInArrow(ask, "chunk bigint, shard bigint, packed binary").withColumn("value", F.lit(None).cast("binary"))
+    stream = model.withColumn("chunk", F.lit(-1).cast("bigint")).unionByName(asked)
+    answers = stream.repartition("shard").sortWithinPartitions("shard", "chunk").mapInArrow(reply, "chunk bigint, shard bigint, packed binary")
     kind = base.schema["doc_id"].dataType.simpleString()
     # The smoothed share of a token of count c is (c + 1) / (total + 1 * (distinct + 1)).
     log_all = math.log10(total + distinct + 1)
     log_end = math.log10(trained + 1) - log_all
     columns = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
 
-    def score(own: pd.DataFrame, got: pd.DataFrame) -> pd.DataFrame:
-        # One look at the texts: each place keeps the number of its key among those of its slice.
-        seen, keys = [], [np.zeros(0, np.int64)]
-        for texts in text_slices(own["text"]):
-            k = Keys(texts, depth)
-            sides = []
-            for places, owner in ((k.grams, k.gram_owner), (k.words, k.word_owner)):
-                which, distinct_ = pd.factorize(places)
-                sides.append((which.astype(np.int32), distinct_, owner.astype(np.int32)))
-                keys.append(distinct_)
-            seen.append((sides, k.lengths, np.array([len(t) + 1 for t in texts])))
-        keys = sorted_distinct(np.concatenate(keys))[0]
+    def score(own: pa.Table, got: pa.Table) -> pa.Table:
+        texts, n = own.column("text"), own.num_rows
+        keys = distinct_keys(texts, depth)
         shard, value = keys % shards, np.zeros(len(keys))
-        for k, packed in zip(got["shard"], got["packed"]):
-            value[shard == k] = np.frombuffer(packed, float)
-        out, at = [pd.DataFrame(columns=columns)] if not len(own) else [], 0
-        for (grams_, words_), lengths, sizes in seen:
-            part, n = own.iloc[at : at + len(lengths)], len(lengths)
-            at += n
-            total_log = np.bincount(grams_[2], value[np.searchsorted(keys, grams_[1])][grams_[0]], n)
-            c = value[np.searchsorted(keys, words_[1])][words_[0]] if len(words_[1]) else np.zeros(0)
-            base_log = np.bincount(words_[2], np.log10(c + 1), n) - lengths * log_all + log_end
-            n_known = np.bincount(words_[2], c > 0, n).astype(np.int64) + int(trained > 0)
-            rows = (part["doc_id"].to_numpy(), part["held_out"].to_numpy(), lengths + 1, n_known, total, base_log, total_log, -total_log / math.log10(2) / sizes)
-            out.append(pd.DataFrame(dict(zip(columns, rows))))
-        return pd.concat(out)
+        for k, packed in zip(got.column("shard").to_pylist(), got.column("packed")):
+            value[shard == k] = np.frombuffer(packed.as_buffer(), float)
+        model_log, base_log, n_tokens, n_known, sizes = np.zeros(n), np.full(n, log_end), np.ones(n, np.int64), np.full(n, int(trained > 0)), np.ones(n)
+        for part in text_slices((t.as_py() for t in texts), depth):
+            to, m = np.array(part.numbers), len(part.bodies)
+            codes, lengths = gram_codes(part, depth)
+            which, place, owner = grouped(codes, lengths, 8 * (depth + 1))
+            np.add.at(model_log, to, np.bincount(owner, value[np.searchsorted(keys, which)][place], m))
+            words, lengths = word_keys(part.bodies)
+            which, place, owner = grouped(words, lengths, 64)
+            c = value[np.searchsorted(keys, which)][place] if len(which) else np.zeros(0)
+            np.add.at(base_log, to, np.bincount(owner, np.log10(c + 1), m) - lengths * log_all)
+            np.add.at(n_known, to, np.bincount(owner, c > 0, m).astype(np.int64))
+            np.add.at(n_tokens, to, lengths)
+            np.add.at(sizes, to, [len(x) for x in part.bodies])
+        made = [own.column("doc_id"), own.column("held_out"), pa.array(n_tokens), pa.array(n_known), pa.array(np.full(n, total, np.int64)), pa.array(base_log), pa.array(model_log), pa.array(-model_log / math.log10(2) / sizes)]
+        return pa.table(dict(zip(columns, made)))
 
     schema = f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double, bits_per_byte double"
-    return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(score, schema)
+    return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(score, schema)
+
+
+def distinct_keys(texts: pa.ChunkedArray, depth: int) -> np.ndarray:
+    """Sorted distinct keys of the contexts and words of texts, merged slice by slice."""
+    out, waiting, size = np.zeros(0, np.int64), [], 0
+    for part in text_slices((t.as_py() for t in texts), depth):
+        waiting += [sorted_distinct(gram_codes(part, depth)[0])[0], sorted_distinct(word_keys(part.bodies)[0])[0]]
+        size += len(waiting[-1]) + len(waiting[-2])
+        if size > len(out) + 1_000_000:
+            out, waiting, size = sorted_distinct(np.concatenate([out, *waiting]))[0], [], 0
+    return sorted_distinct(np.concatenate([out, *waiting]))[0]
+
+
+def packed_by_shard(keys: np.ndarray, values: np.ndarray, shards: int) -> dict[str, list]:
+    """Keys and values of every shard that has any, as bytes."""
+    shard = keys % shards
+    order = np.argsort(shard, kind="stable")
+    keys, values = keys[order], values[order]
+    which, start = np.unique(shard[order], return_index=True)
+    cuts = list(zip(start.tolist(), [*start[1:].tolist(), len(keys)]))
+    return {"shard": which.tolist(), "packed": [keys[a:z].tobytes() for a, z in cuts], "value": [values[a:z].tobytes() for a, z in cuts]}
