@@ -29,7 +29,7 @@ def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")).drop("items", "spans")
+    return decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")).drop("items", "spans", "near")
 
 
 def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -88,10 +88,17 @@ dw AS (SELECT doc_id, n, i, array_to_string(w[i : i + n - 1], ' ') AS g
        FROM (SELECT doc_id, w, n, unnest(range(1, len(w) - n + 2)) AS i FROM d, sizes WHERE len(w) >= n)),
 m AS (SELECT doc_id, i, dw.n AS n, item_id FROM dw JOIN bw ON dw.n = bw.n AND dw.g = bw.g),
 hit AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(i, i + n)) AS p FROM (SELECT DISTINCT doc_id, i, n FROM m)) GROUP BY doc_id),
-items AS (SELECT doc_id, count(DISTINCT item_id) AS n_items, string_agg(DISTINCT item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS ids FROM m GROUP BY doc_id)
+items AS (SELECT doc_id, count(DISTINCT item_id) AS n_items, string_agg(DISTINCT item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS ids FROM m GROUP BY doc_id),
+terms AS (SELECT item_id, word, min(i) AS first FROM (SELECT item_id, unnest(w) AS word, unnest(range(1, len(w) + 1)) AS i FROM b) GROUP BY item_id, word),
+places AS (SELECT doc_id, word, i FROM (SELECT doc_id, unnest(w) AS word, unnest(range(1, len(w) + 1)) AS i FROM d) WHERE word IN (SELECT word FROM terms)),
+often AS (SELECT word, count(*) AS n FROM places GROUP BY word),
+rare AS (SELECT item_id, word, count(*) OVER (PARTITION BY item_id) AS k FROM (SELECT item_id, terms.word AS word, row_number() OVER (PARTITION BY item_id ORDER BY coalesce(n, 0), first) AS r FROM terms LEFT JOIN often ON often.word = terms.word) WHERE r <= 4),
+stands AS (SELECT doc_id, item_id, k, rare.word AS word, i FROM rare JOIN places ON places.word = rare.word),
+latest AS (SELECT x.doc_id, x.item_id, x.k, x.i AS stop, y.word, max(y.i) AS i FROM stands x JOIN stands y ON y.doc_id = x.doc_id AND y.item_id = x.item_id AND y.i <= x.i AND x.i - y.i < 20 GROUP BY ALL),
+near AS (SELECT doc_id, count(DISTINCT item_id) AS n_near FROM (SELECT doc_id, item_id, stop FROM latest GROUP BY doc_id, item_id, k, stop HAVING count(*) = k) GROUP BY doc_id)
 SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(ids, '')) AS items_sha256,
-  coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(w) AS contaminated
-FROM d LEFT JOIN hit USING (doc_id) LEFT JOIN items USING (doc_id)
+  coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(w) AS contaminated, coalesce(n_near, 0)::BIGINT AS n_near
+FROM d LEFT JOIN hit USING (doc_id) LEFT JOIN items USING (doc_id) LEFT JOIN near USING (doc_id)
 """,
     "op6_near_dedup": rf"""
 WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\x20\x09-\x0D]+') AS w FROM documents),
