@@ -7,7 +7,8 @@ random enough become spans of kind ``markov``.
 
 Scale: a single pass, nothing shuffled: positions come from the pieces between matches, and the model
 (a square of the alphabet, 66 x 66 numbers, whatever the data) travels as an array literal. Each row
-works with arrays of its own matches, so a long text costs time in proportion to its length.
+works with arrays of its own matches; places and overlaps come from running sums and maxima in
+logarithmically many steps, so a text with n matches takes n log n, besides its length.
 """
 
 from __future__ import annotations
@@ -25,11 +26,11 @@ ACCESS = r"AKIA[A-Z0-9]+"
 HEX = r"[0-9a-f]{16,}"
 KINDS = ("assign", "access", "hex", "markov")
 LEAST = {"assign": 12, "access": 18, "hex": 16}
-#: Candidate runs for the Markov models.
-CANDIDATE = r"[A-Za-z0-9+/_-]{20,}"
+#: Characters of candidate runs for the Markov models, and how long a run is at least.
+CANDIDATE, LEAST_RUN = r"[A-Za-z0-9+/_-]", 16
 ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-"
 #: Mean log-likelihood ratio for a character from which a run counts as random.
-THRESHOLD = 0.5
+THRESHOLD = 0.2
 
 #: Ordinary identifiers, label 0 of the training table.
 IDENTIFIERS = """
@@ -58,13 +59,16 @@ validateCredentials vertical_scrollbar virtual_machine_image visibility_timeout
 """.split()
 
 
-def labelled_samples(spark: SparkSession, random_rows: int = 400) -> DataFrame:
-    """The training table (sample, random): identifiers above, and random strings made by rule from digests."""
-    digest = F.unhex(F.sha2(F.concat(F.lit("sample-"), F.col("id").cast("string")), 256))
-    rand = spark.range(random_rows).select(
-        F.when(F.col("id") % 2 == 0, F.substring(F.lower(F.hex(digest)), 1, 40)).otherwise(F.substring(F.base64(digest), 1, 40)).alias("sample"), F.lit(True).alias("random")
-    )
-    return spark.createDataFrame([(w, False) for w in IDENTIFIERS], "sample string, random boolean").unionByName(rand)
+def labelled_samples(spark: SparkSession, random_rows: int = 800, number_rows: int = 150) -> DataFrame:
+    """The training table (sample, random): identifiers above, also in capitals, plain numbers, and random strings made by rule from digests."""
+    digest = lambda name: F.unhex(F.sha2(F.concat(F.lit(name), F.col("id").cast("string")), 256))
+    rule, coded = F.col("id") % 4, F.base64(digest("sample-"))
+    plain = F.regexp_replace(coded, "[^A-Za-z0-9]", "")
+    rand = F.when(rule == 0, F.substring(F.lower(F.hex(digest("sample-"))), 1, 40)).when(rule == 1, F.substring(coded, 1, 40)).when(rule == 2, F.substring(F.lower(plain), 1, 36)).otherwise(F.substring(F.upper(plain), 1, 36))
+    rand = spark.range(random_rows).select(rand.alias("sample"), F.lit(True).alias("random"))
+    numbers = spark.range(number_rows).select(F.substring(F.regexp_replace(F.hex(digest("number-")), "[A-F]", ""), 1, 20).alias("sample"), F.lit(False).alias("random"))
+    names = [*IDENTIFIERS, *(w.upper() for w in IDENTIFIERS if "_" in w)]
+    return spark.createDataFrame([(w, False) for w in names], "sample string, random boolean").unionByName(numbers).unionByName(rand)
 
 
 def train_markov(samples: DataFrame, smoothing: float = 0.5) -> list[float]:
@@ -91,23 +95,50 @@ def train_markov(samples: DataFrame, smoothing: float = 0.5) -> list[float]:
     return [math.log(rand[a][b]) - math.log(plain[a][b]) for a in range(size) for b in range(size)]
 
 
-def _spans(text: Column, pattern: str, kind: int, value_group: int, least: int) -> Column:
-    """Spans struct(start, kind, end, value) of the leftmost matches, from the pieces between them."""
-    regex = F.lit(pattern)
-    found = F.struct(F.regexp_extract_all(text, regex, F.lit(0)).alias("m"), F.regexp_extract_all(text, regex, F.lit(value_group)).alias("v"), F.transform(F.split(text, pattern, -1), F.char_length).alias("gap"))
-    placed = F.aggregate(
-        F.arrays_zip(found["m"], found["v"], F.slice(found["gap"], 1, F.greatest(F.size(found["m"]), F.lit(0)))),
-        F.struct(F.lit(0).alias("at"), F.expr("cast(array() AS array<struct<start: int, kind: int, end: int, value: string>>)").alias("all")),
-        lambda acc, x: F.struct(
-            (acc["at"] + x["2"] + F.char_length(x["m"])).alias("at"),
-            F.when(
-                F.char_length(x["v"]) >= least,
-                F.concat(acc["all"], F.array(F.struct((acc["at"] + x["2"]).alias("start"), F.lit(kind).alias("kind"), (acc["at"] + x["2"] + F.char_length(x["m"])).alias("end"), x["v"].alias("value")))),
-            ).otherwise(acc["all"]).alias("all"),
-        ),
-        lambda acc: acc["all"],
-    )
-    return placed
+def _running(values: str, merge: str) -> str:
+    """SQL: running sums, maxima ... of the integer array in column ``values``, by SQL ``merge`` over ``x`` and an earlier place ``acc[..]``, written ``Y``.
+
+    Each step merges places twice as far apart, so an array of n takes n log n; a fold that appended would copy what it has at every place.
+    """
+    merged = merge.replace("Y", "get(acc, i - shiftleft(1, s))")
+    steps = f"sequence(0, cast(ceil(log2(size({values}))) AS int))"
+    return f"IF(size({values}) < 2, {values}, aggregate({steps}, {values}, (acc, s) -> transform(acc, (x, i) -> IF(i >= shiftleft(1, s), {merged}, x))))"
+
+
+def _with_spans(rows: DataFrame, patterns: dict[str, tuple[str, int, int]], text: str = "text") -> DataFrame:
+    """``rows`` with a column of spans struct(start, kind, end, value) for each of ``patterns`` (pattern, group of the value, its least length).
+
+    Spans are the leftmost matches that do not overlap; their places follow from the pieces between them.
+    """
+    columns = rows.columns
+    found = []
+    for name, (pattern, group, _) in patterns.items():
+        found.append(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias(f"m_{name}"))
+        if group:
+            found.append(F.regexp_extract_all(text, F.lit(pattern), F.lit(group)).alias(f"v_{name}"))
+        found.append(F.transform(F.split(text, pattern, -1), F.char_length).alias(f"g_{name}"))
+    rows = rows.select(*columns, *found)
+    rows = rows.select("*", *[F.expr(f"transform(m_{k}, (x, i) -> char_length(x) + get(g_{k}, i))").alias(f"step_{k}") for k in patterns])
+    rows = rows.select("*", *[F.expr(_running(f"step_{k}", "x + Y")).alias(f"at_{k}") for k in patterns])
+    spans = []
+    for name, (_, group, least) in patterns.items():
+        value = f"get(v_{name}, i)" if group else "x"
+        one = f"struct(get(at_{name}, i) - char_length(x) AS start, {KINDS.index(name)} AS kind, get(at_{name}, i) AS `end`, {value} AS value)"
+        spans.append(F.expr(f"filter(transform(m_{name}, (x, i) -> {one}), s -> char_length(s.value) >= {least})").alias(name))
+    return rows.select(*columns, *spans)
+
+
+def _without_overlap(rows: DataFrame, spans: str, others: str) -> DataFrame:
+    """``rows`` with ``spans`` only where no span of ``others`` has a character in common with it, from one sort of both."""
+    both = f"concat(transform({others}, b -> struct(b.start AS start, b.`end` AS `end`, -1 AS n)), transform({spans}, (r, i) -> struct(r.start AS start, r.`end` AS `end`, i AS n)))"
+    columns = rows.columns
+    rows = rows.select("*", F.expr(f"IF(size({others}) = 0 OR size({spans}) = 0, cast(array() AS array<struct<start: int, `end`: int, n: int>>), array_sort({both}))").alias("both_"))
+    rows = rows.select("*", F.expr("transform(both_, x -> IF(x.n < 0, x.`end`, -1))").alias("ends_"), F.expr("reverse(transform(both_, x -> IF(x.n < 0, x.start, 2147483647)))").alias("starts_"))
+    # The latest end of another span so far, and the first start of one from here on.
+    rows = rows.select("*", F.expr(_running("ends_", "greatest(x, Y)")).alias("before_"), F.expr(_running("starts_", "least(x, Y)")).alias("after_"))
+    free = f"transform(filter(transform(both_, (x, i) -> IF(x.n >= 0 AND get(before_, i) <= x.start AND get(after_, size(after_) - 1 - i) >= x.`end`, x.n, -1)), n -> n >= 0), n -> get({spans}, n))"
+    own = F.expr(f"IF(size(both_) = 0, {spans}, {free})").alias(spans)
+    return rows.select(*[c for c in columns if c != spans], own)
 
 
 def _spelled(spans: Column) -> Column:
@@ -130,28 +161,20 @@ def mean_ratio(token: Column, ratios: list[float]) -> Column:
     return total / F.greatest(F.char_length(token) - 1, F.lit(1))
 
 
-def secret_scan(docs: DataFrame, key: str = "doc_id", text: str = "text", ratios: list[float] | None = None, threshold: float = THRESHOLD) -> DataFrame:
+def secret_scan(docs: DataFrame, key: str = "doc_id", text: str = "text", ratios: list[float] | None = None, threshold: float = THRESHOLD, least_run: int = LEAST_RUN) -> DataFrame:
     """One row per input row: doc_id, n_assign, n_access, n_hex, n_markov, base_sha256, spans, secrets.
 
     Spans are ``kind:start:end`` in code points, by start and then kind. ``base_sha256`` digests the
-    base spans only. A Markov span is a candidate run whose mean ratio is at least ``threshold`` and
-    that has no character in common with a base span. ``secrets`` holds the matched values with their
+    base spans only. A Markov span is a run of at least ``least_run`` token characters whose mean ratio is
+    at least ``threshold`` and that has no character in common with a base span. ``secrets`` holds the matched values with their
     spans. Null and empty texts have no span. Repeated rows are scanned alike, empty tables give none.
     """
     spark = docs.sparkSession
     ratios = train_markov(labelled_samples(spark)) if ratios is None else ratios
     base = two_columns(docs, key, text)
-    t = F.col("text")
-    rows = base.select(
-        "doc_id",
-        _spans(t, ASSIGN, 0, 2, LEAST["assign"]).alias("assign"),
-        _spans(t, ACCESS, 1, 0, LEAST["access"]).alias("access"),
-        _spans(t, HEX, 2, 0, LEAST["hex"]).alias("hex"),
-        _spans(t, CANDIDATE, 3, 0, 20).alias("runs"),
-    )
-    rows = rows.select("*", F.concat("assign", "access", "hex").alias("base"))
-    free = lambda s: ~F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
-    rows = rows.select("*", F.filter("runs", lambda s: (mean_ratio(s["value"], ratios) >= threshold) & free(s)).alias("markov"))
+    rows = _with_spans(base, {"assign": (ASSIGN, 2, LEAST["assign"]), "access": (ACCESS, 0, LEAST["access"]), "hex": (HEX, 0, LEAST["hex"]), "markov": (f"{CANDIDATE}{{{least_run},}}", 0, least_run)})
+    rows = _without_overlap(rows.drop("text").select("*", F.concat("assign", "access", "hex").alias("base")), "markov", "base")
+    rows = rows.select(*[c for c in rows.columns if c != "markov"], F.filter("markov", lambda s: mean_ratio(s["value"], ratios) >= threshold).alias("markov"))
     every = F.concat("base", "markov")
     return rows.select(
         "doc_id",
