@@ -1,11 +1,12 @@
 """Main text of web pages from flat text blocks and a decision tree.
 
 A page is cut at block-level tags into a flat list of text blocks. Each block has its word count, its
-link density, those of its two neighbours, and what its open tags say (inside an article, inside
-a region whose tag, class or id names it a menu, header, notice ...). A decision tree, grown from a
-small labelled table of blocks, says which blocks are main text.
+link density, those of its two neighbours, and what its open tags say: inside an article, inside a
+region tag (menu, header, footer, form ...), inside an element whose class, id or role names such a
+region. A decision tree, grown from a small labelled table of blocks, says which blocks are main text.
 
-Scale: one row in, one row out, in Arrow batches without a shuffle; the tree travels with the code.
+Scale: one row in, one row out, in Arrow batches without a shuffle; the tree travels with the code. A
+page is read once from left to right and no place of it twice, so malformed pages take linear time too.
 """
 
 from __future__ import annotations
@@ -34,9 +35,15 @@ REGION_WORDS = frozenset(
     "ad ads advert advertisement advertising banner breadcrumb breadcrumbs byline comment comments commentlist consent cookie cookies disclaimer disqus footer form gdpr header login masthead menu meta modal nav navbar navigation newsletter notice notification overlay pagination pager popup privacy promo promoted reader recommended related replies reply response responses search share sharing shoutbox sidebar signup skip social sponsor sponsored subscribe subscription tags toolbar topbar widget".split()
 )
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-_ATTRIBUTE = re.compile(r"""\b(class|id|role|hidden|aria-hidden|style)\s*(?:=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
-_WORDS = re.compile(r"[A-Za-z]+")
+#: Parts of such names that say nothing of their own: the part before them counts.
+CARRIER_WORDS = frozenset("area bar block body box col column container content group inner item items line links list outer panel row section wrap wrapper".split())
+
+#: What ends a stretch of plain characters inside a tag.
+_IN_TAG = re.compile(r"[<>\"']")
+_TAG_NAME = re.compile(r"[A-Za-z][A-Za-z0-9:-]*")
+_ATTRIBUTE = re.compile(r"""(?<![\w-])(class|id|role|hidden|aria-hidden|style)(?![\w-])(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
+_NAME_PART = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
+_HIDDEN_STYLE = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
 
 
 @dataclass
@@ -48,31 +55,91 @@ class Block:
     linked: int = 0
     in_article: bool = False
     in_region: bool = False
+    named_region: bool = False
     heading: bool = False
     features: list[float] = field(default_factory=list)
 
 
-def _names_region(attributes: str) -> bool:
+def names_region(name: str) -> bool:
+    """Whether a class, id or role names a region: its head, the last part that carries a meaning, is such a word.
+
+    ``site-nav`` and ``commentList`` do; ``tags-intro`` and ``share-of-votes`` are about something else.
+    """
+    parts = [x.lower() for x in _NAME_PART.findall(name)]
+    while len(parts) > 1 and parts[-1] in CARRIER_WORDS:
+        parts.pop()
+    return bool(parts) and parts[-1] in REGION_WORDS
+
+
+def _marks_region(attributes: str) -> bool:
     for name, a, b, c in _ATTRIBUTE.findall(attributes):
-        name, value = name.lower(), (a or b or c).lower()
-        if name == "hidden" or name == "aria-hidden" and value == "true":
+        name, value = name.lower(), a or b or c
+        if name == "hidden" or name == "aria-hidden" and value.lower() == "true":
             return True
         if name == "style":
-            if re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value):
+            if _HIDDEN_STYLE.search(value.lower()):
                 return True
-        elif any(w in REGION_WORDS for w in _WORDS.findall(value)):
+        elif any(names_region(x) for x in value.split()):
             return True
     return False
 
 
+class _Reader:
+    """Places of a page's tags, each place looked at once."""
+
+    def __init__(self, page: str):
+        self.page, self.last = page, {q: page.rfind(q) for q in "\"'>"}
+
+    def tag_end(self, at: int) -> tuple[int, int]:
+        """(end of the attributes, place behind the tag) of a tag whose name ends at ``at``.
+
+        A tag ends at the next > outside quotes, before the next < outside quotes, or with the page. A
+        quotation mark that nothing closes is an ordinary character.
+        """
+        page = self.page
+        while m := _IN_TAG.search(page, at):
+            if m[0] == ">":
+                return m.start(), m.end()
+            if m[0] == "<":
+                return m.start(), m.start()
+            at = m.end() if m.start() >= self.last[m[0]] else page.index(m[0], m.end()) + 1
+        return len(page), len(page)
+
+    def next(self, at: int) -> tuple[int, int, str, bool, str]:
+        """(start, place behind, name, end tag, attributes) of the next tag, comment or declaration; no name for the latter two."""
+        page = self.page
+        while (start := page.find("<", at)) >= 0:
+            if page.startswith("<!--", start):
+                end = page.find("-->", start + 4)
+                return start, end + 3 if end >= 0 else len(page), "", False, ""
+            if page.startswith(("<!", "<?"), start):
+                if self.last[">"] > start:
+                    return start, page.index(">", start) + 1, "", False, ""
+                return start, len(page), "", False, ""
+            closing = page.startswith("/", start + 1)
+            if m := _TAG_NAME.match(page, start + 1 + closing):
+                end, behind = self.tag_end(m.end())
+                return start, behind, m[0].lower(), closing, page[m.end() : end]
+            at = start + 1
+        return -1, len(page), "", False, ""
+
+
+@lru_cache(maxsize=None)
+def _raw_end(tag: str) -> re.Pattern:
+    return re.compile(f"</{tag}(?![A-Za-z0-9:-])[^<>]*>?", re.I)
+
+
 def text_blocks(page: str) -> list[Block]:
     """The page's blocks with text, in order. Tags need not be closed or well nested."""
     out: list[Block] = []
-    stack: list[tuple[str, bool, bool]] = []  # tag, region, content
-    regions = contents = links = skipped = 0
+    stack: list[tuple[str, bool, bool, bool]] = []  # tag, region, named region, content
+    open_at: dict[str, list[int]] = {}  # places of a tag in the stack
+    blocks_at: list[int] = []  # places of block-level tags in the stack
+    regions = named = contents = links = skipped = 0
     heading = False
     parts: list[str] = []
     linked_parts: list[str] = []
+    reader = _Reader(page)
 
     def cut() -> None:
         nonlocal parts, linked_parts
@@ -80,101 +147,129 @@ def text_blocks(page: str) -> list[Block]:
             text = " ".join(entities.unescape("".join(parts)).split())
             if text:
                 linked = len(entities.unescape("".join(linked_parts)).split())
-                out.append(Block(text, len(text.split()), linked, contents > 0, regions > 0, heading))
+                out.append(Block(text, len(text.split()), linked, contents > 0, regions > 0, named > 0, heading))
             parts, linked_parts = [], []
 
     def close(k: int) -> None:
-        nonlocal regions, contents, links, skipped
+        nonlocal regions, named, contents, links, skipped
         while len(stack) > k:
-            tag, region, content = stack.pop()
+            tag, region, by_name, content = stack.pop()
+            open_at[tag].pop()
+            if tag in BLOCK_TAGS:
+                blocks_at.pop()
             regions -= region
+            named -= by_name
             contents -= content
             links -= tag == "a"
             skipped -= tag in SKIPPED_TAGS
 
     at, end = 0, len(page)
     while at < end:
-        m = _TOKEN.search(page, at)
-        stop = m.start() if m else end
+        start, behind, tag, closing, attributes = reader.next(at)
+        stop = start if start >= 0 else end
         if stop > at and not skipped:
             piece = page[at:stop]
             parts.append(piece)
             if links:
                 linked_parts.append(piece)
-        if not m:
-            break
-        at = m.end()
-        if not m[2]:
+        at = behind
+        if not tag:
             continue
-        tag = m[2].lower()
-        if m[1]:
-            if tag in BLOCK_TAGS:
+        block = tag in BLOCK_TAGS
+        if closing:
+            if block:
                 cut()
                 heading = False if tag[0] == "h" and tag[1:].isdigit() else heading
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == tag:
-                    close(k)
-                    break
-                # A stray end tag of a phrase never closes a block.
-                if tag not in BLOCK_TAGS and stack[k][0] in BLOCK_TAGS:
-                    break
+            # A stray end tag of a phrase never closes a block.
+            if open_at.get(tag) and (block or not blocks_at or blocks_at[-1] < open_at[tag][-1]):
+                close(open_at[tag][-1])
             continue
         if tag == "br":
             parts.append(" ")
             continue
-        if tag in BLOCK_TAGS:
+        if block:
             cut()
             heading = tag in ("h1", "h2", "h3", "h4", "h5", "h6")
             # A paragraph ends where the next block begins, a list item at the next one.
-            if stack and (stack[-1][0] == "p" or tag == "li" and stack[-1][0] == "li"):
-                close(len(stack) - 1)
-            else:
-                for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] == "p":
-                        close(k)
-                        break
-                    if stack[k][0] in BLOCK_TAGS:
-                        break
-        if tag in VOID_TAGS or m[3].rstrip().endswith("/"):
+            if blocks_at and (stack[blocks_at[-1]][0] == "p" or tag == "li" and stack[-1][0] == "li"):
+                close(blocks_at[-1])
+        if tag in VOID_TAGS or attributes.rstrip().endswith("/"):
             continue
         if tag in RAW_TAGS:
-            found = re.compile(f"</{tag}[^>]*>", re.I).search(page, at)
+            found = _raw_end(tag).search(page, at)
             at = found.end() if found else end
             continue
-        region = tag in REGION_TAGS or bool(m[3]) and tag not in ("body", "html", "article", "main") and _names_region(m[3])
-        content = tag in CONTENT_TAGS
-        stack.append((tag, region, content))
+        region, content = tag in REGION_TAGS, tag in CONTENT_TAGS
+        by_name = bool(attributes) and not content and tag not in ("body", "html") and _marks_region(attributes)
+        open_at.setdefault(tag, []).append(len(stack))
+        if block:
+            blocks_at.append(len(stack))
+        stack.append((tag, region, by_name, content))
         regions += region
+        named += by_name
         contents += content
         links += tag == "a"
         skipped += tag in SKIPPED_TAGS
     cut()
-    has_article = any(b.in_article for b in out)
-    for i, b in enumerate(out):
-        before, after = out[i - 1] if i else None, out[i + 1] if i + 1 < len(out) else None
-        b.features = [
-            b.words, b.linked / max(1, b.words), before.words if before else 0, before.linked / max(1, before.words) if before else 0,
-            after.words if after else 0, after.linked / max(1, after.words) if after else 0, float(b.in_article), float(b.in_region), float(b.heading), float(has_article),
-        ]
+    describe(out)
     return out
 
 
-FEATURES = ("words", "link density", "words before", "link density before", "words after", "link density after", "in article", "in region", "heading", "page has article")
+def describe(blocks: list[Block]) -> None:
+    """Set the features of a page's blocks."""
+    has_article = any(b.in_article for b in blocks)
+    near = lambda b: (b.words, b.linked / max(1, b.words)) if b else (0, 0.0)
+    for i, b in enumerate(blocks):
+        before, after = blocks[i - 1] if i else None, blocks[i + 1] if i + 1 < len(blocks) else None
+        b.features = [*near(b), *near(before), *near(after), float(b.in_article), float(b.in_region), float(b.named_region), float(b.heading), float(has_article)]
+
+
+FEATURES = ("words", "link density", "words before", "link density before", "words after", "link density after", "in article", "in region", "in named region", "heading", "page has article")
+
+#: The labelled table, made by hand: pages as rows of blocks. A block is its words, then ``l`` if all of
+#: them or ``m`` if half of them are linked, then what is open: ``a`` article, ``r`` region tag, ``n``
+#: element named like a region, ``h`` heading; ``+`` marks main text. Neighbours follow from the order.
+LABELLED = """
+1lr 1lr 1lr 8n 6ah+ 40a+ 60a+ 1a+ 80a+ 12a+ 30r
+2lr 1lr 1lr 9ah+ 5a+ 7a+ 3a+ 120a+ 14a+ 2a+ 12r 30r
+1l 1l 2l 5ah+ 60a+ 4la+ 50a+ 2ma+ 30a+ 4ah+ 25a+ 9 12
+6lr 1ah+ 90a+ 15ma+ 45a+ 3la 2la 2la 4la 70an 33an 20an 8r
+1lr 3lr 7ah+ 28a+ 3an 25an 40an 2lan 65a+ 22a+ 1lar 1lar 2lar 5n 14 45 20
+2l 2l 3l 1l 8ah+ 33a+ 2la 1la 3la 2la 55a+ 18a+ 60rn 7rn
+4 1l 12 5h 45 60 9 30ah+ 70a+ 1a+ 2a+ 6a+ 35 4h 28
+10n 40n 55n 6ah+ 18a+ 21a+ 9a+ 50an 12an 31n 2lr
+1l 2l 1l 6h+ 35+ 50+ 28+ 5h+ 90+ 18+ 3l 2l 2l 4
+2lr 1lr 4h+ 12+ 9+ 7+ 14+ 60+ 5+ 22+ 6r 20r
+3l 2l 1l 1l 7h+ 8+ 11+ 6+ 13+ 9+ 12+ 2l 3l 2l
+1lr 3lr 2lr 40+ 3h+ 33+ 8+ 26m+ 60n 25n 7n 2lr
+5l 4l 9m 3l 5h+ 70+ 4l+ 45+ 10+ 38+ 25m 30m 3l 2l
+2l 2l 16+ 12+ 5h+ 7+ 9+ 21+ 8n 15n 1l 1l 2l
+25n 6nh 40n 3l 3l 55+ 4+ 61+ 2+ 47+ 2l 1l 60r
+1l 1l 1l 4h 2l 3l 2l 4h 3l 2l 2l 5 2l
+30r 1lr 14r 6ah+ 40a+ 9a+
+12r 45r 8ah+ 3a+ 5a+ 60a+ 2a+
+1l 2l 5h+ 44+ 9+ 31+
+20r 50r 6h+ 24+ 70+ 3+
+9ah+ 35a+ 22ar 48ar 7a+
+3h+ 12+ 16r 33r 25+ 8+
+5ah+ 16ar 6ar 30a+
+2ah+ 6a+
+7r 4h+ 15+
+"""
+
 
-#: The labelled table, in the order of FEATURES and then 1 for main text. Made by hand.
-LABELLED = [
-    (6, 0.0, 0, 0.0, 40, 0.0, 1, 0, 1, 1, 1), (40, 0.0, 6, 0.0, 60, 0.05, 1, 0, 0, 1, 1), (60, 0.05, 40, 0.0, 1, 0.0, 1, 0, 0, 1, 1), (1, 0.0, 60, 0.05, 80, 0.0, 1, 0, 0, 1, 1),
-    (80, 0.0, 1, 0.0, 12, 0.1, 1, 0, 0, 1, 1), (3, 0.0, 30, 0.0, 0, 0.0, 1, 0, 0, 1, 1), (120, 0.02, 9, 0.0, 14, 0.0, 1, 0, 0, 1, 1), (4, 1.0, 50, 0.0, 50, 0.0, 1, 0, 0, 1, 1),
-    (2, 0.5, 20, 0.0, 30, 0.0, 1, 0, 0, 1, 1), (15, 0.3, 10, 0.0, 9, 0.0, 1, 0, 0, 1, 1), (1, 1.0, 1, 1.0, 1, 1.0, 1, 0, 0, 1, 1), (9, 0.0, 5, 0.0, 5, 0.0, 1, 0, 1, 1, 1),
-    (1, 1.0, 0, 0.0, 1, 1.0, 0, 1, 0, 1, 0), (1, 1.0, 1, 1.0, 1, 1.0, 0, 1, 0, 1, 0), (1, 1.0, 1, 1.0, 8, 0.0, 0, 1, 0, 1, 0), (8, 0.0, 1, 1.0, 10, 0.0, 0, 1, 0, 1, 0),
-    (30, 0.0, 60, 0.0, 0, 0.0, 0, 1, 0, 1, 0), (12, 0.0, 90, 0.0, 0, 0.0, 0, 0, 0, 1, 0), (5, 0.0, 3, 0.3, 12, 0.0, 0, 0, 1, 1, 0), (45, 0.0, 5, 0.0, 70, 0.0, 0, 0, 0, 1, 0),
-    (20, 0.0, 45, 0.0, 15, 0.0, 1, 1, 0, 1, 0), (70, 0.1, 20, 0.0, 33, 0.0, 1, 1, 0, 1, 0), (2, 1.0, 30, 0.0, 2, 1.0, 1, 1, 0, 1, 0), (4, 0.0, 12, 0.0, 25, 0.0, 1, 1, 1, 1, 0),
-    (35, 0.0, 5, 0.0, 50, 0.02, 0, 0, 0, 0, 1), (50, 0.02, 35, 0.0, 28, 0.0, 0, 0, 0, 0, 1), (28, 0.0, 50, 0.02, 2, 1.0, 0, 0, 0, 0, 1), (5, 0.0, 2, 1.0, 35, 0.0, 0, 0, 1, 0, 1),
-    (90, 0.1, 14, 0.0, 60, 0.0, 0, 0, 0, 0, 1), (18, 0.0, 90, 0.1, 22, 0.0, 0, 0, 0, 0, 1), (22, 0.1, 18, 0.0, 40, 0.0, 0, 0, 0, 0, 1), (14, 0.0, 4, 0.0, 90, 0.1, 0, 0, 0, 0, 1),
-    (2, 1.0, 3, 1.0, 2, 1.0, 0, 0, 0, 0, 0), (3, 1.0, 0, 0.0, 2, 1.0, 0, 0, 0, 0, 0), (2, 1.0, 2, 1.0, 4, 0.0, 0, 0, 0, 0, 0), (9, 0.8, 5, 0.6, 7, 0.9, 0, 0, 0, 0, 0),
-    (25, 0.7, 3, 1.0, 30, 0.6, 0, 0, 0, 0, 0), (3, 0.0, 2, 1.0, 2, 1.0, 0, 0, 1, 0, 0), (4, 0.0, 3, 0.0, 0, 0.0, 0, 0, 0, 0, 0), (60, 0.0, 20, 0.0, 30, 0.0, 0, 1, 0, 0, 0),
-    (25, 0.0, 80, 0.0, 3, 0.5, 0, 1, 0, 0, 0), (6, 0.0, 1, 1.0, 40, 0.0, 0, 1, 1, 0, 0), (2, 0.0, 40, 0.0, 0, 0.0, 0, 1, 0, 0, 0),
-]
+def labelled_blocks() -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels (1 main text) of the labelled table."""
+    rows, labels = [], []
+    for line in LABELLED.strip().splitlines():
+        blocks = []
+        for spec in line.split():
+            words = int(re.match(r"\d+", spec)[0])
+            blocks.append(Block("", words, words if "l" in spec else words // 2 if "m" in spec else 0, "a" in spec, "r" in spec, "n" in spec, "h" in spec))
+            labels.append(float("+" in spec))
+        describe(blocks)
+        rows += [b.features for b in blocks]
+    return np.array(rows, float), np.array(labels)
 
 
 def grow_tree(rows: np.ndarray, labels: np.ndarray, depth: int = 6) -> tuple:
@@ -198,8 +293,7 @@ def grow_tree(rows: np.ndarray, labels: np.ndarray, depth: int = 6) -> tuple:
 
 @lru_cache(maxsize=1)
 def default_tree() -> tuple:
-    table = np.array(LABELLED, float)
-    return grow_tree(table[:, :-1], table[:, -1])
+    return grow_tree(*labelled_blocks())
 
 
 def is_main(tree: tuple, features: list[float]) -> bool:
