@@ -17,7 +17,7 @@ from .plans import geometry as g
 from .plans import in_sql
 from .plans.engine import solve_blocks, unpacked
 from .plans.published import runs
-from .plans.simulate import PROFILES, TECHNIQUES, simulated_runs, work_map
+from .plans.simulate import PROFILES, TECHNIQUES, WorkMap, cubic_map, simulated_runs, work_map
 from .sources.tables import load
 from .storage import written
 
@@ -408,8 +408,6 @@ def _words_work(spark: SparkSession, d: str):  # noqa: ANN202
         m = work_map(solve_windowed(Weights(own["hit"].to_numpy(), own["miss"].to_numpy())))
         return pd.DataFrame({"size": [m.size], "places": [m.places.tobytes()], "sums": [m.sums.tobytes()]})
 
-    from .plans.simulate import WorkMap
-
     r = vocabulary_weights(spark, d, _SOLVED_KEYS).select("idx", "hit", "miss").groupBy(F.lit(1).alias("one")).applyInPandas(run, "size long, places binary, sums binary").first()
     places = np.frombuffer(r["places"])
     return WorkMap(r["size"], places, np.frombuffer(r["sums"]).reshape(len(places), len(places)))
@@ -440,12 +438,17 @@ def sim_ideal_k(spark: SparkSession, d: str) -> DataFrame:
 
 @query("load_imbalance")
 def load_imbalance(spark: SparkSession, d: str) -> DataFrame:
-    """Deviation of the least and the most loaded worker from the mean, and how much it narrows against the regular partition."""
+    """Deviation of the least and the most loaded worker from the mean, and how much it narrows against the regular partition.
+
+    ``windowed`` counts the candidates of the words' table, ``cubic`` tries every cut, as the published times suggest.
+    """
     techniques = (("regular", 0), ("irregular", 1), ("irregular", 2), ("four_split", 1), ("four_split", 2))
-    runs_ = written(simulated_runs(_words_work(spark, d), _cases(spark, ("free",), (24576, 32768, 40960), (32,), techniques)), "simulated")
-    base = runs_.where("technique = 'regular'").select("n", F.col("least_deviation").alias("base_least"), F.col("most_deviation").alias("base_most"))
+    cases = _cases(spark, ("free",), (24576, 32768, 40960), (32,), techniques)
+    both = [simulated_runs(m, cases).withColumn("program", F.lit(name)) for name, m in (("windowed", _words_work(spark, d)), ("cubic", cubic_map()))]
+    runs_ = written(both[0].unionByName(both[1]), "simulated")
+    base = runs_.where("technique = 'regular'").select("program", "n", F.col("least_deviation").alias("base_least"), F.col("most_deviation").alias("base_most"))
     narrowed = lambda c: F.round(100 * (1 - F.col(f"{c}_deviation") / F.col(f"base_{c}")), 6).alias(f"{c}_narrowed")
-    return runs_.join(F.broadcast(base), "n").select("technique", "n", "k", "least_worker", "most_worker", "least_deviation", "most_deviation", narrowed("least"), narrowed("most"))
+    return runs_.join(F.broadcast(base), ["program", "n"]).select("program", "technique", "n", "k", "least_worker", "most_worker", "least_deviation", "most_deviation", narrowed("least"), narrowed("most"))
 
 
 @query("engine_units")

@@ -75,14 +75,3 @@ def reduced_edges(spark: SparkSession, n: int) -> DataFrame:
     """One arc for each (cell, cut): across for cuts beyond the first, up for the first; and the source arcs."""
     full = graph_edges(spark, n)
     return full.where("kind IN ('source', 'across', 'up')")
-
-
-def duality_gaps(cells: DataFrame, prefix: DataFrame) -> DataFrame:
-    """(checked, gaps): over every cell and cut, whether the arc along the row and its dual give one value."""
-    a, b, c = cells.alias("a"), cells.alias("b"), cells.alias("c")
-    pairs = a.join(b, F.col("b.lo") == F.col("a.hi") + 1).join(c, (F.col("c.lo") == F.col("a.lo")) & (F.col("c.hi") == F.col("b.hi")))
-    pre = prefix.select("idx", "ps", "qs", "miss")
-    w = pairs.join(F.broadcast(pre.alias("x")), F.col("x.idx") == F.col("c.lo")).join(F.broadcast(pre.alias("y")), F.col("y.idx") == F.col("c.hi"))
-    own = F.col("y.ps") - F.col("x.ps") + F.col("y.qs") - F.col("x.qs") + F.col("x.miss")
-    across, above = F.col("a.cost") + (F.col("b.cost") + own), F.col("b.cost") + (F.col("a.cost") + own)
-    return w.agg(F.count(F.lit(1)).alias("checked"), F.sum((across != above).cast("bigint")).alias("gaps"), F.sum((across < F.col("c.cost")).cast("bigint")).alias("below"))

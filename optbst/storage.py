@@ -13,7 +13,6 @@ import atexit
 import shutil
 import tempfile
 import uuid
-from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -56,16 +55,14 @@ def made(spark: SparkSession) -> int:
     return len(_MADE.get(spark.sparkContext.applicationId, ()))
 
 
-def drop_since(spark: SparkSession, mark: int, keep: Iterable[str] = ()) -> None:
-    """Remove the tables written after ``mark``, but for those whose path ends with one of ``keep``'s.
+def drop_since(spark: SparkSession, mark: int, but_last: int = 0) -> None:
+    """Remove the tables begun after ``mark``, but for the last ``but_last`` of them.
 
     Only for tables that no later plan reads: the results made from them must have been written.
     """
-    own = _MADE.get(spark.sparkContext.applicationId, [])
-    kept, jvm = tuple(keep), spark.sparkContext._jvm
-    conf = spark._jsparkSession.sessionState().newHadoopConf()
-    for path in own[mark:]:
-        if not (kept and path.endswith(kept)):
-            at = jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(conf).delete(at, True)
-    own[mark:] = [p for p in own[mark:] if kept and p.endswith(kept)]
+    own, jvm = _MADE.get(spark.sparkContext.applicationId, []), spark.sparkContext._jvm
+    conf, end = spark._jsparkSession.sessionState().newHadoopConf(), len(own) - but_last
+    for path in own[mark:end]:
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(conf).delete(at, True)
+    own[mark:end] = []
