@@ -10,7 +10,8 @@ tell how surprising a segment is in a text of its length. A text's score is a lo
 its best and of its significant segments.
 
 Scale: one pass over all texts, narrow; statistics and the fit come from at most ``SAMPLE_ROWS``
-labelled texts, and the lexicon keeps at most ``most_words`` words, so what is broadcast is bounded.
+labelled texts. The lexicon has every unit that passes the z-score, however many: such a unit stands in
+several of those texts, so what is broadcast is bounded by the sample, not by the documents.
 """
 
 from __future__ import annotations
@@ -24,11 +25,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..broadcasts import opened, sent
 from ..storage import written
 from .common import alnum_words, fold_of, map_batches, mix64, two_columns
 from .labelled import SAMPLE_ROWS, labelled_sample, sigmoid
 
-MOST_WORDS = 50_000
+#: Words whose scores a worker remembers between texts.
+CACHE_WORDS = 400_000
 #: What each word costs a segment, so that a segment ends when no toxic word follows.
 DRIFT = 0.1
 #: Segments with fewer expected in a text by chance are significant.
@@ -110,7 +113,7 @@ class SegmentModel:
 
     def scores(self, words: list[bytes]) -> np.ndarray:
         cache = self.__dict__.setdefault("cache", {})
-        if len(cache) > MOST_WORDS * 8:  # what a worker remembers between texts
+        if len(cache) > CACHE_WORDS:
             cache.clear()
         for w in set(words).difference(cache):
             found = [self.known[u] for u in units(w) if u in self.known]
@@ -175,7 +178,7 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -> np.ndarray:
     return w
 
 
-def fit_segments(sample: DataFrame, most_words: int = MOST_WORDS, least_z: float = 3.5) -> SegmentModel:
+def fit_segments(sample: DataFrame, least_z: float = 3.5, prior: float = 20.0) -> SegmentModel:
     """Fit on ``sample(doc_id, text, label)``, a table of bounded size."""
 
     def count(batch: pa.RecordBatch) -> dict[str, object]:
@@ -194,11 +197,13 @@ def fit_segments(sample: DataFrame, most_words: int = MOST_WORDS, least_z: float
     if not n or not m:
         share = 0.999 if n else 0.001
         return SegmentModel({}, -DRIFT, 1.0, 1.0, np.array([np.log(share / (1 - share)), 0.0, 0.0, 0.0]))
-    # The words that can pass the z-score have some counts; the most telling ones are kept, in a bounded number.
-    lean = F.abs(F.log((F.col("toxic") + 0.5) / (n + 1)) - F.log((F.col("other") + 0.5) / (m + 1))) / F.sqrt(1 / (F.col("toxic") + 0.5) + 1 / (F.col("other") + 0.5))
-    own = counts.where(F.length("word") > 0).orderBy(F.desc(lean), "word").limit(most_words).toPandas()
+    # The units that pass the z-score, judged where their counts are; see dirichlet_log_odds.
+    alpha = 0.5 + prior * (F.col("toxic") + F.col("other")) / max(1.0, n + m)
+    units_ = counts.where(F.length("word") > 0).select("word", "toxic", "other", (F.col("toxic") + alpha).alias("a"), (F.col("other") + alpha).alias("b"))
+    lean = (F.log(F.col("a") / (n + prior + 1 - F.col("a"))) - F.log(F.col("b") / (m + prior + 1 - F.col("b")))) / F.sqrt(1 / F.col("a") + 1 / F.col("b"))
+    own = units_.where(F.abs(lean) >= least_z - 1e-6).select("word", "toxic", "other").orderBy("word").toPandas()
     toxic, other = own["toxic"].to_numpy(float), own["other"].to_numpy(float)
-    delta, z = dirichlet_log_odds(toxic, other, n, m)
+    delta, z = dirichlet_log_odds(toxic, other, n, m, prior)
     score = np.where(np.abs(z) >= least_z, np.maximum(delta, -1.0), 0.0) - DRIFT
     words = {bytes(w): (float(abs(c)), float(s)) for w, c, s in zip(own["word"], z, score) if abs(c) >= least_z}
     # The background: how often a known unit stands in a text that is not toxic; the rest costs the drift.
@@ -207,23 +212,23 @@ def fit_segments(sample: DataFrame, most_words: int = MOST_WORDS, least_z: float
     share[-1] = max(0.0, 1.0 - share.sum())
     rate = decay_rate(np.append(score[np.abs(z) >= least_z], -DRIFT), share / share.sum())
     model = SegmentModel(words, -DRIFT, rate, 1.0, np.zeros(4))
-    sent = sample.sparkSession.sparkContext.broadcast(model)
+    first = sent(sample.sparkSession, model)
 
     def best(batch: pa.RecordBatch) -> dict[str, object]:
         rows = [alnum_words(t) for t in batch.column("text").to_pylist()]
-        return {"label": batch.column("label"), "n": [len(w) for w in rows], "scores": [[s for _, _, s in sent.value.segments(w)] for w in rows]}
+        return {"n": [len(w) for w in rows], "scores": [[s for _, _, s in opened(first).segments(w)] for w in rows]}
 
-    seen = map_batches(sample, "label int, n bigint, scores array<double>", best).toPandas()
-    clean = seen[seen["label"] == 0]
-    scores = np.sort(np.concatenate([np.asarray(s, float) for s in clean["scores"]] or [np.zeros(0)]))
-    if len(scores):
+    clean = written(map_batches(sample.where("label = 0"), "n bigint, scores array<double>", best), "toxic-segments")
+    scores = clean.select(F.explode("scores").alias("s"))
+    at = scores.agg(F.percentile("s", F.lit(0.75))).first()[0]
+    if at is not None:
         # The constant: as many chance segments over the upper quartile as the clean texts have.
-        at = scores[int(0.75 * (len(scores) - 1))]
-        model.constant = float((scores >= at).sum() * np.exp(min(rate * at, 50.0)) / max(1, clean["n"].sum()))
-    sent = sample.sparkSession.sparkContext.broadcast(model)
+        over, size = scores.where(F.col("s") >= at).count(), clean.agg(F.sum("n")).first()[0]
+        model.constant = float(over * np.exp(min(rate * at, 50.0)) / max(1, size))
+    second = sent(sample.sparkSession, model)
 
     def features(batch: pa.RecordBatch) -> dict[str, object]:
-        return {"label": batch.column("label"), "x": [sent.value.features(alnum_words(t))[0] for t in batch.column("text").to_pylist()]}
+        return {"label": batch.column("label"), "x": [opened(second).features(alnum_words(t))[0] for t in batch.column("text").to_pylist()]}
 
     rows = map_batches(sample, "label int, x array<double>", features).toPandas()
     model.weights = _logistic(np.stack(rows["x"].to_numpy()).astype(float), rows["label"].to_numpy(float))
@@ -238,14 +243,14 @@ def toxicity_scores(docs: DataFrame, labels: DataFrame, key: str = "doc_id", tex
     both kinds every text has one score. Repeated rows are scored alike; an empty table gives none.
     """
     sample = written(labelled_sample(docs, labels, label, modulus, held_out, key, text, sample_rows), "toxic-sample")
-    model = docs.sparkSession.sparkContext.broadcast(fit_segments(sample))
+    model = sent(docs.sparkSession, fit_segments(sample))
     base = two_columns(docs, key, text)
     kind = base.schema["doc_id"].dataType.simpleString()
     passage = pa.struct([("first", pa.int64()), ("end", pa.int64()), ("surprise", pa.float64())])
 
     def make(batch: pa.RecordBatch) -> dict[str, object]:
-        own = [model.value.features(alnum_words(t)) for t in batch.column("text").to_pylist()]
-        p = sigmoid(np.array([x for x, _ in own], float).reshape(-1, 4) @ model.value.weights)
+        own = [opened(model).features(alnum_words(t)) for t in batch.column("text").to_pylist()]
+        p = sigmoid(np.array([x for x, _ in own], float).reshape(-1, 4) @ opened(model).weights)
         found = pa.array([[{"first": a, "end": b + 1, "surprise": s} for a, b, s in kept] for _, kept in own], pa.list_(passage))
         return {"doc_id": batch.column("doc_id"), "score": p, "predicted": (p >= 0.5).astype(np.int32), "passages": found}
 
