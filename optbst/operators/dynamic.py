@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -48,14 +50,34 @@ def solved_relational(table: DataFrame, prefix: DataFrame) -> DataFrame:
 
 
 def solved_groups(grouped: DataFrame, group: str) -> DataFrame:
-    """(grp, n, cost): one optimal tree a group of (grp, key, hit), without misses. A group is one small problem."""
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        own = pdf.sort_values("key")
-        w = Weights(np.concatenate([[0], own["hit"].to_numpy()]), np.zeros(len(own) + 1, np.int64))
-        return pd.DataFrame({"grp": [str(pdf[group].iloc[0])], "n": [w.n], "cost": [solve_windowed(w).optimum]})
-
-    return grouped.groupBy(group).applyInPandas(run, "grp string, n int, cost bigint")
+    """(grp, n, cost): one optimal tree a group of (grp, key, hit), without misses. A group is one small problem.
+
+    Groups are sorted inside the partitions of one shuffle and solved as they stream by, so thousands of tiny
+    ones cost no more than their rows. A null group is the group ``None``.
+    """
+
+    def solve(grp: str, hits: list[int]) -> tuple[str, int, int]:
+        w = Weights(np.concatenate([[0], hits]), np.zeros(len(hits) + 1, np.int64))
+        return grp, w.n, solve_windowed(w).optimum
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        at, hits = None, []
+        for pdf in frames:
+            out = []
+            names, own = pdf["grp"].to_numpy(object), pdf["hit"].to_numpy(np.int64)
+            edges = [0, *(np.flatnonzero(names[1:] != names[:-1]) + 1).tolist(), len(names)] if len(names) else [0]
+            for x, z in zip(edges, edges[1:]):
+                if hits and names[x] != at:
+                    out.append(solve(at, hits))
+                    hits = []
+                at = names[x]
+                hits += own[x:z].tolist()
+            yield pd.DataFrame(out, columns=["grp", "n", "cost"])
+        if hits:
+            yield pd.DataFrame([solve(at, hits)], columns=["grp", "n", "cost"])
+
+    own = grouped.select(F.coalesce(F.col(group).cast("string"), F.lit("None")).alias("grp"), "key", "hit")
+    return own.repartition("grp").sortWithinPartitions("grp", "key").select("grp", "hit").mapInPandas(run, "grp string, n int, cost bigint")
 
 
 def graph_edges(spark: SparkSession, n: int) -> DataFrame:
