@@ -111,28 +111,6 @@ def solve_interval(n: int, merge, base) -> tuple[np.ndarray, np.ndarray]:  # noq
     return cost, split
 
 
-def fill_part(w: Weights, cost: np.ndarray, split: np.ndarray, rows: tuple[int, int], columns: tuple[int, int], windowed: bool = True) -> int:
-    """Evaluate the cells of a rectangle (or of its part above the main diagonal) in global tables, in place.
-
-    All that the cells depend on outside the rectangle must be set. Returns the candidates compared.
-    """
-    r0, r1, c0, c1 = *rows, *columns
-    total = 0
-    for d in range(max(0, c0 - r1), c1 - r0 + 1):
-        i = np.arange(max(r0, c0 - d), min(r1, c1 - d) + 1)
-        if not len(i):
-            continue
-        j = i + d
-        if d == 0:
-            cost[i, j], split[i, j] = w.miss[i], i
-            continue
-        low, high = (split[i, j - 1], np.minimum(split[i + 1, j], j - 1)) if windowed else (i, j - 1)
-        best, cut, n = leftmost_best(cost, i, j, low, high)
-        cost[i, j], split[i, j] = best + w.w(i, j), cut
-        total += n
-    return total
-
-
 def build_tree(split: np.ndarray, lo: int = 0, hi: int | None = None) -> list[tuple[int, int, int, int, str, int]]:
     """(rank, lo, hi, depth, side, parent rank; 0 for the root) of each node, top down from a cut table."""
     hi = split.shape[0] - 1 if hi is None else hi
