@@ -42,6 +42,8 @@ CARRIER_WORDS = frozenset("area bar block body box col column container content
 _IN_TAG = re.compile(r"[<>\"']")
 _TAG_NAME = re.compile(r"[A-Za-z][A-Za-z0-9:-]*")
 _ATTRIBUTE = re.compile(r"""(?<![\w-])(class|id|role|hidden|aria-hidden|style)(?![\w-])(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
+#: A slash at the end of a tag that belongs to no attribute's value.
+_CLOSES_ITSELF = re.compile(r"(?:^|[\s\"'])/\s*\Z")
 _NAME_PART = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
 _HIDDEN_STYLE = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
 
@@ -193,7 +195,7 @@ def text_blocks(page: str) -> list[Block]:
             # A paragraph ends where the next block begins, a list item at the next one.
             if blocks_at and (stack[blocks_at[-1]][0] == "p" or tag == "li" and stack[-1][0] == "li"):
                 close(blocks_at[-1])
-        if tag in VOID_TAGS or attributes.rstrip().endswith("/"):
+        if tag in VOID_TAGS or _CLOSES_ITSELF.search(attributes):
             continue
         if tag in RAW_TAGS:
             found = _raw_end(tag).search(page, at)
@@ -255,6 +257,10 @@ LABELLED = """
 5ah+ 16ar 6ar 30a+
 2ah+ 6a+
 7r 4h+ 15+
+1l 2l 3h+ 5+ 3+ 12+ 1l 2l
+2l 1l 5+ 14+ 2l 3l 1l 4
+1l 1l 4h+ 20+ 6+ 9+ 2l 2l 1l
+3l 2l 4 1l 3l 5 2l 1l 60+ 11+ 1l
 """
 
 
@@ -272,7 +278,7 @@ def labelled_blocks() -> tuple[np.ndarray, np.ndarray]:
     return np.array(rows, float), np.array(labels)
 
 
-def grow_tree(rows: np.ndarray, labels: np.ndarray, depth: int = 6) -> tuple:
+def grow_tree(rows: np.ndarray, labels: np.ndarray, depth: int = 10) -> tuple:
     """A decision tree by Gini impurity: (feature, cut, low, high), or the share of main text at a leaf."""
     share = float(labels.mean())
     if depth == 0 or share in (0.0, 1.0):
