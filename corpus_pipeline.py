@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from optbst.llm import decontaminate, exact_dedup, near_dedup, packing, quality
 from optbst.llm.common import load
 from optbst.llm.queries import tokenizer_path
-from optbst.storage import written
+from optbst.storage import drop_since, made, written
 
 
 def _read_once(docs: DataFrame) -> bool:
@@ -98,8 +98,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order on the table ``documents``, each written and read again."""
+    """All stages in order on the table ``documents``, each written and read again; what a stage wrote on its way then goes."""
     docs = load(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
+        mark = made(spark)
         docs = written(stage(spark, docs, sf_dir), "stage-" + name.replace(" ", "-"))
+        drop_since(spark, mark, but_last=1)
     return STAGES[-1][1](spark, docs, sf_dir)
