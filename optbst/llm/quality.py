@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..broadcasts import opened, sent
 from .common import fold_of, map_batches, utf8
 from .labelled import SAMPLE_ROWS, labelled_sample, sigmoid
 
@@ -155,14 +156,14 @@ def quality_scores(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text
     sample = featured(labelled_sample(docs, labels, label, modulus, held_out, key, text, sample_rows), "label").select("doc_id", "label", "features").toPandas()
     sample = sample.sort_values("doc_id", kind="stable")
     x = np.stack(sample["features"].to_numpy()).astype(float) if len(sample) else np.zeros((0, len(FEATURES)))
-    model = docs.sparkSession.sparkContext.broadcast(fit_additive(x, sample["label"].to_numpy(float)))
+    model = sent(docs.sparkSession, fit_additive(x, sample["label"].to_numpy(float)))
     base = docs.select(F.col(key).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), *carry)
     own = ["doc_id", *carry]
     kinds = ", ".join(f"`{c}` {base.schema[c].dataType.simpleString()}" for c in own)
 
     def make(batch: pa.RecordBatch) -> dict[str, object]:
         rows = np.array([text_features(t) for t in batch.column("text").to_pylist()], float).reshape(-1, len(FEATURES))
-        z = model.value.log_odds(rows)
+        z = opened(model).log_odds(rows)
         p = sigmoid(z)
         return {c: batch.column(c) for c in own} | {"score": p, "predicted": (p >= 0.5).astype(np.int32), "log_odds": z}
 
