@@ -43,9 +43,11 @@ def block_identity(rows: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFrame
     Equal (n_blocks, identity) means equal ``norm`` and the reverse. An empty norm is one empty
     block. Rows that repeat ``row`` must repeat ``norm`` and are one.
     """
-    n_blocks = F.greatest(F.lit(1), F.ceil(F.char_length("norm") / F.lit(block_chars))).cast("int")
-    cut = F.expr(f"transform(sequence(0, n_blocks - 1), i -> substring(norm, i * {block_chars} + 1, {block_chars}))")
-    blocks = rows.withColumn("n_blocks", n_blocks).select("row", "n_blocks", F.posexplode(cut).alias("at", "block"))
+    # A substring is sought from the text's start, which is quickest for a few blocks; one pass of a pattern cuts longer texts.
+    size = F.char_length("norm")
+    few = F.expr(f"transform(sequence(0, cast((char_length(norm) - 1) / {block_chars} AS int)), i -> substring(norm, i * {block_chars} + 1, {block_chars}))")
+    cut = F.when(size <= block_chars, F.array("norm")).when(size <= 16 * block_chars, few).otherwise(F.regexp_extract_all("norm", F.lit(f"(?s).{{1,{block_chars}}}"), F.lit(0)))
+    blocks = rows.select("row", cut.alias("cut")).select("row", F.size("cut").alias("n_blocks"), F.posexplode("cut").alias("at", "block"))
     blocks = blocks.withColumn("short", F.xxhash64("block"))
     names = written(_numbered(blocks.select("short", "block").distinct(), "short", "block").select("short", "name"), "block-names")
     keys = written(names.groupBy("short").agg(F.count(F.lit(1)).alias("n"), F.min("name").alias("name")), "block-keys")
