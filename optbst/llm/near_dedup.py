@@ -33,6 +33,9 @@ from .common import blank_words, map_batches, mix64, two_columns
 
 _MULT = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], np.uint64)
 
+#: Bytes of sets that a task of compared cells holds, about.
+DEAL_BYTES = 32 << 20
+
 
 def shingle_hashes(words: list[bytes], size: int, cache: dict[bytes, int]) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the shingles; fewer words than ``size`` are one shingle, none give none."""
@@ -207,8 +210,9 @@ def block_links(
     cells = split.join(counts, "bucket").withColumn("own", own).select("bucket", "band", "rep", "comp", "n", "rest", F.explode(cells).alias("cell"))
     cells = written(cells, "cells")
     data = sets.select(F.col("doc_id").alias("rep"), "items").join(classes.select("rep", "sketch", "keys"), "rep")
-    # Most cells are tiny: a task takes a share of them, some thousand rows.
-    deals = max(1, cells.count() // 2000)
+    # Most cells are tiny: a task takes a share of them, some thousand rows and some ten megabytes of sets.
+    facts = cells.agg(F.count(F.lit(1)).alias("rows"), F.coalesce(F.sum("n"), F.lit(0)).alias("items")).first()
+    deals = max(1, facts["rows"] // 2000, 8 * facts["items"] // DEAL_BYTES)
     full = cells.join(written(data, "block-data"), "rep").withColumn("deal", F.pmod(F.xxhash64("bucket", "cell"), F.lit(deals)))
 
     def links(pdf):  # noqa: ANN001, ANN202
