@@ -59,3 +59,14 @@ def test_cuts_beside_units(spark, small_blocks):
     got = engine.by_units(spark, dynamic.Program(table).blocks(), measure, "lo int, hi int, cut int, left int, below int").toPandas()
     assert len(got) == 61 * 62 // 2
     assert (split[got["lo"], got["hi"]] == got["cut"]).all() and (split[got["lo"], got["hi"] - 1] == got["left"]).all() and (split[got["lo"] + 1, got["hi"]] == got["below"]).all()
+
+
+@pytest.mark.parametrize("name", ["optimal_cost_all", "saving_balanced", "heuristic_costs", "candidate_profile", "monotonicity", "tree_users", "depth_hist", "windowed_users", "udf_depth"])
+def test_queries_over_blocks(spark, monkeypatch, name):
+    import __spark_entry__
+
+    run = __spark_entry__.queries()[name]
+    want = sorted(run(spark, "/root/testdata/sf0.001").collect(), key=str)
+    monkeypatch.setattr(dynamic, "WHOLE", 3)
+    monkeypatch.setattr(engine.workers, "__defaults__", (8,))
+    assert sorted(run(spark, "/root/testdata/sf0.001").collect(), key=str) == want
