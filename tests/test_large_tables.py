@@ -70,3 +70,14 @@ def test_queries_over_blocks(spark, monkeypatch, name):
     monkeypatch.setattr(dynamic, "WHOLE", 3)
     monkeypatch.setattr(engine.workers, "__defaults__", (8,))
     assert sorted(run(spark, "/root/testdata/sf0.001").collect(), key=str) == want
+
+
+def test_large_groups_in_blocks(spark, small_blocks):
+    r = np.random.default_rng(2)
+    rows = [(g, k, int(r.integers(1, 50))) for g, n in (("a", 45), ("b", 3), (None, 30)) for k in range(n)]
+    got = {x["grp"]: (x["n"], x["cost"]) for x in dynamic.solved_groups(spark.createDataFrame(rows, "g string, key int, hit long"), "g").collect()}
+    want = {}
+    for g in ("a", "b", None):
+        own = [h for x, _, h in rows if x == g]
+        want[str(g)] = (len(own), solve_windowed(Weights([0, *own], [0] * (len(own) + 1))).optimum)
+    assert got == want
