@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from ..storage import written
 from .common import SPACE_CLASS, two_columns
 
-#: Characters in a block.
+#: Bytes of UTF-8 in a block, which may end inside a character.
 BLOCK_CHARS = 2048
 
 
@@ -43,11 +43,10 @@ def block_identity(rows: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFrame
     Equal (n_blocks, identity) means equal ``norm`` and the reverse. An empty norm is one empty
     block. Rows that repeat ``row`` must repeat ``norm`` and are one.
     """
-    # A substring is sought from the text's start, which is quickest for a few blocks; one pass of a pattern cuts longer texts.
-    size = F.char_length("norm")
-    few = F.expr(f"transform(sequence(0, cast((char_length(norm) - 1) / {block_chars} AS int)), i -> substring(norm, i * {block_chars} + 1, {block_chars}))")
-    cut = F.when(size <= block_chars, F.array("norm")).when(size <= 16 * block_chars, few).otherwise(F.regexp_extract_all("norm", F.lit(f"(?s).{{1,{block_chars}}}"), F.lit(0)))
-    blocks = rows.select("row", cut.alias("cut")).select("row", F.size("cut").alias("n_blocks"), F.posexplode("cut").alias("at", "block"))
+    # Numbers of blocks are exploded, not blocks: a piece of bytes is cut at its place, without an array of copies or a search from the start.
+    whole = rows.select("row", F.col("norm").cast("binary").alias("bytes")).withColumn("n_blocks", F.expr(f"cast((octet_length(bytes) - 1) / {block_chars} AS int) + 1"))
+    blocks = whole.select("row", "n_blocks", "bytes", F.explode(F.expr("sequence(0, n_blocks - 1)")).alias("at"))
+    blocks = blocks.select("row", "n_blocks", "at", F.expr(f"substring(bytes, at * {block_chars} + 1, {block_chars})").alias("block"))
     blocks = blocks.withColumn("short", F.xxhash64("block"))
     names = written(_numbered(blocks.select("short", "block").distinct(), "short", "block").select("short", "name"), "block-names")
     keys = written(names.groupBy("short").agg(F.count(F.lit(1)).alias("n"), F.min("name").alias("name")), "block-keys")

@@ -538,3 +538,12 @@ def test_nulls_repeats_and_clashing_names(spark):
     assert sum(r["contaminated"] for r in got) == 3 and all(r["items"] == ["", "7"] for r in got if r["contaminated"])
     packed = packing.best_fit_packing(docs, P.path("word_bpe_49k.json")).collect()
     assert len(packed) == 6 and len({r["sequence_id"] for r in packed}) == 1
+
+
+@pytest.mark.parametrize("block", [1, 2, 3])
+def test_exact_dedup_blocks_end_inside_characters(spark, block):
+    from optbst.llm.exact_dedup import exact_duplicates
+
+    texts = ["né 語😀", "né語 😀", "nê語😀", "語😀né", "né語😀 ", "é", "ê", ""]
+    got = {r["doc_id"]: (r["keep_id"], r["group_size"]) for r in exact_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), block_chars=block).collect()}
+    assert got == {0: (0, 3), 1: (0, 3), 2: (2, 1), 3: (3, 1), 4: (0, 3), 5: (5, 1), 6: (6, 1), 7: (7, 1)}
