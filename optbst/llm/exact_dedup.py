@@ -44,7 +44,7 @@ def block_identity(rows: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFrame
     block. Rows that repeat ``row`` must repeat ``norm`` and are one.
     """
     # Numbers of blocks are exploded, not blocks: a piece of bytes is cut at its place, without an array of copies or a search from the start.
-    whole = rows.select("row", F.col("norm").cast("binary").alias("bytes")).withColumn("n_blocks", F.expr(f"cast((octet_length(bytes) - 1) / {block_chars} AS int) + 1"))
+    whole = rows.select("row", F.col("norm").cast("binary").alias("bytes")).withColumn("n_blocks", F.expr(f"cast(greatest(octet_length(bytes) - 1, 0) / {block_chars} AS int) + 1"))
     blocks = whole.select("row", "n_blocks", "bytes", F.explode(F.expr("sequence(0, n_blocks - 1)")).alias("at"))
     blocks = blocks.select("row", "n_blocks", "at", F.expr(f"substring(bytes, at * {block_chars} + 1, {block_chars})").alias("block"))
     blocks = blocks.withColumn("short", F.xxhash64("block"))
