@@ -29,3 +29,15 @@ def test_plans_of_a_table(spark, line_items):
     assert sum(r["blocks"] for r in q["block_load"](spark, line_items).collect()) == len(g.blocks(12, 6, 1))
     assert q["block_deps_range"](spark, line_items).where("block_id >= dep_block").count() == sum(g.depends(x, y) for x in g.blocks(34, 5, 2) for y in g.blocks(34, 5, 2))
     assert sum(r["blocks"] for r in q["alg3_rounds"](spark, line_items).collect()) == len(g.blocks(500, 32, 2))
+
+
+@pytest.mark.parametrize("name", ["blocks_n150_p8_k2", "blocks_n31_p4_k1", "blocks_n31_p4_k2", "blocks_n31_p8_k1", "blocks_n31_p8_k2", "blocks_n40960_p128_k2"])
+def test_blocks_follow_the_table_as_in_sql(spark, line_items, name):
+    import duckdb
+
+    own = __spark_entry__.queries()[name](spark, line_items)
+    assert own.inputFiles()
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW lineitem AS SELECT * FROM read_parquet('{line_items}/lineitem.parquet/*.parquet')")
+    want = db.execute(__spark_entry__.oracle_sql()[name]).fetchall()
+    assert sorted(map(tuple, own.collect())) == sorted(want)
