@@ -47,6 +47,25 @@ def test_many_keys_in_blocks(spark, small_blocks):
     assert depths["gap_depth"].tolist() == gaps.tolist()
 
 
+@pytest.mark.parametrize(("n", "hits", "scale"), [(61, 9, 1), (40, 1, 1), (47, 2, 1), (61, 9, 1 << 47)])
+def test_units_of_the_windowed_program(monkeypatch, n, hits, scale):
+    """Every unit by one number a candidate, as by cost and cut apart: ties, zero weights, and weights too large for one number."""
+    r = np.random.default_rng(n)
+    w = Weights(np.where(r.random(n + 1) < 0.1, 90, r.integers(0, hits, n + 1)) * scale, r.integers(0, 4, n + 1) * scale)
+    want, used = solve_windowed(w), []
+    own = engine.eval_windowed
+    monkeypatch.setattr(engine, "eval_windowed", lambda *a: (used.append(1), own(*a))[1])
+    units, total = [u for step in engine.schedule(n, engine.workers(n, 8), 0, "regular", "barrier") for u in step], 0
+    for at, u in enumerate(units):
+        low, high = (u.r0, u.c1 - 1) if u.c0 <= u.r1 else (int(want.split[u.r0, u.c0 - 1]), int(want.split[u.r1 + 1, u.c1]))
+        slices = [(x.side, x.r0, x.c0, (want.split if "cut" in x.side else want.cost)[x.r0 : x.r1 + 1, x.c0 : x.c1 + 1].astype(np.int64)) for v in units[:at] for x in engine.needs(0, u, low, high, v)]
+        cost, split, candidates = engine.eval_part(w, u, low, high, slices)
+        assert (split == want.split[u.r0 : u.r1 + 1, u.c0 : u.c1 + 1]).all()
+        assert (cost == want.cost[u.r0 : u.r1 + 1, u.c0 : u.c1 + 1])[split >= 0].all()
+        total += candidates
+    assert total == want.candidates.sum() and len(used) == (len(units) if scale == 1 else 0)
+
+
 def test_cuts_beside_units(spark, small_blocks):
     w, table = made(spark, 61)
     split = solve_windowed(w).split
