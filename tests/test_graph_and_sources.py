@@ -5,8 +5,8 @@ import numpy as np
 import pytest
 
 from optbst.functions.kernel import Weights, build_tree, depths_of, solve_cubic, solve_windowed
-from optbst.operators.dynamic import solved, solved_groups
-from optbst.operators.graph import REDUCED, arcs_into, dual_arcs, graph_vertices, path_to_tree, shortest_paths
+from optbst.operators.dynamic import cells_frame, solved, solved_groups
+from optbst.operators.graph import REDUCED, arcs_into, dual_arcs, duality_in_tiles, graph_vertices, path_to_tree, shortest_paths
 from optbst.operators.weights import collected, prefix, weight_table
 from optbst.plans import geometry as g
 from optbst.plans import in_sql
@@ -37,6 +37,31 @@ def test_graph_of_three_keys(spark, table):
     assert {tuple(r) for r in path_to_tree(arcs, cells, 3).collect()} == want
 
 
+@pytest.mark.parametrize("tile", [4, 7, 64])
+def test_duality_in_tiles(spark, tile):
+    r = np.random.default_rng(3)
+    w = Weights(r.integers(0, 9, 24), r.integers(0, 5, 24))
+    cells = cells_frame(solve_windowed(w))
+    run = lambda own: tuple(duality_in_tiles(spark.createDataFrame(own), w, tile).first())
+    jumps = sum(j - i - 1 for i in range(24) for j in range(i + 1, 24))
+    assert run(cells) == (jumps, 0, 0)
+    # A wrong cost of (9, 9) is another value than that of the unit arc into every (i, 9), and one of (0, 23) is above its jumps.
+    wrong = cells.assign(cost=cells["cost"] + 1000 * ((cells["lo"] == 9) & (cells["hi"] == 9)))
+    assert run(wrong)[:2] == (jumps, 8)
+    high = cells.assign(cost=cells["cost"] + 10**6 * ((cells["lo"] == 0) & (cells["hi"] == 23)))
+    assert run(high) == (jumps, 0, 22)
+
+
+def test_duality_of_many_keys(spark, monkeypatch):
+    import __spark_entry__
+    from optbst import catalogue_graph
+
+    run = __spark_entry__.queries()["duality_nation"]
+    want = run(spark, "/root/testdata/sf0.001").collect()
+    monkeypatch.setattr(catalogue_graph, "_ARC_KEYS", 3)
+    assert run(spark, "/root/testdata/sf0.001").collect() == want
+
+
 def test_a_wrong_weight_breaks_the_duality(spark, table):
     from pyspark.sql import functions as F
 
