@@ -66,6 +66,19 @@ def test_units_of_the_windowed_program(monkeypatch, n, hits, scale):
     assert total == want.candidates.sum() and len(used) == (len(units) if scale == 1 else 0)
 
 
+def test_units_are_measured_by_strips(spark, small_blocks, monkeypatch):
+    monkeypatch.setattr(engine, "MEASURED_ROWS", 3)
+    _, table = made(spark, 61)
+
+    def measure(lo, hi, cut, left, below):
+        import pandas as pd
+
+        return pd.DataFrame({"rows": [len(set(lo))], "cells": [len(lo)]})
+
+    got = engine.by_units(spark, dynamic.Program(table).blocks(), measure, "rows int, cells int").toPandas()
+    assert got["rows"].max() == 3 and got["cells"].sum() == 61 * 62 // 2
+
+
 def test_cuts_beside_units(spark, small_blocks):
     w, table = made(spark, 61)
     split = solve_windowed(w).split
