@@ -66,6 +66,25 @@ def test_units_of_the_windowed_program(monkeypatch, n, hits, scale):
     assert total == want.candidates.sum() and len(used) == (len(units) if scale == 1 else 0)
 
 
+@pytest.mark.parametrize(("technique", "n", "p", "k"), [("regular", 50, 6, 0), ("irregular", 50, 4, 2), ("four_split", 50, 6, 1), ("four_split", 61, 4, 3), ("four_split", 13, 6, 2)])
+@pytest.mark.parametrize("pruned", [True, False])
+def test_units_of_every_technique(technique, n, p, k, pruned):
+    """Units of unequal sides, with cuts bounded by their corners or not."""
+    r = np.random.default_rng(n)
+    w = Weights(r.integers(0, 9, n + 1), r.integers(0, 4, n + 1))
+    want, before = solve_windowed(w), []
+    for step in engine.schedule(n, p, k, technique, "dataflow"):
+        for u in step:
+            low, high = u.r0, u.c1 - 1
+            if pruned and u.c0 > u.r1:
+                low, high = int(want.split[u.r0, u.c0 - 1]), min(high, int(want.split[u.r1 + 1, u.c1]))
+            slices = [(x.side, x.r0, x.c0, (want.split if "cut" in x.side else want.cost)[x.r0 : x.r1 + 1, x.c0 : x.c1 + 1].astype(np.int64)) for v in before for x in engine.needs(0, u, low, high, v)]
+            cost, split, _ = engine.eval_part(w, u, low, high, slices)
+            assert (split == want.split[u.r0 : u.r1 + 1, u.c0 : u.c1 + 1]).all()
+            assert (cost == want.cost[u.r0 : u.r1 + 1, u.c0 : u.c1 + 1])[split >= 0].all()
+        before += step
+
+
 def test_units_are_measured_by_strips(spark, small_blocks, monkeypatch):
     monkeypatch.setattr(engine, "MEASURED_ROWS", 3)
     _, table = made(spark, 61)
