@@ -123,6 +123,27 @@ def test_queries_over_blocks(spark, monkeypatch, name):
     assert sorted(run(spark, "/root/testdata/sf0.001").collect(), key=str) == want
 
 
+@pytest.mark.parametrize("name", ["windowed_supp", "replay_supp", "replay_users", "depth_quantiles"])
+def test_more_queries_over_blocks(spark, monkeypatch, name):
+    test_queries_over_blocks(spark, monkeypatch, name)
+
+
+def test_cells_of_a_strip_take_little_memory():
+    """Cells are handed on as they are opened: a task holds little more than one strip's cells, however many strips a batch has."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    values = np.cumsum(np.ones((100, 1000), np.int64), 1)
+    rows = [(100 * x, 100 * x + 99, 5000, 5999, engine.packed(values), engine.packed(values)) for x in range(6)]
+    batch = pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows)], names=["r0", "r1", "c0", "c1", "cost", "split"])
+    tracemalloc.start()
+    cells = sum(b.num_rows for b in engine._unpacker(iter([batch])))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert cells == 600_000 and peak < 3 * 20 * 100_000
+
+
 def test_large_groups_in_blocks(spark, small_blocks):
     r = np.random.default_rng(2)
     rows = [(g, k, int(r.integers(1, 50))) for g, n in (("a", 45), ("b", 3), (None, 30)) for k in range(n)]
