@@ -128,6 +128,20 @@ def test_more_queries_over_blocks(spark, monkeypatch, name):
     test_queries_over_blocks(spark, monkeypatch, name)
 
 
+def test_units_do_not_hold_slices_twice():
+    """What a unit has read of others is let go as it is placed, not kept beside the operands."""
+    r = np.random.default_rng(4)
+    w = Weights(r.integers(0, 9, 62), r.integers(0, 4, 62))
+    want = solve_windowed(w)
+    units = [u for step in engine.schedule(61, engine.workers(61, 8), 0, "regular", "barrier") for u in step]
+    u = units[-1]
+    low, high = int(want.split[u.r0, u.c0 - 1]), int(want.split[u.r1 + 1, u.c1])
+    slices = [(x.side, x.r0, x.c0, (want.split if "cut" in x.side else want.cost)[x.r0 : x.r1 + 1, x.c0 : x.c1 + 1].astype(np.int64)) for v in units[:-1] for x in engine.needs(0, u, low, high, v)]
+    assert len(slices) > 2
+    engine.eval_part(w, u, low, high, slices)
+    assert not slices
+
+
 def test_cells_of_a_strip_take_little_memory():
     """Cells are handed on as they are opened: a task holds little more than one strip's cells, however many strips a batch has."""
     import tracemalloc
