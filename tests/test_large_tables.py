@@ -167,3 +167,37 @@ def test_large_groups_in_blocks(spark, small_blocks):
         own = [h for x, _, h in rows if x == g]
         want[str(g)] = (len(own), solve_windowed(Weights([0, *own], [0] * (len(own) + 1))).optimum)
     assert got == want
+
+
+@pytest.mark.parametrize("values", [[[5, 5, 9, 12], [1, 2, 3, 90]], [[0, 300, 70_000], [1, 1, 1 << 40]], [[9, 3, 4], [1 << 50, 0, 0]], [[7], [8]]])
+def test_slices_are_cut_out_of_packed_matrices(values):
+    """Every rectangle of a packed matrix, as from the opened one."""
+    data, own = engine.packed(np.array(values)), np.array(values)
+    for r0, r1 in ((0, 0), (0, 1), (1, 1)):
+        for c0 in range(own.shape[1]):
+            for c1 in range(c0, own.shape[1]):
+                assert engine.opened_matrix(engine.cut_out(data, 2, r0, r1, c0, c1), r1 - r0 + 1).tolist() == own[r0 : r1 + 1, c0 : c1 + 1].tolist()
+
+
+@pytest.mark.parametrize(("technique", "k"), [("regular", 0), ("irregular", 1), ("four_split", 1)])
+def test_units_read_no_tables_of_cuts(spark, monkeypatch, technique, k):
+    """The cuts beside a unit come from the driver, which has them; only costs are read of other units."""
+    w, _ = made(spark, 61)
+    sides, own = set(), engine._cutter
+    monkeypatch.setattr(engine, "_cutter", lambda plan: (sides.update(x.side for found in plan.values() for x in found), own(plan))[1])
+    got = engine.unpacked(engine.solve(spark, w, 6, k, technique, "dataflow").state).toPandas()
+    assert sides == {"left", "below"}
+    want = solve_windowed(w)
+    assert len(got) == 62 * 63 // 2
+    assert (want.cost[got["lo"], got["hi"]] == got["cost"]).all() and (want.split[got["lo"], got["hi"]] == got["split"]).all()
+
+
+def test_candidates_of_a_diagonal_are_numbered_once(monkeypatch):
+    """Operands to the left and below are found by one index: a diagonal repeats one array by its windows, not two."""
+    r = np.random.default_rng(4)
+    w = Weights(r.integers(0, 9, 62), r.integers(0, 4, 62))
+    repeated, repeat = [], np.repeat
+    unit = engine.schedule(61, 1, 0, "regular", "barrier")[0][0]
+    monkeypatch.setattr(engine.np, "repeat", lambda *a: (repeated.append(1), repeat(*a))[1])
+    engine.eval_windowed(w, unit, unit.r0, unit.c1 - 1, [])
+    assert 0 < len(repeated) <= unit.c1 - unit.r0
