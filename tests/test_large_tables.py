@@ -201,3 +201,10 @@ def test_candidates_of_a_diagonal_are_numbered_once(monkeypatch):
     monkeypatch.setattr(engine.np, "repeat", lambda *a: (repeated.append(1), repeat(*a))[1])
     engine.eval_windowed(w, unit, unit.r0, unit.c1 - 1, [])
     assert 0 < len(repeated) <= unit.c1 - unit.r0
+
+
+def test_weights_of_depths_come_from_the_trees_table(spark):
+    """``depth_hist`` takes the hits that the tree was made from; it counts the events no second time."""
+    import __spark_entry__
+
+    assert not [f for f in __spark_entry__.queries()["depth_hist"](spark, "/root/testdata/sf0.001").inputFiles() if "events" in f]
